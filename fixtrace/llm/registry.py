@@ -6,13 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from fixtrace.llm.extraction import op3_tree_scoring_extraction
 from fixtrace.llm.packing import op2_hierarchical_packing
 from fixtrace.llm.quality import op1_quality_classifier
+from fixtrace.llm.rules import op9_rule_ledger
+from fixtrace.llm.urls import OP8_SQL, op8_url_sweep
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op2_hierarchical_packing)}
+    return {f.__name__: f for f in (op1_quality_classifier, op2_hierarchical_packing, op3_tree_scoring_extraction, op8_url_sweep, op9_rule_ledger)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_url_sweep": OP8_SQL}
