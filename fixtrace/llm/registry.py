@@ -7,6 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from fixtrace.llm.extraction import op3_tree_scoring_extraction
+from fixtrace.llm.licenses import op6_license_rules
+from fixtrace.llm.lines import OP7_SQL, op7_line_runs
+from fixtrace.llm.mixing import op10_raked_mixture
+from fixtrace.llm.mixing import oracle as op10_sql
 from fixtrace.llm.packing import op2_hierarchical_packing
 from fixtrace.llm.quality import op1_quality_classifier
 from fixtrace.llm.rules import op9_rule_ledger
@@ -14,8 +18,8 @@ from fixtrace.llm.urls import OP8_SQL, op8_url_sweep
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op2_hierarchical_packing, op3_tree_scoring_extraction, op8_url_sweep, op9_rule_ledger)}
+    return {f.__name__: f for f in (op1_quality_classifier, op2_hierarchical_packing, op3_tree_scoring_extraction, op6_license_rules, op7_line_runs, op8_url_sweep, op9_rule_ledger, op10_raked_mixture)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_url_sweep": OP8_SQL}
+    return {"op7_line_runs": OP7_SQL, "op8_url_sweep": OP8_SQL, "op10_raked_mixture": op10_sql()}
