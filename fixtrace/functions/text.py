@@ -39,11 +39,14 @@ def version_key(tag: Column) -> Column:
 def simhash64(tokens: Column) -> Column:
     """Locality-sensitive 64-bit digest of an array of tokens: the majority of each hash bit."""
     hashes = F.transform(tokens, lambda t: F.xxhash64(t))
-    bit = lambda h, k: F.shiftrightunsigned(h, k).bitwiseAND(F.lit(1))
     out = F.lit(0).cast("long")
+
+    def set_at(k: int):
+        return lambda h: F.bit_get(h, F.lit(k)) == 1
+
     for k in range(64):
-        ones = F.aggregate(hashes, F.lit(0).cast("long"), lambda acc, h, k=k: acc + bit(h, k))
-        out = out.bitwiseOR(F.shiftleft(F.when(ones * 2 > F.size(tokens), F.lit(1)).otherwise(F.lit(0)).cast("long"), k))
+        ones = F.size(F.filter(hashes, set_at(k)))
+        out = out.bitwiseOR(F.when(ones * 2 > F.size(hashes), F.lit(1 << k if k < 63 else -(1 << 63)).cast("long")).otherwise(F.lit(0).cast("long")))
     return out
 
 
