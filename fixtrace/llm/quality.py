@@ -1,7 +1,7 @@
 """Quality classifier: document statistics, random Fourier features, ridge, isotonic calibration.
 
-``text_stats`` turns each whole text into a fixed vector of statistics (one Arrow pass, no shuffle).  ``fit``
-draws random Fourier features that approximate a Gaussian kernel over the standardised statistics, sums the
+``statistics`` turns a whole text into a fixed vector (one Arrow pass, no shuffle).  ``fit`` joins a bounded
+labelled sample, broadcast, to its texts, draws random Fourier features that approximate a Gaussian kernel over the standardised statistics, sums the
 normal equations partition by partition, solves the ridge system on the driver (its size depends only on the
 number of features) and calibrates raw scores by pool-adjacent-violators over a fixed number of score bins that
 Spark aggregates.  ``score`` applies the model in one Arrow pass.
@@ -66,14 +66,18 @@ def statistics(text: str | None) -> list[float]:
     ]
 
 
+def batch_stats(batch: pa.RecordBatch) -> np.ndarray:
+    return np.array([statistics(x.as_py()) for x in batch.column("text")], np.float64).reshape(batch.num_rows, len(STATISTICS))
+
+
 def text_stats(docs: DataFrame) -> DataFrame:
-    """doc_id and ``stats``, one row for each row of ``docs``."""
+    """doc_id, ``y`` and ``stats``, one row for each labelled document."""
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        found = [statistics(x.as_py()) for x in batch.column(1)]
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.float64()))], ["doc_id", "stats"])
+        found = pa.array(batch_stats(batch).tolist(), pa.list_(pa.float64()))
+        return pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("y"), found], ["doc_id", "y", "stats"])
 
-    return docs.select("doc_id", "text").mapInArrow(by_batch(kernel), "doc_id bigint, stats array<double>")
+    return docs.select("doc_id", "y", "text").mapInArrow(by_batch(kernel), "doc_id bigint, y double, stats array<double>")
 
 
 @dataclass(frozen=True)
@@ -123,18 +127,28 @@ def pool_adjacent(y: np.ndarray, weight: np.ndarray) -> np.ndarray:
     return np.concatenate([np.full(n, v) for v, _, n in blocks])
 
 
+def spark_sample(sample: DataFrame, max_rows: int) -> DataFrame:
+    """The sample, settled; broadcasting it is safe only while it holds about ``max_rows`` rows."""
+    sample = settle(sample)
+    if (n := sample.count()) > 1.2 * max_rows + 1000:
+        raise RuntimeError(f"a sample of {n} labelled rows is over the bound of {max_rows}")
+    return sample
+
+
 def _stack(batch: pa.RecordBatch, name: str) -> np.ndarray:
     return batch.column(name).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
 
 
-def fit(stats: DataFrame, labels: DataFrame, params: Params = Params()) -> Model:
+def fit(docs: DataFrame, labels: DataFrame, params: Params = Params()) -> Model:
     """Learn from rows of ``labels`` that are not held out; one fifth of the ids calibrates, the rest fits."""
     d = len(STATISTICS)
     known = labels.select(F.col("doc_id"), F.col("quality").cast("double").alias("y")).where("doc_id is not null and y is not null")
     known = known.where(~held_out(F.col("doc_id")))
     share = min(1.0, params.max_rows / max(known.count(), 1))
-    rows = stats.join(known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000)), "doc_id")
-    rows = settle(rows.withColumn("calibrates", F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 1).coalesce(16))
+    sample = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000))
+    sample = spark_sample(sample, params.max_rows)
+    rows = settle(text_stats(docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id")))
+    rows = rows.withColumn("calibrates", F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 1).coalesce(16)
     moments = rows.agg(F.count("*").alias("n"), *(f(F.col("stats")[k]).alias(f"{a}{k}") for k in range(d) for a, f in (("m", F.avg), ("s", F.stddev_pop)))).first()
     rng = np.random.default_rng(params.seed)
     omega, phase = rng.normal(0, np.sqrt(2 * params.gamma), (d, params.features)), rng.uniform(0, 2 * np.pi, params.features)
@@ -173,21 +187,29 @@ def fit(stats: DataFrame, labels: DataFrame, params: Params = Params()) -> Model
     return Model(model.mean, model.scale, omega, phase, model.weight, (at + 0.5) / params.bins * 3 - 1, pool_adjacent((y + 0.5) / (n + 1), n))
 
 
-def score(stats: DataFrame, model: Model, params: Params = Params()) -> DataFrame:
-    """doc_id, held_out, score, predicted for each row of ``stats``."""
+def score(docs: DataFrame, model: Model, params: Params = Params()) -> DataFrame:
+    """doc_id, held_out, score, predicted for each row of ``docs``, in one pass."""
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        s = model.calibrated(model.raw(_stack(batch, "stats")))
+        s = model.calibrated(model.raw(batch_stats(batch)))
         return pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.clip(s, 0, 1))], ["doc_id", "score"])
 
-    out = stats.mapInArrow(by_batch(kernel), "doc_id bigint, score double")
+    out = docs.select("doc_id", "text").mapInArrow(by_batch(kernel), "doc_id bigint, score double")
     return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= params.threshold).cast("int").alias("predicted"))
 
 
+def keep(docs: DataFrame, model: Model, params: Params = Params()) -> DataFrame:
+    """The rows of ``docs``, columns as they are, that score at least the threshold; texts are not shuffled."""
+
+    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
+        return batch.filter(pa.array(model.calibrated(model.raw(batch_stats(batch))) >= params.threshold))
+
+    return docs.mapInArrow(by_batch(kernel), docs.schema)
+
+
 def classify(docs: DataFrame, labels: DataFrame, params: Params = Params()) -> DataFrame:
-    """Score every document; statistics are computed once and shared by training and scoring."""
-    stats = settle(text_stats(docs))
-    return score(stats, fit(stats, labels, params), params)
+    """Score every document with a model learned from the labelled ones."""
+    return score(docs, fit(docs, labels, params), params)
 
 
 def op1_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
