@@ -83,11 +83,11 @@ def mix(docs: DataFrame, params: Params = Params()) -> DataFrame:
     counted = settle(marked.groupBy(*(F.col(f"__{a}").alias(a) for a in AXES)).agg(F.sum("__tokens").alias("tokens")))
     small = counted.count() <= params.max_cells
     cells = settle(fit_cells(counted.coalesce(1).sortWithinPartitions(*AXES) if small else counted, params))
-    cells = cells.select(*(F.col(a).alias(f"__{a}") for a in AXES), "keep_p")
+    cells = cells.select(*(F.col(a).alias(f"__{a}") for a in AXES), F.col("keep_p").alias("__p"))
     drawn = F.conv(F.substring(F.md5(F.col("doc_id").cast("string").cast("binary")), 1, 8), 16, 10).cast("double") / 4294967296.0
     out = marked.join(F.broadcast(cells) if small else cells, [f"__{a}" for a in AXES])
-    out = out.withColumns({"topic": F.col("__topic"), "tokens": F.col("__tokens").cast("long"), "kept": F.coalesce(drawn < F.col("keep_p"), F.lit(False)), "keep_p": F.round("keep_p", 6)})
-    return out.drop(*(f"__{a}" for a in AXES), "__tokens")
+    out = out.withColumns({"topic": F.col("__topic"), "tokens": F.col("__tokens").cast("long"), "kept": F.coalesce(drawn < F.col("__p"), F.lit(False)), "keep_p": F.round("__p", 6)})
+    return out.drop(*(f"__{a}" for a in AXES), "__tokens", "__p")
 
 
 def op10_raked_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
