@@ -11,7 +11,7 @@ from pyspark.sql import Window as W
 
 from fixtrace.functions import store
 from fixtrace.functions.text import squash
-from fixtrace.operators import backtrack, baselines, extraction, judge, reach, similarity, versions
+from fixtrace.operators import backtrack, baselines, detectors, extraction, judge, reach, similarity, versions
 from fixtrace.operators import measures as m
 from fixtrace.plans import natural
 from fixtrace.plans.lab import BLAME, METHODS, WEAKNESS, Lab
@@ -231,6 +231,17 @@ def w10_weight_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(_swept(Lab(spark, sf_dir), params), "precision", "recall", "f1").select("ratio", "precision", "recall", "f1")
 
 
+def w11_detectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every statement-change detector on the grid of thresholds, against the planted kinds."""
+    lab = Lab(spark, sf_dir)
+    pairs = lab.pairs.withColumns({"repo_id": (F.col("file_id") / 1000).cast("int"), "same": F.col("edit_kind") != 2})
+    pairs = store.settle(pairs.select("pre", "post", "repo_id", "same"))
+    scored = {"edit": detectors.edit(pairs), "md5": detectors.md5(pairs), "vector": detectors.vector(pairs), "two_level": detectors.two_level(pairs, lab.sims), "function_model": detectors.function_model(pairs)}
+    rows = functools.reduce(DataFrame.unionByName, (detectors.at_thresholds(df).withColumn("detector", F.lit(n)) for n, df in scored.items()))
+    best = F.row_number().over(W.partitionBy("detector").orderBy(F.desc_nulls_last("f1"), "theta")) == 1
+    return rounded(rows.withColumn("best", best), "precision", "recall", "f1")
+
+
 def w12_refactor_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Compared touches of the patched files and those found to be refactorings."""
     lab = Lab(spark, sf_dir)
@@ -304,7 +315,7 @@ def queries() -> dict[str, Query]:
     own = (
         w01_dataset_profile, w02_patch_classes, w02_weakness_types, w03_truth, w03_claims, w03_basic_blame, w03_engine_first_parent, w03_engine,
         w03_method_scores, w04_per_project, w05_merge_subset, w06_slices, w06_extraction_ablation, w07_prompt_grid, w08_vote, w08_agreement,
-        w08_jaccard, w09_cutoff_split, w10_weight_sweep, w12_refactor_share, w12_walk_counts, w13_threshold_sweep, w14_claim_audit, w14_severity,
+        w08_jaccard, w09_cutoff_split, w10_weight_sweep, w11_detectors, w12_refactor_share, w12_walk_counts, w13_threshold_sweep, w14_claim_audit, w14_severity,
         w15_judge_cost, w16_affected_versions, w16_ranges, w16_closure_check,
     )
     found = {f.__name__: f for f in own} | natural.queries()
