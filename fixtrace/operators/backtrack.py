@@ -102,3 +102,12 @@ def walk(stmts: DataFrame, preds: DataFrame, compared: DataFrame, max_rounds: in
         out = step if out is None else out.unionByName(step)
         now = step.select("vuln_id", "slot", "file_id", F.col("pred_commit_id").alias("commit_id")).distinct()
     return out
+
+
+def exact_stops(stmts: DataFrame, preds: DataFrame, compared: DataFrame) -> DataFrame:
+    """As ``statement_stops``, by walking every parent path step by step: the earliest lost touch that any path meets."""
+    steps = walk(stmts, preds, compared)
+    reached = steps.select("vuln_id", "slot", "file_id", F.col("pred_commit_id").alias("commit_id")).distinct()
+    lost = compared.where("lost").select("file_id", "slot", "commit_id", "seq")
+    found = reached.join(lost, ["file_id", "slot", "commit_id"]).groupBy("vuln_id", "slot").agg(F.min(F.struct("seq", "commit_id")).alias("stop"))
+    return found.select("vuln_id", "slot", F.col("stop.commit_id").alias("stop_commit"), F.col("stop.seq").alias("stop_seq"))

@@ -130,6 +130,9 @@ class Lab(History):
         claimed = lambda: baselines.advisory_versions(self.claims, self.tags)
         if name == "two_level":
             return self.affected(self.engine())
+        if name == "all_paths":
+            preds = settle(blame.predecessors(self.content))
+            return self.affected(backtrack.cumulative(self.statements, settle(backtrack.exact_stops(self.statements, preds, self.compared))))
         if name == "per_commit":
             return self.affected(backtrack.per_commit(self.statements, self.compared))
         if name == "first_parent":
@@ -168,5 +171,5 @@ class Lab(History):
         return rows.groupBy("vuln_id").agg(removed.alias("deleted"), F.collect_list("after").alias("added"))
 
 
-METHODS = ("two_level", "per_commit", "first_parent", "line_only", "unweighted", "claims", "blame_basic", "blame_annotated", "blame_tracked", "function_digest", "hybrid", "patch_presence", "dependence_match", "window_match")
+METHODS = ("two_level", "all_paths", "per_commit", "first_parent", "line_only", "unweighted", "claims", "blame_basic", "blame_annotated", "blame_tracked", "function_digest", "hybrid", "patch_presence", "dependence_match", "window_match")
 BLAME = ("blame_basic", "blame_annotated", "blame_tracked")

@@ -87,6 +87,26 @@ def w03_method_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(m.macro(rows, ["method"]), "precision", "recall", "f1")
 
 
+def w03_gains(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Relative F1 gain of the two-level method over the blame and claim methods."""
+    lab = Lab(spark, sf_dir)
+    rows = store.settle(functools.reduce(DataFrame.unionByName, (_score(lab, n) for n in ("two_level", "claims", *BLAME))))
+    scores = m.macro(rows, ["method"]).select("method", "f1")
+    own = scores.where("method = 'two_level'").select(F.col("f1").alias("own"))
+    return scores.where("method <> 'two_level'").crossJoin(F.broadcast(own)).select("method", F.round(m.relative_gain(F.col("own"), F.col("f1")), 6).alias("gain"))
+
+
+def w05_path_check(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Statements on which the closed form and the walk over all parent paths stop at the same touch."""
+    from fixtrace.operators.blame import predecessors
+
+    lab = Lab(spark, sf_dir)
+    closed = backtrack.statement_stops(lab.statements, lab.compared).select("vuln_id", "slot", F.col("stop_commit").alias("x"), "met_merge")
+    walked = backtrack.exact_stops(lab.statements, store.settle(predecessors(lab.content)), lab.compared).select("vuln_id", "slot", F.col("stop_commit").alias("y"))
+    both = closed.join(walked, ["vuln_id", "slot"], "full_outer")
+    return both.agg(F.count("*").alias("n_statements"), F.count_if(F.col("x").eqNullSafe(F.col("y"))).alias("n_same"), F.count_if("met_merge").alias("n_met_merge"))
+
+
 def w04_per_project(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(_score(Lab(spark, sf_dir), "two_level"), "precision", "recall", "f1")
 
@@ -314,7 +334,7 @@ def method_query(name: str) -> Query:
 def queries() -> dict[str, Query]:
     own = (
         w01_dataset_profile, w02_patch_classes, w02_weakness_types, w03_truth, w03_claims, w03_basic_blame, w03_engine_first_parent, w03_engine,
-        w03_method_scores, w04_per_project, w05_merge_subset, w06_slices, w06_extraction_ablation, w07_prompt_grid, w08_vote, w08_agreement,
+        w03_method_scores, w03_gains, w04_per_project, w05_path_check, w05_merge_subset, w06_slices, w06_extraction_ablation, w07_prompt_grid, w08_vote, w08_agreement,
         w08_jaccard, w09_cutoff_split, w10_weight_sweep, w11_detectors, w12_refactor_share, w12_walk_counts, w13_threshold_sweep, w14_claim_audit, w14_severity,
         w15_judge_cost, w16_affected_versions, w16_ranges, w16_closure_check,
     )
