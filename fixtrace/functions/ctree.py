@@ -24,14 +24,16 @@ class Unparsed(ValueError):
     """The text lies outside the grammar."""
 
 
-def lex(text: str) -> list[tuple[str, str]]:
-    out, at = [], 0
+def lex(text: str) -> list[tuple[str, str, int]]:
+    """(kind, lexeme, line number from 1)."""
+    out, at, line = [], 0, 1
     while at < len(text):
         m = LEXEMES.match(text, at)
         if not m or m.end() == at:
             raise Unparsed(f"at {at}: {text[at : at + 20]!r}")
         if m.lastgroup:
-            out.append((m.lastgroup, m.group()))
+            out.append((m.lastgroup, m.group(), line))
+        line += m.group().count("\n")
         at = m.end()
     return out
 
@@ -39,6 +41,7 @@ def lex(text: str) -> list[tuple[str, str]]:
 class Parser:
     def __init__(self, text: str):
         self.tokens, self.at, self.depth = lex(text), 0, 0
+        self.spans: list[tuple[int, int, tuple]] = []  # first line, last line and tree of every statement
 
     def peek(self, k: int = 0) -> str:
         return self.tokens[self.at + k][1] if self.at + k < len(self.tokens) else ""
@@ -70,7 +73,10 @@ class Parser:
         if self.depth > 200:
             raise Unparsed("nested too deeply")
         try:
-            return self._statement()
+            first = self.tokens[self.at][2] if self.at < len(self.tokens) else 0
+            tree = self._statement()
+            self.spans.append((first, self.tokens[self.at - 1][2], tree))
+            return tree
         finally:
             self.depth -= 1
 
@@ -273,6 +279,18 @@ def parse(text: str) -> tuple:
         raise Unparsed("nested too deeply") from None
 
 
+def subtrees(text: str, lines: set[int]) -> list[tuple]:
+    """For each wanted line the smallest statement that covers it, each once, in order."""
+    parser = Parser(text)
+    parser.program()
+    out = []
+    for line in sorted(lines):
+        covering = [(last - first, k, tree) for k, (first, last, tree) in enumerate(parser.spans) if first <= line <= last]
+        if covering and (found := min(covering)[2]) not in out:
+            out.append(found)
+    return out
+
+
 def definitions(rows) -> dict[str, tuple[list[str], tuple]]:
     """name to (parameters, body tree) from (name, parameters, body) rows; bodies that do not parse are left out."""
     out = {}
