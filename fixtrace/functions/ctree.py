@@ -285,7 +285,7 @@ def subtrees(text: str, lines: set[int]) -> list[tuple]:
     parser.program()
     out = []
     for line in sorted(lines):
-        covering = [(last - first, k, tree) for k, (first, last, tree) in enumerate(parser.spans) if first <= line <= last]
+        covering = [(last - first, -k, tree) for k, (first, last, tree) in enumerate(parser.spans) if first <= line <= last]
         if covering and (found := min(covering)[2]) not in out:
             out.append(found)
     return out
