@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fixtrace.llm import lines, mixing, ngrams, packing, quality
+from fixtrace.llm import common, lines, mixing, ngrams, packing, pick, quality
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -29,8 +29,8 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies (five words, 0.8) the smallest doc_id stays."""
     docs = docs.select(*COLUMNS)
-    first = ngrams.link(docs).where("doc_id = component_id").select("doc_id")
-    return docs.join(first, "doc_id", "left_semi").select(*COLUMNS)
+    copies = common.settle(ngrams.link(docs).where("doc_id <> component_id").select("doc_id").distinct())
+    return pick.leave(docs, copies).select(*COLUMNS)
 
 
 def mixing_to_targets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
