@@ -46,6 +46,8 @@ _BAD = re.compile(
     re.I,
 )
 _TITLED = re.compile(r"(?:article|entry|post|story|content)[\w-]*[\s_-]header", re.I)
+#: Names such as "has-sidebar" tell of the page around, not of the element.
+_SAYS_OF_PAGE = re.compile(r"(?<!\S)(?:has|with|no|without)[-_]\S+", re.I)
 _KEPT = {"html", "body", "article", "main"}
 
 
@@ -70,7 +72,7 @@ def _unwanted(tag: str, raw: str, inside: set[str]) -> bool:
         return False
     if found.get("role", "").lower() in _ROLES:
         return True
-    named = f"{found.get('class', '')} {found.get('id', '')}"
+    named = _SAYS_OF_PAGE.sub(" ", f"{found.get('class', '')} {found.get('id', '')}")
     return bool(_BAD.search(named)) and not _TITLED.search(named)
 
 
