@@ -171,5 +171,11 @@ class Lab(History):
         return rows.groupBy("vuln_id").agg(removed.alias("deleted"), F.collect_list("after").alias("added"))
 
 
+@functools.lru_cache(maxsize=2)
+def lab_of(spark, sf_dir: str) -> Lab:
+    """The lab of a session and directory; queries of one session share its frames, as the tables do not change."""
+    return Lab(spark, sf_dir)
+
+
 METHODS = ("two_level", "all_paths", "per_commit", "first_parent", "line_only", "unweighted", "claims", "blame_basic", "blame_annotated", "blame_tracked", "function_digest", "hybrid", "patch_presence", "dependence_match", "window_match")
 BLAME = ("blame_basic", "blame_annotated", "blame_tracked")

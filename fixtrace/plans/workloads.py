@@ -14,7 +14,7 @@ from fixtrace.functions.text import squash
 from fixtrace.operators import backtrack, baselines, detectors, extraction, judge, reach, similarity, versions
 from fixtrace.operators import measures as m
 from fixtrace.plans import natural
-from fixtrace.plans.lab import BLAME, METHODS, WEAKNESS, Lab
+from fixtrace.plans.lab import BLAME, METHODS, WEAKNESS, Lab, lab_of
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -24,7 +24,7 @@ def rounded(df: DataFrame, *names: str) -> DataFrame:
 
 
 def w01_dataset_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     n = lambda df, name: df.groupBy("repo_id").agg(F.count("*").alias(name))
     out = lab.project
     for part in (n(lab.commit, "n_commits"), n(lab.version_tag, "n_tags"), n(lab.fix_case, "n_cases")):
@@ -34,19 +34,19 @@ def w01_dataset_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w02_patch_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
     big = F.col("added") + F.col("deleted") > 50
-    return Lab(spark, sf_dir).fix_case.groupBy("patch_class").agg(F.count("*").alias("n_fixes"), F.sum("added").alias("added"), F.sum("deleted").alias("deleted"), F.count_if(big).alias("n_large"))
+    return lab_of(spark, sf_dir).fix_case.groupBy("patch_class").agg(F.count("*").alias("n_fixes"), F.sum("added").alias("added"), F.sum("deleted").alias("deleted"), F.count_if(big).alias("n_large"))
 
 
 def w02_weakness_types(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cases by weakness; every fifth case has a second one."""
     second = F.when(F.expr("vuln_id div 16") % 5 == 0, F.array("vuln_type", ((F.col("vuln_type") + 1) % 7))).otherwise(F.array("vuln_type"))
-    rows = Lab(spark, sf_dir).fix_case.select(F.explode(second).alias("vuln_type")).select(F.col("vuln_type").cast("int"))
+    rows = lab_of(spark, sf_dir).fix_case.select(F.explode(second).alias("vuln_type")).select(F.col("vuln_type").cast("int"))
     names = F.element_at(F.array(*map(F.lit, WEAKNESS)), F.col("vuln_type") + 1)
     return rows.groupBy("vuln_type").agg(F.count("*").alias("n_cases")).withColumn("weakness", names)
 
 
 def w03_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     n = lab.truth.groupBy("vuln_id").agg(F.count("*").alias("n_versions"))
     return lab.truth_origin.join(n, "vuln_id", "left").select("vuln_id", "trigger_slot", "origin_commit_id", F.coalesce("n_versions", F.lit(0)).alias("n_versions"))
 
@@ -61,35 +61,35 @@ def _score(lab: Lab, name: str) -> DataFrame:
 
 
 def w03_claims(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     return rounded(m.rates(m.confusion(lab.method("claims"), lab.truth, ["repo_id"])), "precision", "recall", "f1")
 
 
 def w03_basic_blame(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     return baselines.blame_basic(lab.deleted(), lab.content)
 
 
 def w03_engine_first_parent(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Origins found along first parents with equal weights."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     return lab.engine("first_parent", stmts=lab.statements.withColumn("weight", F.lit(1.0))).select("vuln_id", "origin_commit_id", F.round("score", 6).alias("score"))
 
 
 def w03_engine(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Origins found over merges with sensitive statements at double weight."""
-    return rounded(Lab(spark, sf_dir).engine(), "score")
+    return rounded(lab_of(spark, sf_dir).engine(), "score")
 
 
 def w03_method_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     rows = functools.reduce(DataFrame.unionByName, (_score(lab, n) for n in METHODS))
     return rounded(m.macro(rows, ["method"]), "precision", "recall", "f1")
 
 
 def w03_gains(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Relative F1 gain of the two-level method over the blame and claim methods."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     rows = store.settle(functools.reduce(DataFrame.unionByName, (_score(lab, n) for n in ("two_level", "claims", *BLAME))))
     scores = m.macro(rows, ["method"]).select("method", "f1")
     own = scores.where("method = 'two_level'").select(F.col("f1").alias("own"))
@@ -100,7 +100,7 @@ def w05_path_check(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Statements on which the closed form and the walk over all parent paths stop at the same touch."""
     from fixtrace.operators.blame import predecessors
 
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     closed = backtrack.statement_stops(lab.statements, lab.compared).select("vuln_id", "slot", F.col("stop_commit").alias("x"), "met_merge")
     walked = backtrack.exact_stops(lab.statements, store.settle(predecessors(lab.content)), lab.compared).select("vuln_id", "slot", F.col("stop_commit").alias("y"))
     both = closed.join(walked, ["vuln_id", "slot"], "full_outer")
@@ -108,12 +108,12 @@ def w05_path_check(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w04_per_project(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return rounded(_score(Lab(spark, sf_dir), "two_level"), "precision", "recall", "f1")
+    return rounded(_score(lab_of(spark, sf_dir), "two_level"), "precision", "recall", "f1")
 
 
 def w05_merge_subset(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Scores over the cases whose walk met a merged branch, with and without following it."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     met = backtrack.statement_stops(lab.statements, lab.compared).where("met_merge").select("vuln_id").distinct()
     out = []
     for name in ("two_level", "first_parent"):
@@ -148,14 +148,14 @@ def _judged(lab: Lab, flows: DataFrame, strategy: str = "few_shot_reason", noise
 
 def w06_slices(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The dependence slice of each case: direction counts."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     found = extraction.slices(*_functions(lab))
     return found.groupBy(F.col("func_id").cast("long").alias("vuln_id")).agg(F.count("*").alias("n_lines"), *(F.count_if(F.col("direction") == d).alias(f"n_{d}") for d in ("seed", "back", "fwd")))
 
 
 def w06_extraction_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Slice only, judge only and both: statements kept per case, and the scores of the origins found from them."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     functions, seeds = _functions(lab)
     functions = store.settle(functions)
     sliced = store.settle(extraction.slices(functions, seeds))
@@ -174,7 +174,7 @@ def w06_extraction_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w07_prompt_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three rule judges by three prompt styles: agreement and Jaccard of ten runs.  Shape only; no model runs here."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     functions, seeds = _functions(lab)
     flows = store.settle(_flow(extraction.slices(functions, seeds)))
     out = []
@@ -210,7 +210,7 @@ def w09_cutoff_split(spark: SparkSession, sf_dir: str) -> DataFrame:
     The tables' dates lie elsewhere than the three cutoffs, so the same three splits are placed at the quartiles of
     the case dates.
     """
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     marks = lab.cases.agg(F.percentile(F.unix_date(F.to_date("published_at")), F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75))).alias("q"))
     cuts = marks.select(F.posexplode("q").alias("cut", "day")).select("cut", F.last_day(F.date_from_unix_date(F.floor("day").cast("int"))).alias("until"))
     side = lab.cases.select("vuln_id", F.to_date("published_at").alias("on")).crossJoin(F.broadcast(cuts)).select("vuln_id", "cut", F.when(F.col("on") <= F.col("until"), "pre").otherwise("post").alias("side"))
@@ -248,12 +248,12 @@ _PARAMS = "p int, theta_a int, theta_b int, theta_s int, ratio double"
 
 def w10_weight_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     params = spark.createDataFrame([(k, 900, 800, 700, float(k)) for k in range(1, 6)], _PARAMS)
-    return rounded(_swept(Lab(spark, sf_dir), params), "precision", "recall", "f1").select("ratio", "precision", "recall", "f1")
+    return rounded(_swept(lab_of(spark, sf_dir), params), "precision", "recall", "f1").select("ratio", "precision", "recall", "f1")
 
 
 def w11_detectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every statement-change detector on the grid of thresholds, against the planted kinds."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     pairs = lab.pairs.withColumns({"repo_id": (F.col("file_id") / 1000).cast("int"), "same": F.col("edit_kind") != 2})
     pairs = store.settle(pairs.select("pre", "post", "repo_id", "same"))
     scored = {"edit": detectors.edit(pairs), "md5": detectors.md5(pairs), "vector": detectors.vector(pairs), "two_level": detectors.two_level(pairs, lab.sims), "function_model": detectors.function_model(pairs)}
@@ -264,7 +264,7 @@ def w11_detectors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w12_refactor_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Compared touches of the patched files and those found to be refactorings."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     rows = lab.pairs.join(lab.sims, ["pre", "post"])
     out = rows.agg(F.count("*").alias("n_compared"), F.count_if(similarity.refactoring()).alias("n_refactorings"))
     return out.withColumn("share", F.round(F.col("n_refactorings") / F.col("n_compared"), 6))
@@ -274,7 +274,7 @@ def w12_walk_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Comparisons that stepwise walks over all parents make: in all, per fix, and fixes with an empty walk."""
     from fixtrace.operators.blame import predecessors
 
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     preds = store.settle(predecessors(lab.content))
     steps = backtrack.walk(lab.statements, preds, lab.compared).where("round > 0").select("vuln_id", "slot", "commit_id", "pred_commit_id").distinct()
     per = lab.statements.select("vuln_id").distinct().join(steps.groupBy("vuln_id").agg(F.count("*").alias("n")), "vuln_id", "left").withColumn("n", F.coalesce("n", F.lit(0)))
@@ -286,16 +286,16 @@ def w13_threshold_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     grid = [k * 100 for k in range(1, 11)]
     rows = [(t, 800, 800) for t in grid] + [(900, t, 800) for t in grid] + [(900, 800, t) for t in grid]
     params = spark.createDataFrame([(k, *r, 2.0) for k, r in enumerate(rows)], _PARAMS)
-    return rounded(_swept(Lab(spark, sf_dir), params), "precision", "recall", "f1").select("p", "theta_a", "theta_b", "theta_s", "precision", "recall", "f1")
+    return rounded(_swept(lab_of(spark, sf_dir), params), "precision", "recall", "f1").select("p", "theta_a", "theta_b", "theta_s", "precision", "recall", "f1")
 
 
 def w14_claim_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     return m.audit(lab.claims, lab.truth, lab.tags).select("vuln_id", "source_id", "pattern", "audit", "pattern_found", "n_missing", "n_extra")
 
 
 def w14_severity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     wrong = m.audit(lab.claims, lab.truth, lab.tags)
     return wrong.groupBy("audit", m.band(F.col("severity")).alias("severity_band")).agg(F.count("*").alias("n_cases"))
 
@@ -306,16 +306,16 @@ def w15_judge_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w16_affected_versions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return Lab(spark, sf_dir).truth.select("vuln_id", "repo_id", "tag_no", "tag")
+    return lab_of(spark, sf_dir).truth.select("vuln_id", "repo_id", "tag_no", "tag")
 
 
 def w16_ranges(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return versions.as_ranges(Lab(spark, sf_dir).truth)
+    return versions.as_ranges(lab_of(spark, sf_dir).truth)
 
 
 def w16_closure_check(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs on which branch labels and the doubled edge closure disagree, in the two smallest repositories: none."""
-    lab = Lab(spark, sf_dir)
+    lab = lab_of(spark, sf_dir)
     few = F.broadcast(lab.commit.groupBy("repo_id").count().orderBy("count", "repo_id").limit(2).select("repo_id"))
     closed = reach.double_edges(lab.commit_edge.join(few, "repo_id")).select("repo_id", "child_id", "ancestor_id", F.lit(1).alias("by_edges"))
     c = store.settle(lab.commit.join(few, "repo_id"))
@@ -326,7 +326,7 @@ def w16_closure_check(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def method_query(name: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return Lab(spark, sf_dir).method(name).select("vuln_id", "repo_id", "tag_no").distinct()
+        return lab_of(spark, sf_dir).method(name).select("vuln_id", "repo_id", "tag_no").distinct()
 
     return run
 
