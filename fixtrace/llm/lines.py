@@ -1,10 +1,13 @@
 """Line deduplication over levelled sorted runs of line hashes.
 
-A run is a table of (h1, h2, n_docs, last_doc) sorted by hash: in how many documents of its batches a line key
-occurs and the largest ``doc_id`` that holds it.  ``LineRuns.ingest`` aggregates a new batch, merge-anti-joins it
-with the runs (both sides sorted by hash) to tell which keys are new, and adds the batch as a run of level 0;
-``fanout`` runs of a level are compacted into one of the next.  Counts add up and maxima combine, so the verdict
-over all runs does not depend on how rows were batched or when runs were compacted.
+A run is a table of (h1, h2, n_docs, last_doc, known) sorted by hash: in how many documents of its batches a line
+key occurs, the largest ``doc_id`` that holds it, and whether an older run holds the key.  ``LineRuns.ingest``
+aggregates a new batch and meets it with the keys of the runs in a merge join (both sides sorted by hash): keys that
+no run holds enter as new ones, the others as updates of count and maximum, so over all runs a key is new once.  The
+batch becomes a run of level 0; ``fanout`` runs of a level are compacted into one of the next, which folds updates
+into their keys.  Counts add up and maxima combine, so the verdict over all runs does not depend on how rows were
+batched or when runs were compacted.  ``drop_lines`` adds a batch for each doubling of the keys beyond
+``batch_keys``; every batch reads the keys held so far, so this work grows as n log n.
 
 A key is the line stripped of ``[\\x20\\x09-\\x0D]`` at both ends, A-Z lower-cased, told by two 64-bit hashes.
 
@@ -27,10 +30,17 @@ from fixtrace.llm.common import BLANKS, fold_lower, settle, shared_dir, table
 
 @dataclass(frozen=True)
 class Params:
+    """``batches`` is the least number of batches."""
+
     min_chars: int = 40
     min_docs: int = 5
     batches: int = 4
     fanout: int = 4
+    batch_keys: int = 2**18
+
+
+def batch_count(n_keys: int, params: Params) -> int:
+    return params.batches + (n_keys // params.batch_keys).bit_length()
 
 
 def _split(text: Column) -> Column:
@@ -53,6 +63,9 @@ def long_keys(docs: DataFrame, params: Params) -> DataFrame:
     return rows.select("doc_id", _hashes(F.col("key")).alias("h")).select("doc_id", "h.h1", "h.h2")
 
 
+RUN = "h1 bigint, h2 bigint, n_docs bigint, last_doc bigint, known boolean"
+
+
 class LineRuns:
     """The runs under one folder of the shared store."""
 
@@ -64,34 +77,45 @@ class LineRuns:
     def _write(self, run: DataFrame, level: int) -> None:
         path = f"{self.folder}/level{level}-run{self.written}"
         self.written += 1
-        run.repartition("h1", "h2").sortWithinPartitions("h1", "h2").write.parquet(path)
+        run.sortWithinPartitions("h1", "h2").write.parquet(path)
         while len(self.levels) <= level:
             self.levels.append([])
         self.levels[level].append(path)
 
     def _read(self, paths: list[str]) -> DataFrame:
-        return functools.reduce(DataFrame.unionByName, (self.spark.read.schema("h1 bigint, h2 bigint, n_docs bigint, last_doc bigint").parquet(p) for p in paths))
+        return functools.reduce(DataFrame.unionByName, (self.spark.read.schema(RUN).parquet(p) for p in paths))
+
+    def _paths(self) -> list[str]:
+        return [p for level in self.levels for p in level]
 
     def merged(self) -> DataFrame:
         """One row for each key over all runs."""
-        paths = [p for level in self.levels for p in level]
+        paths = self._paths()
         if not paths:
-            return self.spark.createDataFrame([], "h1 bigint, h2 bigint, n_docs bigint, last_doc bigint")
+            return self.spark.createDataFrame([], RUN).drop("known")
         found = self._read(paths)
-        return found if len(paths) == 1 else self._combine(found)
+        return (found if len(paths) == 1 else self._combine(found)).drop("known")
 
     @staticmethod
     def _combine(runs: DataFrame) -> DataFrame:
-        return runs.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("last_doc").alias("last_doc"))
+        return runs.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("last_doc").alias("last_doc"), F.min("known").alias("known"))
+
+    def _met(self, keys: DataFrame) -> DataFrame:
+        """``keys`` with ``known``: whether a run holds the hash, by a merge join of sorted inputs."""
+        paths = self._paths()
+        if not paths:
+            return keys.withColumn("known", F.lit(False))
+        held = self._read(paths).where(~F.col("known")).select("h1", "h2", F.lit(True).alias("known"))
+        return keys.join(held.hint("merge"), ["h1", "h2"], "left").withColumn("known", F.coalesce("known", F.lit(False)))
 
     def novel(self, keys: DataFrame) -> DataFrame:
-        """Rows of ``keys`` whose hash no run holds: a merge anti-join of sorted inputs."""
-        held = self.merged().select("h1", "h2")
-        return keys.join(held.hint("merge"), ["h1", "h2"], "left_anti")
+        """Rows of ``keys`` whose hash no run holds: a merge anti-join."""
+        return self._met(keys).where(~F.col("known")).drop("known")
 
     def ingest(self, keys: DataFrame) -> None:
-        """Add a batch of (doc_id, h1, h2) as a run; compact full levels."""
-        self._write(keys.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("doc_id").alias("last_doc")), 0)
+        """Add a batch of (doc_id, h1, h2) as a run of new keys and updates of known ones; compact full levels."""
+        batch = keys.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("doc_id").alias("last_doc"))
+        self._write(self._met(batch), 0)
         level = 0
         while len(self.levels[level]) >= self.fanout:
             full, self.levels[level] = self.levels[level], []
@@ -111,8 +135,9 @@ def drop_lines(docs: DataFrame, params: Params = Params()) -> DataFrame:
     spark = docs.sparkSession
     keys = settle(long_keys(docs.select("doc_id", "text"), params))
     runs = LineRuns(spark, f"{shared_dir(spark)}/line-runs-{uuid.uuid4().hex}", params.fanout)
-    for k in range(params.batches):
-        runs.ingest(keys.where(F.pmod(F.xxhash64("doc_id"), F.lit(params.batches)) == k))
+    batches = batch_count(keys.count(), params)
+    for k in range(batches):
+        runs.ingest(keys.where(F.pmod(F.xxhash64("doc_id"), F.lit(batches)) == k))
     shared = runs.merged().where(F.col("n_docs") >= params.min_docs).select("h1", "h2", "last_doc")
     lost = keys.join(shared, ["h1", "h2"]).where(F.col("doc_id") != F.col("last_doc"))
     lost = settle(lost.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("__lost")))

@@ -99,6 +99,28 @@ def test_new_batches_keep_only_novel_lines(spark, tmp_path):
     assert sum(map(len, runs.levels)) <= 3
 
 
+def test_ingest_tells_new_keys_from_known_ones(spark, tmp_path):
+    runs = lines.LineRuns(spark, f"file://{tmp_path}/told", fanout=3)
+    key = lambda *rows: spark.createDataFrame(list(rows), "doc_id long, h1 long, h2 long")
+    told = lambda: sorted((r.h1, r.n_docs, r.last_doc, r.known) for p in runs._paths() for r in spark.read.parquet(p).collect())
+    runs.ingest(key((9, 1, 1), (9, 2, 2)))
+    runs.ingest(key((3, 1, 1), (4, 1, 1), (4, 3, 3)))
+    assert told() == [(1, 1, 9, False), (1, 2, 4, True), (2, 1, 9, False), (3, 1, 4, False)]
+    runs.ingest(key((5, 3, 3)))
+    assert told() == [(1, 3, 9, False), (2, 1, 9, False), (3, 2, 5, False)] and runs.levels[0] == []
+    runs.ingest(key((6, 2, 2), (6, 7, 7)))
+    assert told() == [(1, 3, 9, False), (2, 1, 6, True), (2, 1, 9, False), (3, 2, 5, False), (7, 1, 6, False)]
+
+
+def test_batches_grow_with_the_keys(spark, monkeypatch):
+    assert [lines.batch_count(n, lines.Params()) for n in (0, 2**18, 2**22)] == [4, 5, 9]
+    seen, ingest = [], lines.LineRuns.ingest
+    monkeypatch.setattr(lines.LineRuns, "ingest", lambda self, keys: seen.append(1) or ingest(self, keys))
+    docs = spark.createDataFrame([(k, f"line {k % 9} of more than forty code points, shared by some") for k in range(40)], "doc_id long, text string")
+    got = lines.drop_lines(docs, lines.Params(batches=2, fanout=2, batch_keys=10)).collect()
+    assert len(seen) == 5 and {r.doc_id for r in got if not r.n_dropped} == {*range(31, 40)} | {k for k in range(40) if 40 // 9 + (k % 9 < 4) < 5}
+
+
 def test_line_sql(spark, small, duck):
     from tests.compare import normal
 
