@@ -1,8 +1,8 @@
 """Licence scan: ordered signature rules behind a keyword prefilter, DataFrame functions only.
 
-Texts whose lower-cased form holds none of the prefilter stems are never split further.  In the others, each rule
-is tried only where its keyword is one of the text's words: the words met meet the rule table in a broadcast join
-(the table is a constant of a few hundred rows).  A rule is a regular expression over the words joined by single
+Each rule is tried only where its keyword is one of the text's words: the words met meet the rule table in a
+broadcast join (the table is a constant of a few hundred rows).  Every match of a rule holds its keyword, so the
+prefilter rejects no text that a rule matches.  A rule is a regular expression over the words joined by single
 spaces; every match becomes a word interval.  Within a text, intervals are swept by start, then longest, then
 priority, and one contained in an earlier one is suppressed.  The three base phrases are found on the word array
 itself and their labels always stay.
@@ -21,7 +21,6 @@ from fixtrace.llm.common import fold_lower, table
 
 #: Words before and after A-Z are lower-cased have the same bounds.
 WORDS = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-STEMS = ("licen", "spdx", "copyright", "public domain", "copyleft", "warrant")
 
 #: label, words of the name as a regular expression over single-spaced words, keyword.
 FAMILIES = (
@@ -96,19 +95,16 @@ def _intervals(joined, pattern):
 def scan(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(texts, detections): a row for each document, and the detections that survive suppression."""
     spark = docs.sparkSession
-    text = F.coalesce(F.col("text"), F.lit(""))
-    lowered = F.lower(text)
-    likely = lowered.contains(STEMS[0])
-    for stem in STEMS[1:]:
-        likely = likely | lowered.contains(stem)
-    words = F.when(likely, F.regexp_extract_all(fold_lower(text), F.lit(WORDS), F.lit(0)))
-    texts = docs.select("doc_id", F.xxhash64("text").alias("text_hash"), F.size(F.regexp_extract_all(text, F.lit(WORDS), F.lit(0))).cast("long").alias("n_words"), words.alias("words"))
+    words = F.regexp_extract_all(fold_lower(F.coalesce(F.col("text"), F.lit(""))), F.lit(WORDS), F.lit(0))
+    split = docs.select("doc_id", F.xxhash64("text").alias("text_hash"), words.alias("words"))
+    texts = split.select("doc_id", "text_hash", F.size("words").cast("long").alias("n_words"), "words")
     rules = spark.createDataFrame(rule_rows(), "rule string, label string, pattern string, keyword string, priority int, relevance double")
     keywords = sorted({r[3] for r in rule_rows()})
-    hits = docs.where(likely).select("doc_id", F.xxhash64("text").alias("text_hash"), F.regexp_extract_all(fold_lower(text), F.lit(WORDS), F.lit(0)).alias("words")).dropDuplicates(["doc_id", "text_hash"])
-    hits = hits.select("doc_id", "text_hash", F.concat(F.lit(" "), F.array_join("words", " "), F.lit(" ")).alias("joined"), F.explode(F.array_intersect("words", F.array(*map(F.lit, keywords)))).alias("keyword"))
+    hits = split.withColumn("met", F.array_intersect("words", F.array(*map(F.lit, keywords)))).where(F.size("met") > 0)
+    hits = hits.select("doc_id", "text_hash", F.concat(F.lit(" "), F.array_join("words", " "), F.lit(" ")).alias("joined"), F.explode("met").alias("keyword"))
     tried = hits.join(F.broadcast(rules), "keyword").where(F.expr("joined rlike pattern"))
     found = tried.select("doc_id", "text_hash", "rule", "label", "priority", "relevance", F.explode(_intervals(F.col("joined"), F.col("pattern"))).alias("x")).select("*", "x.first", "x.last").drop("x")
+    # a repeated row's detections equal the first one's, so the sweep drops them as contained
     order = W.partitionBy("doc_id", "text_hash").orderBy("first", F.col("last").desc(), F.col("priority").desc(), "rule")
     before = F.max("last").over(order.rowsBetween(W.unboundedPreceding, -1))
     kept = found.withColumn("before", before).where(F.col("before").isNull() | (F.col("before") < F.col("last"))).drop("before")
@@ -119,7 +115,7 @@ def label_texts(docs: DataFrame) -> DataFrame:
     """One row for each document, base and method labels together."""
     texts, found = scan(docs)
     per_text = found.groupBy("doc_id", "text_hash").agg(F.collect_set("label").alias("more"), F.max("relevance").alias("top"))
-    base = texts.select("doc_id", "text_hash", "n_words", F.when(F.col("words").isNotNull(), _base(F.col("words"))).alias("base"))
+    base = texts.select("doc_id", "text_hash", "n_words", F.when(F.array_contains("words", "license"), _base(F.col("words"))).alias("base"))
     per_text = per_text.select(F.col("doc_id").alias("__doc"), F.col("text_hash").alias("__hash"), "more", "top")
     out = base.join(per_text, F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("text_hash") == F.col("__hash")), "left")
     starts = F.col("base.start")

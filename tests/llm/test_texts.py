@@ -68,6 +68,19 @@ def test_license_places(spark, docs):
     assert 200 <= len(licenses.rule_rows()) <= 400
 
 
+def test_texts_that_hold_no_stem_are_scanned(spark):
+    want = {
+        "All rights reserved.": "all-rights-reserved", "Permission is hereby granted, free of charge": "permission-notice", "Redistribution and use in source and binary forms": "redistribution",
+        "released under the GPL": "gpl", "Distributed under MIT": "mit", "available under the terms of Apache 2.0": "apache-2.0", "in the public\ndomain": "public-domain", "in the public  domain": "public-domain", "no such words": "",
+    }
+    docs = spark.createDataFrame(list(enumerate(want)) * 2, "doc_id long, text string")
+    got = licenses.label_texts(docs).collect()
+    assert len(got) == 2 * len(want)
+    for r in got:
+        assert list(want.values())[r.doc_id] in r.labels.split(",")
+    assert licenses.scan(docs.where("doc_id = 0"))[1].count() == 1  # a repeated row adds no detection
+
+
 def test_contained_detections_are_suppressed(spark):
     docs = spark.createDataFrame([(1, "x released under the apache license version 2.0 y")], "doc_id long, text string")
     found = licenses.scan(docs)[1].collect()
