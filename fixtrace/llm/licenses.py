@@ -22,20 +22,22 @@ from fixtrace.llm.common import fold_lower, table
 #: Words before and after A-Z are lower-cased have the same bounds.
 WORDS = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
-#: label, words of the name as a regular expression over single-spaced words, keyword.
+#: label, words of the name as a regular expression over single-spaced words, keyword, which all that it matches holds.
 FAMILIES = (
     ("mit", "mit", "mit"), ("mit-0", "mit (?:0|no attribution)", "mit"), ("expat", "expat", "expat"), ("apache", "apache", "apache"),
     ("apache-1.1", "apache(?: version)? 1 1", "apache"), ("apache-2.0", "apache(?: version| license version)? 2(?: 0)?", "apache"),
-    ("gpl", "(?:gnu )?(?:gpl|general public)", "general"), ("gpl", "(?:gnu )?gpl", "gpl"), ("gpl-2.0", "(?:gnu )?gpl(?: version)?(?: v)? ?2(?: 0)?", "gpl"), ("gpl-2.0", "gplv2", "gplv2"),
-    ("gpl-3.0", "(?:gnu )?gpl(?: version)?(?: v)? ?3(?: 0)?", "gpl"), ("gpl-3.0", "gplv3", "gplv3"), ("lgpl", "(?:gnu )?lgpl", "lgpl"), ("lgpl", "(?:gnu )?(?:lesser|library) general public", "general"),
-    ("lgpl-2.1", "lgpl(?: version)?(?: v)? ?2 1", "lgpl"), ("lgpl-3.0", "lgpl(?: version)?(?: v)? ?3(?: 0)?", "lgpl"), ("agpl", "(?:gnu )?(?:agpl|agplv3)", "agpl"), ("agpl", "(?:gnu )?affero general public", "affero"),
+    ("gpl", "(?:gnu )?general public", "general"), ("gpl", "(?:gnu )?gpl", "gpl"), ("gpl-2.0", "(?:gnu )?gpl(?:(?: version)?(?: v| v | )| version)2(?: 0)?", "gpl"), ("gpl-2.0", "gplv2", "gplv2"), ("gpl-2.0", "(?:gnu )?gpl2(?: 0)?", "gpl2"),
+    ("gpl-3.0", "(?:gnu )?gpl(?:(?: version)?(?: v| v | )| version)3(?: 0)?", "gpl"), ("gpl-3.0", "gplv3", "gplv3"), ("gpl-3.0", "(?:gnu )?gpl3(?: 0)?", "gpl3"), ("lgpl", "(?:gnu )?lgpl", "lgpl"), ("lgpl", "(?:gnu )?(?:lesser|library) general public", "general"),
+    ("lgpl-2.1", "lgpl(?:(?: version)?(?: v| v | )| version)2 1", "lgpl"), ("lgpl-2.1", "lgpl2 1", "lgpl2"), ("lgpl-3.0", "lgpl(?:(?: version)?(?: v| v | )| version)3(?: 0)?", "lgpl"), ("lgpl-3.0", "lgpl3(?: 0)?", "lgpl3"),
+    ("agpl", "(?:gnu )?agpl", "agpl"), ("agpl", "(?:gnu )?agplv3", "agplv3"), ("agpl", "(?:gnu )?affero general public", "affero"),
     ("bsd", "bsd", "bsd"), ("bsd-2-clause", "(?:simplified bsd|bsd 2 clause|2 clause bsd)", "bsd"), ("bsd-3-clause", "(?:new bsd|modified bsd|bsd 3 clause|3 clause bsd)", "bsd"), ("bsd-4-clause", "(?:original bsd|bsd 4 clause|4 clause bsd)", "bsd"),
-    ("mpl", "(?:mpl|mozilla public)", "mozilla"), ("mpl-2.0", "mozilla public(?: license)?(?: version)? 2(?: 0)?", "mozilla"), ("epl", "eclipse public", "eclipse"), ("cddl", "common development and distribution", "distribution"),
+    ("mpl", "mpl", "mpl"), ("mpl", "mozilla public", "mozilla"), ("mpl-2.0", "mozilla public(?: license)?(?: version)? 2(?: 0)?", "mozilla"), ("epl", "eclipse public", "eclipse"), ("cddl", "common development and distribution", "distribution"),
     ("cpl", "common public", "common"), ("isc", "isc", "isc"), ("zlib", "zlib", "zlib"), ("boost", "boost(?: software)?", "boost"), ("unlicense", "unlicense", "unlicense"),
-    ("wtfpl", "wtfpl", "wtfpl"), ("artistic", "artistic", "artistic"), ("python", "(?:psf|python(?: software foundation)?)", "python"), ("postgresql", "postgresql", "postgresql"),
-    ("eupl", "(?:eupl|european union public)", "european"), ("ofl", "(?:ofl|sil open font)", "font"), ("cc0", "(?:cc0|creative commons zero)", "cc0"), ("cc-by", "(?:cc by|creative commons attribution)", "attribution"),
-    ("cc-by-sa", "(?:cc by sa|creative commons attribution share ?alike)", "commons"), ("cc-by-nc", "(?:cc by nc|creative commons attribution non ?commercial)", "commons"), ("cecill", "cecill", "cecill"), ("ncsa", "ncsa", "ncsa"),
-    ("openssl", "openssl", "openssl"), ("php", "php", "php"), ("ruby", "ruby", "ruby"), ("vim", "vim", "vim"), ("odbl", "(?:odbl|open database)", "database"),
+    ("wtfpl", "wtfpl", "wtfpl"), ("artistic", "artistic", "artistic"), ("python", "psf", "psf"), ("python", "python(?: software foundation)?", "python"), ("postgresql", "postgresql", "postgresql"),
+    ("eupl", "eupl", "eupl"), ("eupl", "european union public", "european"), ("ofl", "ofl", "ofl"), ("ofl", "sil open font", "font"), ("cc0", "cc0", "cc0"), ("cc0", "creative commons zero", "commons"),
+    ("cc-by", "cc by", "cc"), ("cc-by", "creative commons attribution", "attribution"), ("cc-by-sa", "cc by sa", "cc"), ("cc-by-nc", "cc by nc", "cc"),
+    ("cc-by-sa", "creative commons attribution share ?alike", "commons"), ("cc-by-nc", "creative commons attribution non ?commercial", "commons"), ("cecill", "cecill", "cecill"), ("ncsa", "ncsa", "ncsa"),
+    ("openssl", "openssl", "openssl"), ("php", "php", "php"), ("ruby", "ruby", "ruby"), ("vim", "vim", "vim"), ("odbl", "odbl", "odbl"), ("odbl", "open database", "database"),
 )
 #: suffix of the rule's name, expression around a family's words, priority, relevance.
 FORMS = (

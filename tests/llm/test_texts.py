@@ -81,6 +81,44 @@ def test_texts_that_hold_no_stem_are_scanned(spark):
     assert licenses.scan(docs.where("doc_id = 0"))[1].count() == 1  # a repeated row adds no detection
 
 
+def examples(pattern):
+    """Every text that a rule's expression matches, one digit for all."""
+    from re import _parser
+
+    def item(op, arg):
+        if str(op) == "LITERAL":
+            return [chr(arg)]
+        if str(op) == "IN":
+            return ["7"] if str(arg[0][0]) == "RANGE" else [chr(x) for _, x in arg]
+        if str(op) == "SUBPATTERN":
+            return several(arg[3])
+        if str(op) == "BRANCH":
+            return [x for part in arg[1] for x in several(part)]
+        if str(op) == "MAX_REPEAT":
+            return [x * n for n in {arg[0], arg[1]} for x in several(arg[2])]
+        assert str(op) == "ASSERT"
+        return [""]
+
+    def several(parts):
+        out = [""]
+        for op, arg in parts:
+            out = [a + b for a in out for b in item(op, arg)]
+        return out
+
+    return sorted(set(several(_parser.parse(pattern))))
+
+
+def test_every_alternative_of_every_rule_is_detected(spark):
+    for rule, _, pattern, keyword, _, _ in licenses.rule_rows():
+        assert all(keyword in x.split() for x in examples(pattern)), rule
+    cases = [(label, form.format(x)) for label, name, _ in licenses.FAMILIES for x in examples(name) for form in ("licensed under the {}", "spdx license identifier {}", "{} license")]
+    cases += [(label, x) for label, pattern, *_ in licenses.NOTICES for x in examples(pattern)]
+    assert {("mpl", "mpl license"), ("eupl", "licensed under the eupl"), ("cc-by", "cc by license"), ("agpl", "agplv3 license"), ("gpl-2.0", "gpl version2 license")} <= set(cases)
+    docs = spark.createDataFrame([(k, x) for k, (_, x) in enumerate(cases)] + [(-1, "SPDX-License-Identifier: MPL-2.0")], "doc_id long, text string")
+    got = {r.doc_id: r.labels.split(",") for r in licenses.label_texts(docs).collect()}
+    assert not [c for k, c in enumerate(cases) if c[0] not in got[k]] and "mpl" in got[-1]
+
+
 def test_contained_detections_are_suppressed(spark):
     docs = spark.createDataFrame([(1, "x released under the apache license version 2.0 y")], "doc_id long, text string")
     found = licenses.scan(docs)[1].collect()
