@@ -6,7 +6,7 @@ share, then per statement the latest touch where it is lost, then per case a run
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -27,47 +27,50 @@ def compared_touches(content: DataFrame, flags: DataFrame) -> DataFrame:
     return rows.withColumn("lost", F.col("pre").isNull() | ~(same | F.coalesce("similar", F.lit(False))))
 
 
-def statement_stops(stmts: DataFrame, compared: DataFrame, merges: str = "earliest") -> DataFrame:
+def statement_stops(stmts: DataFrame, compared: DataFrame, merges: str = "earliest", by: tuple[str, ...] = ()) -> DataFrame:
     """(vuln_id, slot, stop_commit, stop_seq): where the walk back from the fix loses each statement.
 
+    ``by``: columns of ``compared`` that number separate walks, as the rows of a sweep; they are kept.
+
     On the main lane that is the last lost touch before the fix.  With ``merges='earliest'`` a branch merged after
     it and before the fix is walked as well: to its own last lost touch, else to the main lane's last lost touch
     at its fork; the earliest stop counts.  ``first_parent`` follows the main lane only.
     """
     s = stmts.select("vuln_id", "slot", "file_id", "fix_seq")
-    lost = compared.where("lost").select("file_id", "slot", "lane", "block", "seq", "commit_id", "fork", "mseq")
+    lost = compared.where("lost").select(*by, "file_id", "slot", "lane", "block", "seq", "commit_id", "fork", "mseq")
     note = F.struct("seq", "commit_id")
     main = s.join(lost.where("lane = 'main'"), ["file_id", "slot"]).where("seq < fix_seq")
-    on_main = main.groupBy("vuln_id", "slot", "file_id", "fix_seq").agg(F.max(note).alias("stop"))
+    on_main = main.groupBy(*by, "vuln_id", "slot", "file_id", "fix_seq").agg(F.max(note).alias("stop"))
     if merges == "earliest":
-        branches = compared.where("lane = 'feature' and mseq is not null").groupBy("file_id", "slot", "block").agg(
+        branches = compared.where("lane = 'feature' and mseq is not null").groupBy(*by, "file_id", "slot", "block").agg(
             F.first("fork").alias("at_fork"), F.first("mseq").alias("at"), F.max(F.when(F.col("lost"), note)).alias("own")
         )
-        reached = on_main.join(branches, ["file_id", "slot"]).where((F.col("at") <= F.col("fix_seq")) & (F.col("at") > F.col("stop.seq")))
-        inside = reached.where("own is not null").select("vuln_id", "slot", F.col("own").alias("stop"))
-        outside = reached.where("own is null").select("vuln_id", "slot", "file_id", "at_fork")
-        forked = outside.join(lost.where("lane = 'main'"), ["file_id", "slot"]).where("seq <= at_fork").groupBy("vuln_id", "slot", "at_fork").agg(F.max(note).alias("stop")).drop("at_fork")
-        every = on_main.select("vuln_id", "slot", "stop").unionByName(inside).unionByName(forked)
-        met = reached.select("vuln_id").distinct().withColumn("met_merge", F.lit(True))
-        on_main = every.groupBy("vuln_id", "slot").agg(F.min("stop").alias("stop")).join(met, "vuln_id", "left")
+        reached = on_main.join(branches, [*by, "file_id", "slot"]).where((F.col("at") <= F.col("fix_seq")) & (F.col("at") > F.col("stop.seq")))
+        inside = reached.where("own is not null").select(*by, "vuln_id", "slot", F.col("own").alias("stop"))
+        outside = reached.where("own is null").select(*by, "vuln_id", "slot", "file_id", "at_fork")
+        forked = outside.join(lost.where("lane = 'main'"), [*by, "file_id", "slot"]).where("seq <= at_fork").groupBy(*by, "vuln_id", "slot", "at_fork").agg(F.max(note).alias("stop")).drop("at_fork")
+        every = on_main.select(*by, "vuln_id", "slot", "stop").unionByName(inside).unionByName(forked)
+        met = reached.select(*by, "vuln_id").distinct().withColumn("met_merge", F.lit(True))
+        on_main = every.groupBy(*by, "vuln_id", "slot").agg(F.min("stop").alias("stop")).join(met, [*by, "vuln_id"], "left")
     else:
         on_main = on_main.withColumn("met_merge", F.lit(False))
-    return on_main.select("vuln_id", "slot", F.col("stop.commit_id").alias("stop_commit"), F.col("stop.seq").alias("stop_seq"), F.coalesce("met_merge", F.lit(False)).alias("met_merge"))
+    return on_main.select(*by, "vuln_id", "slot", F.col("stop.commit_id").alias("stop_commit"), F.col("stop.seq").alias("stop_seq"), F.coalesce("met_merge", F.lit(False)).alias("met_merge"))
 
 
-def cumulative(stmts: DataFrame, stops: DataFrame, theta: int = 700) -> DataFrame:
+def cumulative(stmts: DataFrame, stops: DataFrame, theta: int | Column = 700, by: tuple[str, ...] = ()) -> DataFrame:
     """(vuln_id, origin_commit_id, origin_seq, score): the latest commit at which the kept weight falls below theta.
 
     A statement once lost stays lost, so the score only falls going back and one running sum replaces the loop.
-    Statements without any history count as lost only after all others.
+    Statements without any history count as lost only after all others.  ``by``: columns of both inputs that number
+    separate walks; ``theta`` may be one of them.
     """
-    held = stmts.select("vuln_id", "slot", "weight").join(stops, ["vuln_id", "slot"])
-    total = stmts.join(stops, ["vuln_id", "slot"], "left_semi").groupBy("vuln_id").agg(F.sum("weight").alias("total"))
-    per = held.groupBy("vuln_id", "stop_commit", "stop_seq").agg(F.sum("weight").alias("w")).join(total, "vuln_id")
-    gone = F.sum("w").over(W.partitionBy("vuln_id").orderBy(F.desc("stop_seq"), F.desc("stop_commit")).rowsBetween(W.unboundedPreceding, W.currentRow))
+    held = stmts.select(*by, "vuln_id", "slot", "weight").join(stops, [*by, "vuln_id", "slot"])
+    total = stmts.join(stops, [*by, "vuln_id", "slot"], "left_semi").groupBy(*by, "vuln_id").agg(F.sum("weight").alias("total"))
+    per = held.groupBy(*by, "vuln_id", "stop_commit", "stop_seq").agg(F.sum("weight").alias("w")).join(total, [*by, "vuln_id"])
+    gone = F.sum("w").over(W.partitionBy(*by, "vuln_id").orderBy(F.desc("stop_seq"), F.desc("stop_commit")).rowsBetween(W.unboundedPreceding, W.currentRow))
     scored = per.withColumn("score", 1 - gone / F.col("total")).where(F.round(F.col("score") * 1000) < theta)
     best = F.max_by(F.struct("stop_commit", "stop_seq", "score"), F.struct("stop_seq", "stop_commit")).alias("x")
-    return scored.groupBy("vuln_id").agg(best).select("vuln_id", F.col("x.stop_commit").alias("origin_commit_id"), F.col("x.stop_seq").alias("origin_seq"), "x.score")
+    return scored.groupBy(*by, "vuln_id").agg(best).select(*by, "vuln_id", F.col("x.stop_commit").alias("origin_commit_id"), F.col("x.stop_seq").alias("origin_seq"), "x.score")
 
 
 def per_commit(stmts: DataFrame, compared: DataFrame, theta: int = 700) -> DataFrame:

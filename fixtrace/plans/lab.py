@@ -43,9 +43,14 @@ class Lab(History):
 
     @functools.cached_property
     def sims(self) -> DataFrame:
-        """(pre, post, sim_a, sim_b) of distinct text pairs; both levels, for sweeps."""
+        """(pre, post, sim_a, sim_b) of distinct text pairs; the tree level where the line level is below its threshold."""
         return settle(similarity.compare(self.pairs, self.definitions))
 
+    @functools.cached_property
+    def sims_both(self) -> DataFrame:
+        """As ``sims`` with both levels of every pair, for sweeps."""
+        return settle(similarity.compare(self.pairs, self.definitions, theta_line=None))
+
     @functools.cached_property
     def flags(self) -> DataFrame:
         return self.sims.select("pre", "post", similarity.stage().alias("similar"))

@@ -219,26 +219,22 @@ def w09_cutoff_split(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _swept(lab: Lab, params: DataFrame) -> DataFrame:
-    """Macro scores of the first-parent walk for each row of ``params`` (p, theta_a, theta_b, theta_s, ratio).
+    """Macro scores of the engine's walk over merges for each row of ``params`` (p, theta_a, theta_b, theta_s, ratio).
 
-    Similarities are computed once; every parameter row only re-reads them.
+    Both levels are computed once for every pair; every parameter row only re-reads them.
     """
-    sims = lab.sims.select("pre", "post", "sim_a", "sim_b")
-    main = lab.pairs.where("lane = 'main'").join(sims, ["pre", "post"]).select("file_id", "slot", "seq", "commit_id", F.round(F.col("sim_a") * 1000).alias("a"), F.coalesce(F.round(F.col("sim_b") * 1000), F.lit(-1)).alias("b"), (F.col("pre") == F.col("post")).alias("same"))
-    first = lab.content.where("lane = 'main' and pred0 is null").select("file_id", "slot", "seq", "commit_id", F.lit(-1.0).alias("a"), F.lit(-1.0).alias("b"), F.lit(False).alias("same"))
-    touches = store.settle(main.unionByName(first).join(lab.statements.select("vuln_id", "slot", "file_id", "fix_seq", "sensitive"), ["file_id", "slot"]).where("seq < fix_seq"))
-    rows = touches.crossJoin(F.broadcast(params))
-    # where the line level is skipped the tree level was not computed; such pairs pass at any tree threshold
-    tree = (F.col("b") >= F.col("theta_b")) | ((F.col("b") < 0) & (F.col("a") >= similarity.THETA_LINE))
-    lost = ~(F.col("same") | (F.col("a") >= F.col("theta_a")) | tree)
-    stops = rows.where(lost).groupBy("p", "theta_s", "ratio", "vuln_id", "slot", "sensitive").agg(F.max(F.struct("seq", "commit_id")).alias("stop"))
-    weight = F.when(F.col("sensitive"), F.col("ratio")).otherwise(1.0)
-    total = F.sum("weight").over(W.partitionBy("p", "vuln_id"))
-    gone = F.sum("weight").over(W.partitionBy("p", "vuln_id").orderBy(F.desc("stop.seq"), "slot"))
-    scored = stops.withColumn("weight", weight).withColumns({"gone": gone, "total": total}).where(F.round((1 - F.col("gone") / F.col("total")) * 1000) < F.col("theta_s"))
-    origins = scored.groupBy("p", "vuln_id").agg(F.max("stop").alias("x")).select("p", "vuln_id", F.col("x.seq").alias("origin_seq"))
-    case = lab.cases.select("vuln_id", "repo_id", "fix_seq")
-    found = origins.join(case, "vuln_id").join(lab.tags, "repo_id").where("seq >= origin_seq and seq < fix_seq").select("p", "vuln_id", "repo_id", "tag_no")
+    by = ("p", "theta_s")
+    flags = lab.sims_both.select("pre", "post", F.lit(None).cast("boolean").alias("similar"), F.round(F.col("sim_a") * 1000).alias("a"), F.round(F.col("sim_b") * 1000).alias("b"))
+    touches = store.settle(backtrack.compared_touches(lab.content, flags))
+    similar = (F.col("a") >= F.col("theta_a")) | F.coalesce(F.col("b") >= F.col("theta_b"), F.lit(False))
+    lost = F.col("pre").isNull() | ~((F.col("pre") == F.col("text")) | F.coalesce(similar, F.lit(False)))
+    compared = store.settle(touches.crossJoin(F.broadcast(params)).withColumn("lost", lost))
+    stops = store.settle(backtrack.statement_stops(lab.statements, compared, by=by))
+    stmts = lab.statements.crossJoin(F.broadcast(params)).withColumn("weight", F.when(F.col("sensitive"), F.col("ratio")).otherwise(1.0))
+    origins = backtrack.cumulative(stmts, stops, F.col("theta_s"), by)
+    held = lab.commit.select(F.col("commit_id").alias("origin_commit_id"), "repo_id", reach.arrival().alias("arrival"))
+    case = lab.cases.select("vuln_id", "fix_seq")
+    found = origins.join(held, "origin_commit_id").join(case, "vuln_id").join(lab.tags, "repo_id").where("seq >= arrival and seq < fix_seq").select("p", "vuln_id", "repo_id", "tag_no")
     truth = lab.truth.crossJoin(F.broadcast(params.select("p")))
     return m.macro(m.rates(m.confusion(found, truth, ["p", "repo_id"])), ["p"]).join(F.broadcast(params), "p")
 
@@ -256,7 +252,7 @@ def w11_detectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     lab = lab_of(spark, sf_dir)
     pairs = lab.pairs.withColumns({"repo_id": (F.col("file_id") / 1000).cast("int"), "same": F.col("edit_kind") != 2})
     pairs = store.settle(pairs.select("pre", "post", "repo_id", "same"))
-    scored = {"edit": detectors.edit(pairs), "md5": detectors.md5(pairs), "vector": detectors.vector(pairs), "two_level": detectors.two_level(pairs, lab.sims), "function_model": detectors.function_model(pairs)}
+    scored = {"edit": detectors.edit(pairs), "md5": detectors.md5(pairs), "vector": detectors.vector(pairs), "two_level": detectors.two_level(pairs, lab.sims_both), "function_model": detectors.function_model(pairs)}
     rows = functools.reduce(DataFrame.unionByName, (detectors.at_thresholds(df).withColumn("detector", F.lit(n)) for n, df in scored.items()))
     best = F.row_number().over(W.partitionBy("detector").orderBy(F.desc_nulls_last("f1"), "theta")) == 1
     return rounded(rows.withColumn("best", best), "precision", "recall", "f1")

@@ -71,3 +71,16 @@ def test_method_order(spark):
     lab = Lab(spark, "/root/testdata/sf0.01")
     f1 = {n: m.macro(_score(lab, n), []).first().f1 for n in ("two_level", "line_only", "blame_basic", "claims")}
     assert f1["two_level"] > f1["line_only"] > f1["blame_basic"] and f1["two_level"] > f1["claims"]
+
+
+def test_sweeps_walk_merges_and_compare_both_levels(spark):
+    """At the engine's own parameters a sweep scores what the engine scores."""
+    from fixtrace.operators import measures as m
+    from fixtrace.plans.workloads import _PARAMS, _score, _swept
+
+    lab = Lab(spark, "/root/testdata/sf0.01")
+    got = _swept(lab, spark.createDataFrame([(0, 900, 800, 700, 2.0)], _PARAMS)).first()
+    want = m.macro(_score(lab, "two_level"), []).first()
+    assert (got.precision, got.recall, got.f1) == pytest.approx((want.precision, want.recall, want.f1))
+    both = lab.pairs.select("pre", "post").distinct().join(lab.sims_both, ["pre", "post"])
+    assert both.where("sim_a >= 0.9 and sim_b is not null").count() > 0
