@@ -127,6 +127,21 @@ def planted(n, seed):
     return np.concatenate([x, c * near + np.sqrt(1 - c * c) * z]).astype(np.float32)
 
 
+@pytest.mark.parametrize("cells", [50, 500, 2000, 8192])
+def test_recall_stays_level_with_more_cells(cells):
+    rng = np.random.default_rng(1)
+    unit = lambda n: (x := rng.normal(size=(n, 64))) / np.linalg.norm(x, axis=1)[:, None]
+    centre = vectors.spherical_kmeans(unit(20_000), cells, 8 if cells < 8192 else 2, 5)
+    a, z = unit(6000), unit(6000)
+    z -= (z * a).sum(1)[:, None] * a
+    b = 0.9 * a + 0.19**0.5 * z / np.linalg.norm(z, axis=1)[:, None]
+    s, t, i = a @ centre.T, b @ centre.T, np.arange(6000)
+    rank = np.minimum((s > s[i, t.argmax(1)][:, None]).sum(1), (t > t[i, s.argmax(1)][:, None]).sum(1))
+    recall = (rank < vectors.probe_count(cells, vectors.Params())).mean()
+    print(cells, vectors.probe_count(cells, vectors.Params()), recall)
+    assert recall >= 0.99
+
+
 def test_vector_links_against_all_pairs(spark):
     x = planted(1500, 3)
     rows = [(k, [float(v) for v in r]) for k, r in enumerate(x)]
