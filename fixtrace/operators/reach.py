@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -42,3 +44,50 @@ def double_edges(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
         if size == (size := now.count()):
             return now
     raise RuntimeError("the graph is deeper than the rounds allow, or has a cycle")
+
+
+def holders(edges: DataFrame, sources: DataFrame, blocks: int = 4) -> DataFrame:
+    """(repo_id, child_id, ancestor_id): every commit that holds a source, the source among them, by edges alone.
+
+    ``sources``: repo_id, commit_id.  A task walks the edges of one repository once, parents first, with a bit for
+    each source of its block.
+    """
+    no = F.pmod(F.xxhash64("commit_id"), F.lit(blocks))
+    ids = sources.select("repo_id", "commit_id").distinct().select(F.col("repo_id").cast("long").alias("repo_id"), F.col("commit_id").cast("long").alias("commit_id"), no.alias("no"))
+    dealt = edges.select("repo_id", F.col("child_id").cast("long").alias("child_id"), F.col("parent_id").cast("long").alias("parent_id")).distinct()
+    met = ids.select(F.col("repo_id").alias("r"), F.col("no").alias("n")).distinct()
+    dealt = dealt.join(met, F.col("repo_id") == F.col("r")).select(F.col("r").alias("repo_id"), F.col("n").alias("no"), "child_id", "parent_id")
+
+    def walk(e: pa.Table, s: pa.Table) -> pa.Table:
+        found = sorted(s.column("commit_id").to_pylist())
+        mask = {c: 1 << k for k, c in enumerate(found)}
+        after, waits = {}, {}
+        for child, parent in zip(e.column("child_id").to_pylist(), e.column("parent_id").to_pylist(), strict=True):
+            after.setdefault(parent, []).append(child)
+            waits[child] = waits.get(child, 0) + 1
+        nodes = {*found, *after, *waits}
+        todo = [c for c in nodes if c not in waits]
+        child_id, ancestor_id, done, at = [], [], 0, np.array(found, np.int64)
+        while todo:
+            c = todo.pop()
+            done += 1
+            held = mask.pop(c, 0)
+            if held:
+                bits = np.frombuffer(held.to_bytes((len(found) + 7) // 8, "little"), np.uint8)
+                got = at[np.flatnonzero(np.unpackbits(bits, bitorder="little"))]
+                ancestor_id.append(got)
+                child_id.append(np.full(len(got), c, np.int64))
+            for x in after.get(c, ()):
+                if held:
+                    mask[x] = mask.get(x, 0) | held
+                waits[x] -= 1
+                if not waits[x]:
+                    todo.append(x)
+        if done < len(nodes):
+            raise RuntimeError("the graph has a cycle")
+        empty = [np.zeros(0, np.int64)]
+        child, ancestor = np.concatenate(child_id or empty), np.concatenate(ancestor_id or empty)
+        repo = s.column("repo_id")[0].as_py() if len(s) else 0
+        return pa.table({"repo_id": np.full(len(child), repo, np.int64), "child_id": child, "ancestor_id": ancestor})
+
+    return dealt.groupBy("repo_id", "no").cogroup(ids.groupBy("repo_id", "no")).applyInArrow(walk, "repo_id long, child_id long, ancestor_id long")

@@ -310,12 +310,12 @@ def w16_ranges(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w16_closure_check(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pairs on which branch labels and the doubled edge closure disagree, in the two smallest repositories: none."""
+    """Pairs on which branch labels and the edges disagree about who holds a fix or origin commit, in all repositories with cases: none."""
     lab = lab_of(spark, sf_dir)
-    few = F.broadcast(lab.commit.groupBy("repo_id").count().orderBy("count", "repo_id").limit(2).select("repo_id"))
-    closed = reach.double_edges(lab.commit_edge.join(few, "repo_id")).select("repo_id", "child_id", "ancestor_id", F.lit(1).alias("by_edges"))
-    c = store.settle(lab.commit.join(few, "repo_id"))
-    labelled = c.alias("a").join(c.alias("b"), reach.contains("a", "b")).select(F.col("b.repo_id").alias("repo_id"), F.col("b.commit_id").alias("child_id"), F.col("a.commit_id").alias("ancestor_id"), F.lit(1).alias("by_labels"))
+    asked = lab.cases.select(F.col("fix_commit_id").alias("commit_id")).unionByName(lab.truth_origin.select(F.col("origin_commit_id").alias("commit_id")))
+    sources = store.settle(lab.commit.join(asked.distinct(), "commit_id", "left_semi"))
+    closed = reach.holders(lab.commit_edge, sources).withColumn("by_edges", F.lit(1))
+    labelled = sources.alias("a").join(lab.commit.alias("b"), reach.contains("a", "b")).select(F.col("b.repo_id").alias("repo_id"), F.col("b.commit_id").alias("child_id"), F.col("a.commit_id").alias("ancestor_id"), F.lit(1).alias("by_labels"))
     both = labelled.join(closed, ["repo_id", "child_id", "ancestor_id"], "full_outer")
     return both.agg(F.count("*").alias("n_pairs"), F.count_if(F.col("by_edges").isNull() | F.col("by_labels").isNull()).alias("n_differ"))
 

@@ -84,3 +84,14 @@ def test_sweeps_walk_merges_and_compare_both_levels(spark):
     assert (got.precision, got.recall, got.f1) == pytest.approx((want.precision, want.recall, want.f1))
     both = lab.pairs.select("pre", "post").distinct().join(lab.sims_both, ["pre", "post"])
     assert both.where("sim_a >= 0.9 and sim_b is not null").count() > 0
+
+
+def test_edges_give_the_holders_of_every_source(history, ancestors, small, spark):
+    from fixtrace.plans.workloads import w16_closure_check
+
+    got = reach.holders(history.commit_edge, history.commit)
+    assert {(r.child_id, r.ancestor_id) for r in got.collect()} == {p for c, held in ancestors.items() for p in ((c, x) for x in held | {c})}
+    row = w16_closure_check(spark, small).first()
+    lab = Lab(spark, small)
+    asked = {r.fix_commit_id for r in lab.cases.collect()} | {r.origin_commit_id for r in lab.truth_origin.collect()}
+    assert row.n_differ == 0 and row.n_pairs == sum(len((held | {c}) & asked) for c, held in ancestors.items())
