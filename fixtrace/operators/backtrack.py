@@ -6,6 +6,8 @@ share, then per statement the latest touch where it is lost, then per case a run
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -87,7 +89,7 @@ def per_commit(stmts: DataFrame, compared: DataFrame, theta: int = 700) -> DataF
     return both.select("vuln_id", F.col("z.commit_id").alias("origin_commit_id"), F.col("z.seq").alias("origin_seq"), F.col("z.score").alias("score"), F.when(F.col("x").isNull(), "initial").otherwise("found").alias("origin_kind"))
 
 
-def walk(stmts: DataFrame, preds: DataFrame, compared: DataFrame, max_rounds: int = 64) -> DataFrame:
+def walk(stmts: DataFrame, preds: DataFrame, compared: DataFrame) -> DataFrame:
     """Every comparison that a walk over all parent paths makes, one round for each step back.
 
     (vuln_id, slot, commit_id, pred_commit_id, round); a path ends where its statement is lost.  For validation and
@@ -97,7 +99,7 @@ def walk(stmts: DataFrame, preds: DataFrame, compared: DataFrame, max_rounds: in
     open_steps = preds.join(lost, ["file_id", "slot", "commit_id"], "left_anti")
     now = settle(stmts.select("vuln_id", "slot", "file_id", F.col("fix_commit_id").alias("commit_id")))
     out = None
-    for k in range(max_rounds):
+    for k in itertools.count():
         steps = preds if k == 0 else open_steps
         step = settle(now.join(steps, ["file_id", "slot", "commit_id"]).select("vuln_id", "slot", "file_id", "commit_id", "pred_commit_id", F.lit(k).alias("round")).distinct())
         if not step.limit(1).count():

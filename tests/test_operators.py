@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from fixtrace.functions.text import alike, cosine, edit_budget, line_similarity, version_key
-from fixtrace.operators import extraction, judge, measures, versions, weights
+from fixtrace.operators import backtrack, extraction, judge, measures, versions, weights
 from fixtrace.sources import code
 
 
@@ -124,3 +124,12 @@ def test_cost(spark):
     runs = spark.createDataFrame([(1, 1_000_000, 1_000_000)], "vuln_id long, tokens_in int, tokens_out int")
     assert measures.judge_cost(runs).first().cost == pytest.approx(1.40)
     assert dt.date(2024, 7, 31) > dt.date(2023, 10, 31)
+
+
+def test_walks_have_no_step_limit(spark):
+    n = 67
+    stmts = spark.createDataFrame([(1, 0, 7, n)], "vuln_id long, slot int, file_id long, fix_commit_id long")
+    preds = spark.createDataFrame([(7, 0, k, k - 1) for k in range(1, n + 1)], "file_id long, slot int, commit_id long, pred_commit_id long")
+    compared = spark.createDataFrame([(7, 0, k, k, k == 0) for k in range(n)], "file_id long, slot int, commit_id long, seq long, lost boolean")
+    stop = backtrack.exact_stops(stmts, preds, compared).first()
+    assert stop is not None and (stop.stop_commit, stop.stop_seq) == (0, 0)
