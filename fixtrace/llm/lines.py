@@ -2,18 +2,19 @@
 
 A run is a table of (h1, h2, n_docs, last_doc, known) sorted by hash: in how many documents of its batches a line
 key occurs, the largest ``doc_id`` that holds it, and whether an older run holds the key.  ``LineRuns.ingest``
-aggregates a new batch and meets it with the keys of the runs in a merge join (both sides sorted by hash): keys that
-no run holds enter as new ones, the others as updates of count and maximum, so over all runs a key is new once.  The
-batch becomes a run of level 0; ``fanout`` runs of a level are compacted into one of the next, which folds updates
-into their keys.  Counts add up and maxima combine, so the verdict over all runs does not depend on how rows were
-batched or when runs were compacted.  ``drop_lines`` adds a batch for each doubling of the keys beyond
+aggregates a new batch and merge-anti-joins it with the keys of the runs (both sides sorted by hash), which gives the
+keys it adds; a merge semi-join of the same sorted sides gives its updates of known keys.  Over all runs a key is new
+once.  The batch becomes a run of level 0; ``fanout`` runs of a level are compacted into one of the next, which folds
+updates into their keys.  Counts add up and maxima combine, so the verdict over all runs does not depend on
+how rows were batched or when runs were compacted.  ``drop_lines`` adds a batch for each doubling of the keys beyond
 ``batch_keys``; every batch reads the keys held so far, so this work grows as n log n.
 
 A key is the line stripped of ``[\\x20\\x09-\\x0D]`` at both ends, A-Z lower-cased, told by two 64-bit hashes.
 
 Defined results: a null or empty text is one empty line; every row counts as one document, and rows that repeat a
-``doc_id`` share the fate of that id; an empty table gives no rows; long texts are handled whole.  Only ``doc_id``
-and ``text`` are read, other columns pass through ``drop_lines`` untouched.
+``doc_id`` share the fate of that id; an empty table gives no rows; long texts are handled whole, and a line is
+looked up among its document's lost ones by bisection.  Only ``doc_id`` and ``text`` are read; ``drop_lines``
+replaces ``text`` and any columns called n_lines or n_dropped, other columns pass through it untouched.
 """
 
 from __future__ import annotations
@@ -67,7 +68,7 @@ RUN = "h1 bigint, h2 bigint, n_docs bigint, last_doc bigint, known boolean"
 
 
 class LineRuns:
-    """The runs under one folder of the shared store."""
+    """The runs under one folder of the shared store; ``drop`` removes them."""
 
     def __init__(self, spark: SparkSession, folder: str, fanout: int = 4):
         self.spark, self.folder, self.fanout = spark, folder, fanout
@@ -83,43 +84,43 @@ class LineRuns:
         self.levels[level].append(path)
 
     def _read(self, paths: list[str]) -> DataFrame:
-        return functools.reduce(DataFrame.unionByName, (self.spark.read.schema(RUN).parquet(p) for p in paths))
+        return self.spark.read.schema(RUN).parquet(*paths)
 
-    def _paths(self) -> list[str]:
+    def paths(self) -> list[str]:
         return [p for level in self.levels for p in level]
 
-    def merged(self) -> DataFrame:
-        """One row for each key over all runs."""
-        paths = self._paths()
-        if not paths:
-            return self.spark.createDataFrame([], RUN).drop("known")
-        found = self._read(paths)
-        return (found if len(paths) == 1 else self._combine(found)).drop("known")
-
     @staticmethod
-    def _combine(runs: DataFrame) -> DataFrame:
+    def _folded(runs: DataFrame) -> DataFrame:
         return runs.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("last_doc").alias("last_doc"), F.min("known").alias("known"))
 
-    def _met(self, keys: DataFrame) -> DataFrame:
-        """``keys`` with ``known``: whether a run holds the hash, by a merge join of sorted inputs."""
-        paths = self._paths()
-        if not paths:
-            return keys.withColumn("known", F.lit(False))
-        held = self._read(paths).where(~F.col("known")).select("h1", "h2", F.lit(True).alias("known"))
-        return keys.join(held.hint("merge"), ["h1", "h2"], "left").withColumn("known", F.coalesce("known", F.lit(False)))
+    def merged(self) -> DataFrame:
+        """One row for each key over all runs."""
+        paths = self.paths()
+        found = self._read(paths) if paths else self.spark.createDataFrame([], RUN)
+        return (found if len(paths) <= 1 else self._folded(found)).drop("known")
+
+    def _met(self, keys: DataFrame, how: str) -> DataFrame:
+        held = self._read(self.paths()).where(~F.col("known")).select("h1", "h2")
+        return keys.join(held.hint("merge"), ["h1", "h2"], how)
 
     def novel(self, keys: DataFrame) -> DataFrame:
-        """Rows of ``keys`` whose hash no run holds: a merge anti-join."""
-        return self._met(keys).where(~F.col("known")).drop("known")
+        """Rows of ``keys`` whose hash no run holds: a merge anti-join of sorted sides."""
+        return self._met(keys, "left_anti") if self.paths() else keys
 
     def ingest(self, keys: DataFrame) -> None:
-        """Add a batch of (doc_id, h1, h2) as a run of new keys and updates of known ones; compact full levels."""
+        """Add a batch of (doc_id, h1, h2) as a run of new keys and updates of known ones; compact full levels.
+
+        Both joins of the batch with the runs read the same two shuffles.
+        """
         batch = keys.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("doc_id").alias("last_doc"))
-        self._write(self._met(batch), 0)
+        rows = self.novel(batch).withColumn("known", F.lit(False))
+        if self.paths():
+            rows = rows.unionByName(self._met(batch, "left_semi").withColumn("known", F.lit(True)))
+        self._write(rows, 0)
         level = 0
         while len(self.levels[level]) >= self.fanout:
             full, self.levels[level] = self.levels[level], []
-            self._write(self._combine(self._read(full)), level + 1)
+            self._write(self._folded(self._read(full)), level + 1)
             for path in full:
                 self._remove(path)
             level += 1
@@ -129,27 +130,46 @@ class LineRuns:
         p = jvm.org.apache.hadoop.fs.Path(path)
         p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
+    def drop(self) -> None:
+        self._remove(self.folder)
+        self.levels = []
+
+
+def _holds(found: Column, wanted: Column) -> Column:
+    """Whether a sorted array holds a value, by bisection."""
+    size = F.size(found)
+    rounds = F.ceil(F.log2(size + 1)).cast("int")
+
+    def halve(now: Column, _: Column) -> Column:
+        middle = F.shiftright(now["lo"] + now["hi"], 1)
+        below = F.get(found, middle) < wanted
+        return F.struct(F.when(below, middle + 1).otherwise(now["lo"]).alias("lo"), F.when(below, now["hi"]).otherwise(middle).alias("hi"))
+
+    start = F.struct(F.lit(0).alias("lo"), size.alias("hi"))
+    at = F.aggregate(F.sequence(F.lit(1), F.greatest(rounds, F.lit(1))), start, lambda now, k: F.when(now["lo"] < now["hi"], halve(now, k)).otherwise(now), lambda now: now["lo"])
+    return F.coalesce(F.get(found, at) == wanted, F.lit(False))
+
 
 def drop_lines(docs: DataFrame, params: Params = Params()) -> DataFrame:
     """``docs`` with ``text`` freed of shared lines, and n_lines, n_dropped."""
     spark = docs.sparkSession
     keys = settle(long_keys(docs.select("doc_id", "text"), params))
     runs = LineRuns(spark, f"{shared_dir(spark)}/line-runs-{uuid.uuid4().hex}", params.fanout)
-    batches = batch_count(keys.count(), params)
-    for k in range(batches):
-        runs.ingest(keys.where(F.pmod(F.xxhash64("doc_id"), F.lit(batches)) == k))
-    shared = runs.merged().where(F.col("n_docs") >= params.min_docs).select("h1", "h2", "last_doc")
-    lost = keys.join(shared, ["h1", "h2"]).where(F.col("doc_id") != F.col("last_doc"))
-    lost = settle(lost.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("__lost")))
-    for level in runs.levels:
-        for path in level:
-            runs._remove(path)
+    try:
+        batches = batch_count(keys.count(), params)
+        for k in range(batches):
+            runs.ingest(keys.where(F.pmod(F.xxhash64("doc_id"), F.lit(batches)) == k))
+        shared = runs.merged().where(F.col("n_docs") >= params.min_docs).select("h1", "h2", "last_doc")
+        lost = keys.join(shared, ["h1", "h2"]).where(F.col("doc_id") != F.col("last_doc"))
+        lost = settle(lost.groupBy("doc_id").agg(F.array_sort(F.collect_set(F.struct("h1", "h2"))).alias("__lost")))
+    finally:
+        runs.drop()
     joined = docs.join(lost.withColumnRenamed("doc_id", "__doc"), F.col("doc_id").eqNullSafe(F.col("__doc")), "left").drop("__doc")
     lines = _split(F.col("text"))
 
     def stays(line: Column) -> Column:
         key = line_key(line)
-        return (F.char_length(key) < params.min_chars) | ~F.array_contains(F.col("__lost"), _hashes(key))
+        return (F.char_length(key) < params.min_chars) | ~_holds(F.col("__lost"), _hashes(key))
 
     kept = F.when(F.col("__lost").isNull(), lines).otherwise(F.filter(lines, stays))
     out = joined.withColumns({"n_lines": F.size(lines).cast("long"), "__kept": kept})
@@ -164,14 +184,14 @@ def op7_line_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP7_SQL = """
 WITH l AS (
-  SELECT doc_id, i, lines[i] AS line, translate(trim(lines[i], chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS key
-  FROM (SELECT doc_id, lines, unnest(range(1, len(lines) + 1)) AS i FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents))
+  SELECT doc_id, row, i, lines[i] AS line, translate(trim(lines[i], chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS key
+  FROM (SELECT doc_id, row, lines, unnest(range(1, len(lines) + 1)) AS i FROM (SELECT doc_id, row_number() OVER () AS row, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents))
 ), shared AS (
-  SELECT key, max(doc_id) AS last_doc FROM l WHERE length(key) >= 40 GROUP BY key HAVING count(DISTINCT doc_id) >= 5
+  SELECT key, max(doc_id) AS last_doc FROM l WHERE length(key) >= 40 GROUP BY key HAVING count(DISTINCT row) >= 5
 ), marked AS (
-  SELECT l.doc_id, i, line, coalesce(l.doc_id <> last_doc, FALSE) AS dropped FROM l LEFT JOIN shared USING (key)
+  SELECT l.doc_id, row, i, line, coalesce(l.doc_id <> last_doc, FALSE) AS dropped FROM l LEFT JOIN shared USING (key)
 )
 SELECT doc_id, count(*) AS n_lines, count(*) FILTER (WHERE dropped) AS n_dropped,
        sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (WHERE NOT dropped), '')) AS kept_sha256
-FROM marked GROUP BY doc_id
+FROM marked GROUP BY doc_id, row
 """

@@ -1,6 +1,7 @@
 import hashlib
 import html
 import re
+import time
 import zlib
 
 import numpy as np
@@ -146,14 +147,19 @@ def test_new_batches_keep_only_novel_lines(spark, tmp_path):
     for k in range(5):
         runs.ingest(key((k, 1, 1), (k, 10 + k, 0)))
     assert {(r.h1, r.n_docs, r.last_doc) for r in runs.merged().collect()} == {(1, 5, 4)} | {(10 + k, 1, k) for k in range(5)}
-    assert [r.h1 for r in runs.novel(key((9, 1, 1), (9, 99, 0))).collect()] == [99]
+    fresh = runs.novel(key((9, 1, 1), (9, 99, 0)))
+    assert [r.h1 for r in fresh.collect()] == [99]
+    plan = fresh._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "LeftAnti" in plan
     assert sum(map(len, runs.levels)) <= 3
+    runs.drop()
+    assert not (tmp_path / "runs").exists()
 
 
 def test_ingest_tells_new_keys_from_known_ones(spark, tmp_path):
     runs = lines.LineRuns(spark, f"file://{tmp_path}/told", fanout=3)
     key = lambda *rows: spark.createDataFrame(list(rows), "doc_id long, h1 long, h2 long")
-    told = lambda: sorted((r.h1, r.n_docs, r.last_doc, r.known) for p in runs._paths() for r in spark.read.parquet(p).collect())
+    told = lambda: sorted((r.h1, r.n_docs, r.last_doc, r.known) for p in runs.paths() for r in spark.read.parquet(p).collect())
     runs.ingest(key((9, 1, 1), (9, 2, 2)))
     runs.ingest(key((3, 1, 1), (4, 1, 1), (4, 3, 3)))
     assert told() == [(1, 1, 9, False), (1, 2, 4, True), (2, 1, 9, False), (3, 1, 4, False)]
@@ -161,6 +167,30 @@ def test_ingest_tells_new_keys_from_known_ones(spark, tmp_path):
     assert told() == [(1, 3, 9, False), (2, 1, 9, False), (3, 2, 5, False)] and runs.levels[0] == []
     runs.ingest(key((6, 2, 2), (6, 7, 7)))
     assert told() == [(1, 3, 9, False), (2, 1, 6, True), (2, 1, 9, False), (3, 2, 5, False), (7, 1, 6, False)]
+    runs.drop()
+
+
+def test_lines_are_looked_up_by_bisection(spark):
+    rows = [(n, sorted(range(0, 2 * n, 2)), x) for n in (0, 1, 2, 3, 8, 33) for x in range(-1, 2 * n + 1)]
+    df = spark.createDataFrame(rows, "n int, found array<int>, x int")
+    assert df.where(lines._holds(F.col("found"), F.col("x")) != F.array_contains("found", F.col("x"))).count() == 0
+
+
+def test_many_lost_lines_and_repeated_rows(spark, duck):
+    line = lambda k: f"line {k} is longer than forty code points, as it has to be"
+    long = "\n".join(line(k) for k in range(4_000))
+    rows = [(k, long) for k in range(1, 6)] + [(7, line(3))] * 3 + [(None, line(3))]
+    got = lines.drop_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {r.doc_id: r.n_dropped for r in got if r.doc_id} == {1: 4_000, 2: 4_000, 3: 4_000, 4: 4_000, 5: 1, 7: 0}
+    few = [(1, line(1)), (1, line(1)), (2, line(1)), (3, line(1)), (9, line(1)), (9, line(1))]
+    import pandas as pd
+
+    import duckdb
+
+    con = duckdb.connect()
+    con.register("documents", pd.DataFrame(few, columns=["doc_id", "text"]))
+    want = sorted((r[0], r[2]) for r in con.execute(lines.OP7_SQL).fetchall())
+    assert sorted((r.doc_id, r.n_dropped) for r in lines.drop_lines(spark.createDataFrame(few, "doc_id long, text string")).collect()) == want
 
 
 def test_batches_grow_with_the_keys(spark, monkeypatch):
@@ -209,7 +239,39 @@ def test_main_text():
     for text, out in ((None, ""), ("", ""), ("plain  text &lt;3", "plain text <3"), ("<p>a", "a"), ("<script>x", ""), ("<div><p>a</p>b<p>c</div>", "a\nb\nc"), ("<", "<")):
         assert extraction.main_text(text) == out
     assert extraction.main_text("<div>" * 3000 + "deep" + "</div>" * 3000) == "deep"
-    assert extraction.main_text('<p "' * 2000 + ">x") is not None  # no blow-up on open quotes
+    assert extraction.main_text('<p "' * 2000 + ">x") == "x"  # quotes that are never closed end at the first >
+
+
+@pytest.mark.parametrize(
+    ("page", "n_chars"),
+    [
+        ("<a " * 350_000, 1_049_999), ("<div>text" * 100_000, 499_999), ('<p "' * 250_000 + ">x", 1), ('<a href="x' * 100_000 + ">t", 1), ("<div " + "a" * 1_000_000 + ">x", 1),
+        ("<p><button>" + "<b>" * 100_000 + "<div>x" * 50_000, 0), ("<" * 1_000_000, 1_000_000), ("<b>x<div>y</div>" * 30_000, 119_999), ("<div a" + " " * 1_000_000 + "b>x", 1), ("<ul><li>a" * 50_000, 99_999),
+    ],
+    ids=["no end", "deep", "open quotes", "open values", "long name", "deep inline", "no tags", "inline", "blanks", "lists"],
+)
+def test_long_broken_pages_take_linear_time(page, n_chars):
+    began = time.process_time()
+    assert len(extraction.main_text(page)) == n_chars
+    assert time.process_time() - began < 20  # seconds for about a megabyte; a quadratic way takes hours
+
+
+def test_points_pass_up_as_climbing_gives_them():
+    """The pass from the leaves up gives each container what climbing from every block would."""
+    for page in (PAGE, "<div><p>a, b<div>c, d<span>e</span></div>f, g</div>" * 3, "<ul><li>x<ul><li>y, z</ul></ul>"):
+        nodes = extraction.parse(page)
+        want = {}
+        for owner, text, linked in extraction._blocks(nodes[0]):
+            points = (1 + text.count(",") + min(len(text) / 100, 3)) * (1 - linked / len(text))
+            node, share = owner, 1.0
+            while node is not None:
+                if node is not owner or owner.tag not in extraction._LEAVES:
+                    want[node] = want.get(node, 0.0) + points * share
+                    share /= 2
+                node = node.parent
+        extraction.score(nodes, list(extraction._blocks(nodes[0])))
+        for node, points in want.items():
+            assert node.held == pytest.approx(points)
 
 
 def test_articles_of_all_pages(spark, small):
@@ -286,5 +348,8 @@ def test_mixing_meets_targets(spark):
     assert mixing.mix(df.where("false"), params).count() == 0
 
 
-def test_digest_of_all_lines_dropped():
-    assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
+def test_digest_of_all_lines_dropped(spark, tmp_path):
+    line = "one line of more than forty code points, alone in its text"
+    spark.createDataFrame([(k, line) for k in range(6)], "doc_id long, text string").write.parquet(f"file://{tmp_path}/documents.parquet")
+    got = {r.doc_id: r.kept_sha256 for r in lines.op7_line_runs(spark, f"file://{tmp_path}").collect()}
+    assert got == {k: hashlib.sha256(b"" if k < 5 else line.encode()).hexdigest() for k in range(6)}
