@@ -7,8 +7,9 @@ number of features) and calibrates raw scores by pool-adjacent-violators over a
 Spark aggregates.  ``score`` applies the model in one Arrow pass.
 
 Defined results: null and empty texts have all-zero counts and still get a score; a repeated row is scored like
-its twin; null labels are not learned from; with no labelled row at all every score is the prior 0.5.  Only
-``doc_id`` and ``text`` are read, so extra columns cannot clash.
+its twin; null labels are not learned from, and of several labels of one ``doc_id`` the mean is; with no labelled row at
+all every score is the prior 0.5, and without rows to calibrate by, the ridge score cut to 0 .. 1.  Only ``doc_id``
+and ``text`` are read, so extra columns cannot clash.
 """
 
 from __future__ import annotations
@@ -102,6 +103,7 @@ class Model:
     weight: np.ndarray
     knots: np.ndarray
     levels: np.ndarray
+    slope: float = 0.002
 
     def features(self, stats: np.ndarray) -> np.ndarray:
         x = np.clip((stats - self.mean) / self.scale, -6, 6)
@@ -112,7 +114,7 @@ class Model:
 
     def calibrated(self, raw: np.ndarray) -> np.ndarray:
         """Isotonic level plus a slight slope, so that ties within a level keep the ridge order."""
-        return 0.998 * np.interp(raw, self.knots, self.levels) + 0.002 * (raw + 1) / 3
+        return (1 - self.slope) * np.interp(raw, self.knots, self.levels) + self.slope * (raw + 1) / 3
 
 
 def pool_adjacent(y: np.ndarray, weight: np.ndarray) -> np.ndarray:
@@ -143,7 +145,7 @@ def fit(docs: DataFrame, labels: DataFrame, params: Params = Params()) -> Model:
     """Learn from rows of ``labels`` that are not held out; one fifth of the ids calibrates, the rest fits."""
     d = len(STATISTICS)
     known = labels.select(F.col("doc_id"), F.col("quality").cast("double").alias("y")).where("doc_id is not null and y is not null")
-    known = known.where(~held_out(F.col("doc_id")))
+    known = settle(known.where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.avg("y").alias("y")))
     share = min(1.0, params.max_rows / max(known.count(), 1))
     sample = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000))
     sample = spark_sample(sample, params.max_rows)
@@ -153,7 +155,7 @@ def fit(docs: DataFrame, labels: DataFrame, params: Params = Params()) -> Model:
     rng = np.random.default_rng(params.seed)
     omega, phase = rng.normal(0, np.sqrt(2 * params.gamma), (d, params.features)), rng.uniform(0, 2 * np.pi, params.features)
     mean, scale = (np.array([moments[f"{a}{k}"] or 0.0 for k in range(d)]) for a in "ms")
-    model = Model(mean, np.where(scale > 1e-9, scale, 1.0), omega, phase, np.zeros(params.features + d + 1), np.array([-1.0, 2.0]), np.array([0.5, 0.5]))
+    model = Model(mean, np.where(scale > 1e-9, scale, 1.0), omega, phase, np.zeros(params.features + d + 1), np.array([-1.0, 2.0]), np.array([0.5, 0.5]), 0.0)
     if not moments["n"]:
         return model
     wide = params.features + d + 1
@@ -173,7 +175,7 @@ def fit(docs: DataFrame, labels: DataFrame, params: Params = Params()) -> Model:
         moment += np.frombuffer(r.moment)
     penalty = np.full(wide, params.ridge * max(gram[-1, -1], 1.0))
     penalty[-1] = 1e-6
-    model = Model(model.mean, model.scale, omega, phase, np.linalg.solve(gram + np.diag(penalty), moment), model.knots, model.levels)
+    model = Model(model.mean, model.scale, omega, phase, np.linalg.solve(gram + np.diag(penalty), moment), np.array([0.0, 1.0]), np.array([0.0, 1.0]))
 
     def bin_of(batch: pa.RecordBatch) -> pa.RecordBatch:
         at = np.floor((model.raw(_stack(batch, "stats")) + 1) / 3 * params.bins).astype(np.int64)
