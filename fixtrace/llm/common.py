@@ -19,10 +19,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; a local one only where it is unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``; a local one only in local mode without it."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext.getCheckpointDir()
+        if not held and not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = held.rsplit("/", 1)[0] if held else tempfile.mkdtemp(prefix="fixtrace-")
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(found)
@@ -35,6 +37,22 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def look_up(rows: DataFrame, key: str, found: DataFrame, weight: str, share: int = 1000) -> DataFrame:
+    """``rows`` left-joined to ``found`` (one row for each ``key``) without its ``weight`` column.
+
+    ``weight`` is the number of rows that a key has.  Keys with over 1/``share`` of all rows, of which there are fewer
+    than ``share``, are looked up by broadcast where their rows are; the rest, none of it hot, by a shuffle.
+    """
+    total = found.agg(F.sum(weight)).first()[0] or 0
+    hot = F.col(weight) * share > F.lit(total)
+    few, rest = (found.where(c).drop(weight) for c in (hot, ~hot))
+    marked = rows.join(F.broadcast(few.withColumn("__hot", F.lit(True))), key, "left")
+    bare = marked.where("__hot is null").select(rows.columns)
+    return marked.where("__hot").drop("__hot").unionByName(bare.where(F.col(key).isNotNull()).join(rest, key, "left").select(marked.drop("__hot").columns)).unionByName(
+        bare.where(F.col(key).isNull()), allowMissingColumns=True
+    )
+
+
 def fold_lower(col):
     """Lower-case A-Z and nothing else."""
     return F.translate(col, UPPER, LOWER)

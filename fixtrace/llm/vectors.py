@@ -13,7 +13,7 @@ rows, grow alike.  On unit vectors drawn at random in 64 dimensions, a hard case
 0.9 were found with 50 to 8,192 cells; the tests measure recall against brute force and with many cells.
 
 Defined results: a vector that is null, empty, zero or has null or non-finite components links with nothing and is
-kept; vectors of different lengths never link; repeated rows of one ``vec_id`` are copies of each other; an empty
+kept; any other is compared, however large or small its components; vectors of different lengths never link; repeated rows of one ``vec_id`` are copies of each other; an empty
 table gives no rows.  Only ``vec_id`` and ``embedding`` are read.
 """
 
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fixtrace.llm.common import settle, table
+from fixtrace.llm.common import look_up, settle, table
 from fixtrace.llm.components import components
 
 
@@ -53,8 +53,9 @@ def probe_count(cells: int, params: Params) -> int:
     return min(cells, math.ceil(params.probes * max(1.0, cells / 50) ** 0.375))
 
 
-def _unit(raw: list[bytes]) -> np.ndarray:
-    x = np.frombuffer(b"".join(raw), np.float64).reshape(len(raw), -1)
+def unit(x: np.ndarray) -> np.ndarray:
+    """Rows at length one; scaled by their greatest component first, so that no square leaves the range of doubles."""
+    x = x / np.abs(x).max(1)[:, None]
     return x / np.linalg.norm(x, axis=1)[:, None]
 
 
@@ -107,7 +108,7 @@ def link(vectors: DataFrame, params: Params = Params()) -> DataFrame:
     spark = vectors.sparkSession
     e = F.col("embedding").cast("array<double>")
     fine = F.coalesce(
-        (F.size(e) > 0) & F.forall(e, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < 1e150)) & F.exists(e, lambda v: F.abs(v) > 1e-150), F.lit(False)
+        (F.size(e) > 0) & F.forall(e, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf"))) & F.exists(e, lambda v: v != 0), F.lit(False)
     )
     rows = vectors.select("vec_id", e.alias("e"), fine.alias("fine"))
     keyed = rows.select("vec_id", F.when(F.col("fine"), F.xxhash64("e")).alias("h1"), F.when(F.col("fine"), F.xxhash64(F.lit(3), "e")).alias("h2"), F.when(F.col("fine"), F.col("e")).alias("e"))
@@ -120,7 +121,7 @@ def link(vectors: DataFrame, params: Params = Params()) -> DataFrame:
     drawn = reps.where(F.size("e") == dims).where(F.pmod(F.xxhash64("rep"), F.lit(1_000_000)) < math.ceil(1_000_000 * part)).orderBy("rep").limit(params.sample_rows + params.sample_rows // 8).select("e").toPandas()
     x = np.array(drawn["e"].tolist(), np.float64).reshape(len(drawn), dims)
     cells = max(1, min(params.max_cells, math.ceil(n / params.cell_rows)))
-    centre = spherical_kmeans(x / np.linalg.norm(x, axis=1)[:, None], cells, params.rounds, params.seed) if len(x) else np.eye(1, dims)
+    centre = spherical_kmeans(unit(x), cells, params.rounds, params.seed) if len(x) else np.eye(1, dims)
     probes = probe_count(len(centre), params)
 
     def assign(batches):
@@ -133,7 +134,7 @@ def link(vectors: DataFrame, params: Params = Params()) -> DataFrame:
                 near = np.repeat(home[:, None], probes, 1)
                 if usual.any():
                     u = np.array([v for v in raw if len(v) == dims])
-                    s = (u / np.linalg.norm(u, axis=1)[:, None]) @ centre.T
+                    s = unit(u) @ centre.T
                     top = np.argpartition(-s, probes - 1, axis=1)[:, :probes] if probes < s.shape[1] else np.tile(np.arange(probes), (len(u), 1))
                     near[usual], home[usual] = top, s.argmax(1)
                 yield pa.RecordBatch.from_arrays(
@@ -153,7 +154,7 @@ def link(vectors: DataFrame, params: Params = Params()) -> DataFrame:
         cell, i, j = (t.column(c)[0].as_py() for c in ("cell", "i", "j"))
         t = t.sort_by("rep")
         block, rep = t.column("block").to_numpy(), t.column("rep").to_numpy()
-        v, copies, home = _unit(t.column("v").to_pylist()), t.column("copies").to_numpy(), t.column("home").to_numpy()
+        v, copies, home = unit(np.frombuffer(b"".join(t.column("v").to_pylist()), np.float64).reshape(len(rep), -1)), t.column("copies").to_numpy(), t.column("home").to_numpy()
         near = t.column("near").combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
         side = [np.flatnonzero(block == k) for k in (i, j)]
         meta = [{"home": home[s], "probes": near[s], "copies": copies[s]} for s in side]
@@ -168,8 +169,8 @@ def link(vectors: DataFrame, params: Params = Params()) -> DataFrame:
     linked = found.groupBy("rep").agg(F.sum("links").alias("links"))
     joined = components(found.select(F.col("rep").alias("a"), F.col("root").alias("b"))).withColumnRenamed("node", "rep")
     per_rep = reps.select("h1", "h2", "rep", "copies").join(linked, "rep", "left").join(joined, "rep", "left")
-    per_rep = per_rep.select("h1", "h2", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("links"), F.coalesce("component", "rep").alias("component"))
-    out = keyed.select("vec_id", "h1", "h2").join(per_rep, ["h1", "h2"], "left")
+    per_rep = settle(per_rep.select(F.struct("h1", "h2").alias("h"), "copies", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("links"), F.coalesce("component", "rep").alias("component")))
+    out = look_up(keyed.select("vec_id", F.when(F.col("h1").isNotNull(), F.struct("h1", "h2")).alias("h")), "h", per_rep, "copies")
     component = F.coalesce("component", "vec_id")
     return out.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))
 
