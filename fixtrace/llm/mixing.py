@@ -7,11 +7,14 @@ a document is kept where the uniform number of its id's digest lies below its ce
 
 Where no targets are given, a marginal's targets are its present shares to the power ``temper``, so large sources
 shrink and small ones grow.  The cell table is small by construction (sources x languages x topics); up to
-``max_cells`` rows it is raked in one task and broadcast, beyond that it is raked and joined by key.
+``max_cells`` rows it is raked by windows in one task and broadcast, beyond that every total is an aggregation that is
+joined back, settled after each sweep, and the cells are joined by key.
 
 Defined results: null source or language is ``unknown``; a null or empty text has no tokens, counts nothing and
-takes its cell's probability; cells without tokens have ratio 1; repeated rows draw the same number; an empty table
-gives no rows.  Only the columns of ``documents`` are read.
+takes its cell's probability; cells without tokens have ratio 1; a value that given targets leave out has share 0, so
+its documents go; a null ``doc_id`` draws no number and is never kept; repeated rows draw the same number; an empty
+table gives no rows.  Only the columns of ``documents`` are read; columns called topic, tokens, keep_p or kept are
+replaced.
 """
 
 from __future__ import annotations
@@ -50,30 +53,42 @@ def with_cells(docs: DataFrame) -> DataFrame:
     })
 
 
-def fit_cells(counted: DataFrame, params: Params) -> DataFrame:
-    """source, lang, topic, tokens, ratio and keep_p of each cell."""
-    cells = counted
+def _with_total(cells: DataFrame, value, keys: tuple[str, ...], name: str, wide: bool) -> DataFrame:
+    """``cells`` with the total of ``value`` over rows of equal ``keys`` (none: over all rows)."""
+    if not wide:
+        return cells.withColumn(name, F.sum(value).over(W.partitionBy(*keys)))
+    totals = cells.groupBy(*keys).agg(F.sum(value).alias(name))
+    return cells.join(totals, list(keys)) if keys else cells.join(F.broadcast(totals))
+
+
+def fit_cells(cells: DataFrame, params: Params, wide: bool = False) -> DataFrame:
+    """source, lang, topic, tokens, ratio and keep_p of each cell; ``wide`` where one task shall not hold all cells."""
+    rest = settle if wide else (lambda df: df)
+    tokens = F.col("tokens")
+    cells = _with_total(cells, tokens, (), "all", wide)
     for axis, power in zip(AXES, params.temper, strict=True):
-        share = F.sum("tokens").over(W.partitionBy(axis)) / F.sum("tokens").over(W.partitionBy())
         if given := params.targets.get(axis):
             named = F.coalesce(*(F.when(F.col(axis) == k, F.lit(float(v))) for k, v in given.items()), F.lit(0.0))
             cells = cells.withColumn(f"t_{axis}", named)
         else:
-            raw = F.pow(share, F.lit(power))
-            cells = cells.withColumn("__raw", F.when(F.col("tokens") > 0, raw * F.col("tokens") / F.sum("tokens").over(W.partitionBy(axis))).otherwise(0.0))
-            cells = cells.withColumn(f"t_{axis}", F.sum("__raw").over(W.partitionBy(axis)) / F.sum("__raw").over(W.partitionBy())).drop("__raw")
-    cells = cells.withColumn("w", F.col("tokens"))
+            cells = _with_total(cells, tokens, (axis,), "here", wide)
+            raw = F.pow(F.col("here") / F.col("all"), F.lit(power)) * tokens / F.col("here")
+            cells = cells.withColumn("raw", F.when(tokens > 0, raw).otherwise(0.0)).drop("here")
+            cells = _with_total(_with_total(cells, F.col("raw"), (axis,), "of_axis", wide), F.col("raw"), (), "of_all", wide)
+            cells = cells.withColumn(f"t_{axis}", F.when(F.col("of_all") > 0, F.col("of_axis") / F.col("of_all")).otherwise(0.0)).drop("raw", "of_axis", "of_all")
+    cells = rest(cells.withColumn("w", tokens))
     for _ in range(params.sweeps):
         for axis in AXES:
-            total = F.sum("w").over(W.partitionBy(axis))
-            cells = cells.withColumn("w", F.when(total > 0, F.col("w") * F.col(f"t_{axis}") / total).otherwise(0.0))
-    everything, fitted = F.sum("tokens").over(W.partitionBy()), F.sum("w").over(W.partitionBy())
-    cells = cells.withColumn("ratio", F.when((F.col("tokens") > 0) & (fitted > 0), F.col("w") / fitted / (F.col("tokens") / everything)).otherwise(1.0))
+            cells = _with_total(cells, F.col("w"), (axis,), "total", wide)
+            cells = cells.withColumn("w", F.when(F.col("total") > 0, F.col("w") * F.col(f"t_{axis}") / F.col("total")).otherwise(0.0)).drop("total")
+        cells = rest(cells)
+    cells = _with_total(cells, F.col("w"), (), "fitted", wide)
+    cells = cells.withColumn("ratio", F.when((tokens > 0) & (F.col("fitted") > 0), F.col("w") / F.col("fitted") / (tokens / F.col("all"))).otherwise(1.0))
     cells = cells.withColumn("keep_p", F.least(F.lit(1.0), F.col("ratio") * params.budget))
     for _ in range(params.fills):  # raise the factor until the uncapped cells make up for the capped ones
-        kept = F.sum(F.col("keep_p") * F.col("tokens")).over(W.partitionBy())
-        scale = F.when(kept > 0, params.budget * everything / kept).otherwise(1.0)
-        cells = cells.withColumn("keep_p", F.least(F.lit(1.0), F.col("keep_p") * scale))
+        cells = _with_total(cells, F.col("keep_p") * tokens, (), "sum", wide)
+        scale = F.when(F.col("sum") > 0, params.budget * F.col("all") / F.col("sum")).otherwise(1.0)
+        cells = rest(cells.withColumn("keep_p", F.least(F.lit(1.0), F.col("keep_p") * scale)).drop("sum"))
     return cells.select(*AXES, "tokens", "ratio", "keep_p")
 
 
@@ -82,7 +97,7 @@ def mix(docs: DataFrame, params: Params = Params()) -> DataFrame:
     marked = with_cells(docs)
     counted = settle(marked.groupBy(*(F.col(f"__{a}").alias(a) for a in AXES)).agg(F.sum("__tokens").alias("tokens")))
     small = counted.count() <= params.max_cells
-    cells = settle(fit_cells(counted.coalesce(1).sortWithinPartitions(*AXES) if small else counted, params))
+    cells = settle(fit_cells(counted.coalesce(1).sortWithinPartitions(*AXES) if small else counted, params, not small))
     cells = cells.select(*(F.col(a).alias(f"__{a}") for a in AXES), F.col("keep_p").alias("__p"))
     drawn = F.conv(F.substring(F.md5(F.col("doc_id").cast("string").cast("binary")), 1, 8), 16, 10).cast("double") / 4294967296.0
     out = marked.join(F.broadcast(cells) if small else cells, [f"__{a}" for a in AXES])
