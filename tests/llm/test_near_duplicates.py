@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from fixtrace.llm import components, ngrams, vectors
+from fixtrace.llm import common, components, ngrams, vectors
 
 
 def word_set(text, width):
@@ -148,7 +148,8 @@ def test_vector_links_against_all_pairs(spark):
     hot = rows[0][1]
     rows += [(5000 + k, hot) for k in range(50)]
     odd = [(9000, None), (9001, []), (9002, [0.0] * 64), (9003, [float("nan")] * 64), (9004, [None] * 64), (9005, [1.0, 2.0]), (9006, [2.0, 4.0]), (9007, [float("inf")] + [1.0] * 63)]
-    df = spark.createDataFrame(rows + odd, "vec_id long, embedding array<float>").withColumn("rep", F.lit(1))
+    odd += [(9010, [1e160, 0.0, 0.0]), (9011, [1e160, 0.0, 0.0]), (9012, [1e-160, 0.0, 0.0]), (9013, [0.0, 1e-300, 0.0]), (9014, [1.7e308, 1.7e308, 1.7e308])]
+    df = spark.createDataFrame(rows + odd, "vec_id long, embedding array<double>").withColumn("rep", F.lit(1)).withColumn("h", F.lit(1))
     got = {r.vec_id: r for r in vectors.link(df, vectors.Params(cell_rows=100, block_rows=64)).collect()}
     full = np.array([r for _, r in rows], np.float32).astype(float)
     full /= np.linalg.norm(full, axis=1)[:, None]
@@ -159,4 +160,15 @@ def test_vector_links_against_all_pairs(spark):
     assert got[5001].n_links >= 50 and got[5001].component_id == 0 and not got[5001].kept
     assert all(got[i].n_links == 0 and got[i].kept for i in (9000, 9001, 9002, 9003, 9004, 9007))
     assert got[9005].n_links == 1 and got[9006].component_id == 9005
+    assert [got[9010 + k].n_links for k in range(5)] == [2, 2, 2, 0, 0] and got[9012].component_id == 9010
     assert vectors.link(df.where("false")).count() == 0
+
+
+def test_hot_keys_are_looked_up_by_broadcast(spark):
+    rows = spark.createDataFrame([(k, 1 if k % 3 else k) for k in range(3000)] + [(9000, None)], "i long, key long")
+    found = rows.where("key is not null").groupBy("key").agg(F.count("*").alias("n"), F.max("i").alias("most"))
+    got = common.look_up(rows, "key", found, "n")
+    assert "n" not in got.columns and got.count() == 3001
+    assert got.where("key = 1 and most = 2999").count() == 2000 and got.where("key is null and most is null and i = 9000").count() == 1
+    assert got.where("key <> 1 and most = i").count() == 1000
+    assert common.look_up(rows.where("false"), "key", found.where("false"), "n").count() == 0
