@@ -31,6 +31,12 @@ def shared_dir(spark: SparkSession) -> str:
     return found
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a folder of any file system that Spark opens."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def settle(df: DataFrame) -> DataFrame:
     """Compute once into the shared checkpoint folder and cut the lineage there, so a lost executor loses nothing."""
     shared_dir(df.sparkSession)

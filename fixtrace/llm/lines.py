@@ -26,7 +26,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fixtrace.llm.common import BLANKS, fold_lower, settle, shared_dir, table
+from fixtrace.llm.common import BLANKS, fold_lower, remove, settle, shared_dir, table
 
 
 @dataclass(frozen=True)
@@ -122,16 +122,11 @@ class LineRuns:
             full, self.levels[level] = self.levels[level], []
             self._write(self._folded(self._read(full)), level + 1)
             for path in full:
-                self._remove(path)
+                remove(self.spark, path)
             level += 1
 
-    def _remove(self, path: str) -> None:
-        jvm = self.spark.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-
     def drop(self) -> None:
-        self._remove(self.folder)
+        remove(self.spark, self.folder)
         self.levels = []
 
 

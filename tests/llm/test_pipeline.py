@@ -33,3 +33,13 @@ def test_stages(spark, small, tmp_path):
     totals = kept[4].groupby("doc_id").length.sum()
     assert set(totals.index) == set(kept[3].doc_id)
     assert re.match("[a-z]", corpus_pipeline.STAGES[0][0])
+
+
+def test_run_computes_each_stage_once(spark, small):
+    out = corpus_pipeline.run(spark, small)
+    assert all(re.search(r"/pipeline-\w+/3/", f) for f in out.inputFiles())  # the last stage reads what the fourth wrote
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    for _, stage in corpus_pipeline.STAGES[:4]:
+        docs = spark.createDataFrame(stage(spark, docs, small).toPandas(), docs.schema)
+    kept = out.groupBy("doc_id").agg({"length": "sum"}).toPandas()
+    assert set(kept.doc_id) == {r.doc_id for r in docs.select("doc_id").collect()}
