@@ -6,6 +6,8 @@ are the next stage's texts.
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -55,7 +57,14 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    """Each stage's rows are written once to the shared folder and reread; the folder of the stage before goes then."""
+    docs, held = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
+    base = f"{common.shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
+    for k, (_, stage) in enumerate(STAGES[:-1]):
+        path = f"{base}/{k}"
+        stage(spark, docs, sf_dir).write.parquet(path)
+        docs = spark.read.parquet(path)
+        if held:
+            common.remove(spark, held)
+        held = path
+    return STAGES[-1][1](spark, docs, sf_dir)
