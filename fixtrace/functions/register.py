@@ -32,23 +32,25 @@ def weighted_score(similar: pd.Series, weight: pd.Series) -> float:
 
 @udtf(returnType=_struct(hunk=T.IntegerType(), op=T.StringType(), old_no=T.IntegerType(), new_no=T.IntegerType(), text=T.StringType()))
 class ExplodePatch:
-    """Lines of one file's unified diff."""
+    """Lines of one file's unified diff; a hunk is as long as its header says."""
 
     def eval(self, text: str):
-        hunk, old, new = 0, 0, 0
+        hunk = old = new = to_old = to_new = 0
         for line in (text or "").split("\n"):
-            m = re.match(r"@@ -(\d+)(?:,\d+)? \+(\d+)(?:,\d+)? @@", line)
+            m = re.match(r"@@ -(\d+)(?:,(\d+))? \+(\d+)(?:,(\d+))? @@", line)
             if m:
-                hunk, old, new = hunk + 1, int(m[1]), int(m[2])
-            elif hunk and line[:1] == "+" and not line.startswith("+++ "):
-                yield hunk, "add", None, new, line[1:]
-                new += 1
-            elif hunk and line[:1] == "-" and not line.startswith("--- "):
-                yield hunk, "del", old, None, line[1:]
-                old += 1
-            elif hunk and line[:1] == " ":
-                yield hunk, "ctx", old, new, line[1:]
-                old, new = old + 1, new + 1
+                hunk, old, new = hunk + 1, int(m[1]), int(m[3])
+                to_old, to_new = old + int(m[2] or 1), new + int(m[4] or 1)
+            elif old < to_old or new < to_new:
+                if line[:1] == "+":
+                    yield hunk, "add", None, new, line[1:]
+                    new += 1
+                elif line[:1] == "-":
+                    yield hunk, "del", old, None, line[1:]
+                    old += 1
+                elif line[:1] in (" ", ""):
+                    yield hunk, "ctx", old, new, line[1:]
+                    old, new = old + 1, new + 1
 
 
 @udtf(returnType=_struct(position=T.IntegerType(), tag=T.StringType(), closing=T.BooleanType()))

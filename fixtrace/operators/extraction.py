@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -13,42 +15,64 @@ from fixtrace.functions import ctree
 IRRELEVANT = (r"(?i)(^|/)(change|changelog|news|readme|copying|authors|license)[^/]*$", r"(?i)\.(md|txt|rst|po|html?)$", r"(?i)(^|/)(tests?|docs?)/")
 
 
+HUNK = r"^@@ -(\d+)(?:,(\d+))? \+(\d+)(?:,(\d+))? @@ ?(.*)$"
+
+
 def parse_patch(patches: DataFrame) -> DataFrame:
     """Unified diffs (commit_id, text) to lines: path, function, hunk, op, old_no, new_no, text.
 
-    File headers end a file; line numbers run from the hunk header.  Text outside a hunk is dropped.
+    A hunk is as long as its header says, so a removed line ``-- i;`` is no file header and what stands after a hunk
+    is no content.  The path is the new one, of deleted files the old one.  Text outside a hunk is dropped; an empty
+    line inside one is an empty line of context.
     """
     lines = patches.select("commit_id", F.posexplode(F.split(F.coalesce("text", F.lit("")), r"\r?\n")).alias("at", "line"))
     w = W.partitionBy("commit_id").orderBy("at").rowsBetween(W.unboundedPreceding, W.currentRow)
-    head = F.col("line").rlike("^(diff |--- |\\+\\+\\+ )")
-    hunk = r"^@@ -(\d+)(?:,\d+)? \+(\d+)(?:,\d+)? @@ ?(.*)$"
-    is_hunk = F.col("line").rlike("^@@ ")
-    marked = lines.withColumns({
-        "path": F.last(F.when(F.col("line").rlike(r"^\+\+\+ "), F.regexp_extract("line", r"^\+\+\+ (?:b/)?(\S+)", 1)), ignorenulls=True).over(w),
-        "hunk": F.count(F.when(is_hunk, 1)).over(w), "header": F.last(F.when(is_hunk, F.col("line")), ignorenulls=True).over(w),
-        "file": F.count(F.when(F.col("line").startswith("diff ") | F.col("line").startswith("--- a/") | F.col("line").startswith("--- /"), 1)).over(w),
-    })
-    first = F.col("line").substr(1, 1)
-    body = marked.where((F.col("hunk") > 0) & ~is_hunk & ~head & first.isin("+", "-", " "))
+    is_hunk = F.col("line").rlike(HUNK)
+    many = lambda k: F.coalesce(F.regexp_extract("header", HUNK, k).try_cast("int"), F.lit(1))
+    marked = lines.withColumns({"hunk": F.count(F.when(is_hunk, 1)).over(w), "header": F.last(F.when(is_hunk, F.col("line")), ignorenulls=True).over(w)})
+    first = F.when(F.col("line") == "", " ").otherwise(F.col("line").substr(1, 1))
+    op = F.when(~is_hunk & first.isin("+", "-", " "), F.when(first == "+", "add").when(first == "-", "del").otherwise("ctx"))
+    marked = marked.withColumn("op", op).withColumns({"is_old": F.coalesce((F.col("op") != "add").cast("int"), F.lit(0)), "is_new": F.coalesce((F.col("op") != "del").cast("int"), F.lit(0))})
     inside = W.partitionBy("commit_id", "hunk").orderBy("at").rowsBetween(W.unboundedPreceding, W.currentRow)
-    op = F.when(first == "+", "add").when(first == "-", "del").otherwise("ctx")
-    body = body.withColumn("op", op)
-    start = lambda k: F.regexp_extract("header", hunk, k).cast("int")
-    old = start(1) + F.count(F.when(F.col("op") != "add", 1)).over(inside) - 1
-    new = start(2) + F.count(F.when(F.col("op") != "del", 1)).over(inside) - 1
-    return body.select(
-        "commit_id", "path", F.regexp_extract("header", hunk, 3).alias("func"), F.col("hunk").cast("int").alias("hunk"), "op",
-        F.when(F.col("op") != "add", old).cast("int").alias("old_no"), F.when(F.col("op") != "del", new).cast("int").alias("new_no"), F.expr("substring(line, 2)").alias("text"),
+    marked = marked.withColumns({"n_old": F.sum("is_old").over(inside), "n_new": F.sum("is_new").over(inside)})
+    going = (F.col("n_old") - F.col("is_old") < many(2)) | (F.col("n_new") - F.col("is_new") < many(4))
+    marked = marked.withColumn("body", (F.col("hunk") > 0) & F.col("op").isNotNull() & going)
+    name = lambda mark: F.when(~F.col("body") & F.col("line").startswith(mark), F.regexp_extract("line", r"^(?:---|\+\+\+) (?:[ab]/)?([^\t]*)", 1))
+    old, new = (F.last(name(mark), ignorenulls=True).over(w) for mark in ("--- ", "+++ "))
+    marked = marked.withColumns({"old_path": old, "new_path": new})
+    return marked.where("body").select(
+        "commit_id", F.when(F.col("new_path") == "/dev/null", F.col("old_path")).otherwise(F.col("new_path")).alias("path"),
+        F.regexp_extract("header", HUNK, 5).alias("func"), F.col("hunk").cast("int").alias("hunk"), "op",
+        F.when(F.col("op") != "add", F.regexp_extract("header", HUNK, 1).cast("int") + F.col("n_old") - 1).cast("int").alias("old_no"),
+        F.when(F.col("op") != "del", F.regexp_extract("header", HUNK, 3).cast("int") + F.col("n_new") - 1).cast("int").alias("new_no"), F.expr("substring(line, 2)").alias("text"),
     )
 
 
 def drop_irrelevant(diff: DataFrame, patterns=IRRELEVANT) -> DataFrame:
-    """Lines of files that hold code; blank and comment-only changes go too."""
+    """Lines of files that hold code; changes of blanks and comments only go too.
+
+    Whether a changed line starts inside a block comment is told on its own side of the hunk (old lines for what is
+    removed, new ones for what is added): by the last comment mark before it, or, where the hunk may begin inside a
+    comment, by whether an end of one comes next.  ``*p = 0;`` is code, `` * text`` inside a comment is not.
+    """
     bad = F.lit(False)
     for p in patterns:
         bad = bad | F.coalesce(F.col("path").rlike(p), F.lit(False))
-    empty = (F.col("op") != "ctx") & F.col("text").rlike(r"^\s*(//.*|/\*.*\*/|\*.*)?\s*$")
-    return diff.where(~bad & ~empty)
+    bare = F.regexp_replace(F.regexp_replace("text", r'"(?:[^"\\\\]|\\\\.)*"', '""'), r"//.*$", "")
+    marks = F.regexp_extract_all(bare, F.lit(r"/\*|\*/"), F.lit(0))
+    rows = diff.withColumns({"__bare": bare, "__marks": marks}).withColumns({"__first": F.get("__marks", F.lit(0)), "__last": F.get("__marks", F.size("__marks") - 1)})
+    out = []
+    for side, number in (("del", "old_no"), ("add", "new_no")):
+        w = W.partitionBy("commit_id", "path", "hunk").orderBy(number)
+        before = F.last("__last", ignorenulls=True).over(w.rowsBetween(W.unboundedPreceding, -1))
+        after = F.first("__first", ignorenulls=True).over(w.rowsBetween(W.currentRow, W.unboundedFollowing))
+        held = rows.where(F.col("op").isin(side, "ctx")).withColumn("__in", F.coalesce(before == "/*", after == "*/", F.lit(False)))
+        out.append(held.where(F.col("op") == side))
+    changed = out[0].unionByName(out[1])
+    text = F.when(F.col("__in"), F.regexp_replace("__bare", r"^.*?(\*/|$)", "")).otherwise(F.col("__bare"))
+    code = F.trim(F.regexp_replace(F.regexp_replace(text, r"/\*.*?\*/", " "), r"/\*.*$", " ")) != ""
+    kept = changed.where(code).select(diff.columns).unionByName(diff.where("op = 'ctx'"))
+    return kept.where(~bad)
 
 
 def classify_patch(diff: DataFrame, large: int = 50) -> DataFrame:
@@ -102,59 +126,170 @@ def facts(tree: tuple) -> tuple[set[str], set[str], set[str]]:
     return defs, uses, set(ctree.calls(tree))
 
 
+class Stmt:
+    """One line: what it defines and uses, and the lines it governs (``body``, ``orelse``)."""
+
+    __slots__ = ("no", "kind", "defs", "sure", "uses", "calls", "body", "orelse", "jump")
+
+    def __init__(self, no: int, kind: str, defs: set[str], sure: set[str], uses: set[str], calls: set[str], jump: str = ""):
+        self.no, self.kind, self.defs, self.sure, self.uses, self.calls, self.jump = no, kind, defs, sure, uses, calls, jump
+        self.body: list[Stmt] | None = None
+        self.orelse: list[Stmt] = []
+
+
+def _sure(tree: tuple) -> set[str]:
+    """Variables that a statement replaces whenever it runs: plain names assigned outside any condition."""
+    label = tree[0]
+    if label == "block":
+        return set().union(*map(_sure, tree[1:])) if tree[1:] else set()
+    if label == "decl":
+        return _sure(tree[2]) if tree[2][0] == "=" else set()
+    if label == "=":
+        return (_names(tree[1]) if len(tree[1]) == 1 else set()) | _sure(tree[2])
+    if label in ctree.ASSIGN or label in ("p++", "p--", "u++", "u--"):
+        return _names(tree[1]) if len(tree[1]) == 1 else set()
+    return set()
+
+
+def _read_line(no: int, text: str) -> Stmt:
+    bare = text.strip()
+    head = bare.lstrip("} ")
+    test = re.sub(r"^else\b\s*", "", head)
+    word = (re.match(r"[A-Za-z_]*", test) or [""])[0]
+    tree = None
+    for form in (bare, bare + "}", bare + ";", test or ";", test + "}", test.rstrip("{").strip() + " ;", "do {" + bare):
+        try:
+            tree = ctree.parse(form)
+            break
+        except ctree.Unparsed:
+            continue
+    kind = {"if": "cond", "switch": "cond", "for": "loop", "while": "loop", "do": "loop", "return": "return"}.get(word, "cond" if head.startswith("else") else "other")
+    defs, uses, calls = facts(tree or ("block",))
+    if kind == "other":
+        kind = "assign" if defs else "call" if calls else "other"
+    jump = word if word in ("break", "continue", "return", "goto") else "label" if word in ("case", "default") else word if kind == "loop" or word == "switch" else "else" if head.startswith("else") and word != "if" else ""
+    return Stmt(no, kind, defs, _sure(tree) if tree else set(), uses, calls, jump)
+
+
+def structure(lines: list[tuple[int, str]]) -> list[Stmt]:
+    """The lines of a function as nested statements, by braces, or by the next line where a condition has none."""
+    out: list[Stmt] = []
+    stack: list[tuple[list[Stmt], bool]] = [(out, False)]  # a list of statements, and whether it ends with its first
+
+    def done() -> None:
+        while stack[-1][1] and stack[-1][0]:
+            stack.pop()
+
+    for no, text in lines:
+        bare = re.sub(r'"(?:[^"\\]|\\.)*"|\'(?:[^\'\\]|\\.)*\'', "0", text.strip())
+        lead = len(bare) - len(bare.lstrip("} "))
+        for _ in range(bare[:lead].count("}")):
+            if len(stack) > 1:
+                stack.pop()
+                if not bare.lstrip("} ").startswith("else"):
+                    done()
+        head = bare.lstrip("} ")
+        if bare and not head.strip(" ;"):
+            continue
+        s = _read_line(no, text)
+        at = stack[-1][0]
+        if head.startswith("else") and at:
+            owner = at[-1]
+            while owner.orelse and owner.orelse[-1].kind == "cond":
+                owner = owner.orelse[-1]
+            at = owner.orelse
+        at.append(s)
+        opens = head.count("{") - head.count("}")
+        if opens > 0:
+            s.body = []
+            for _ in range(opens):
+                stack.append((s.body, False))
+        elif s.kind in ("cond", "loop") and not bare.endswith((";", "}")):
+            s.body = []
+            stack.append((s.body, True))
+        else:
+            done()
+    return out
+
+
 def dependence(lines: list[tuple[int, str]]) -> tuple[dict, list[tuple[int, int, str, str]]]:
     """Statements and dependence edges (source, target, kind, variable) of one function given as numbered lines.
 
-    A line that opens a conditional or loop governs the lines up to its closing brace, or the next line if it has
-    none.  Data edges join each use to the definitions that reach it in line order.
+    Data edges join each use to every definition that may reach it: branches meet, loops carry definitions around,
+    and only an assignment to a plain variable replaces earlier ones.  Control edges join a condition or loop to all
+    it governs, its else branch included.  A goto is taken to leave the function.
     """
     stmts: dict[int, dict] = {}
-    edges: list[tuple[int, int, str, str]] = []
-    stack: list[tuple[int, int]] = []
-    depth, pending = 0, None
-    last: dict[str, int] = {}
-    for no, text in lines:
-        bare = text.strip()
-        tree = None
-        for form in (bare, bare + "}", bare + ";", bare.lstrip("}") or ";", bare.lstrip("}").strip() + " ; }"):
-            try:
-                tree = ctree.parse(form)
-                break
-            except ctree.Unparsed:
+    edges: dict[tuple[int, int, str, str], None] = {}
+
+    def meet(*states):
+        held = [x for x in states if x is not None]
+        return {v: frozenset().union(*(x.get(v, frozenset()) for x in held)) for v in set().union(*held)} if held else None
+
+    def use(s: Stmt, state: dict) -> None:
+        for v in sorted(s.uses):
+            for d in sorted(state.get(v, ())):
+                edges[d, s.no, "data", v] = None
+
+    def define(s: Stmt, state: dict) -> dict:
+        return state | {v: frozenset({s.no}) if v in s.sure else state.get(v, frozenset()) | {s.no} for v in s.defs}
+
+    def run(block: list[Stmt], state, jumps: dict, entry=None):
+        for s in block:
+            if s.jump == "label":
+                state = meet(state, entry)
+            if state is None:
                 continue
-        head = bare.lstrip("} ")
-        kind = "cond" if head.startswith(("if", "switch", "else")) else "loop" if head.startswith(("for", "while", "do")) else "return" if head.startswith("return") else "other"
-        if tree is None:  # a conditional whose body is on other lines
-            try:
-                tree = ctree.parse(head.rstrip("{").strip() + " ;")
-            except ctree.Unparsed:
-                tree = ("block",)
-        defs, uses, calls = facts(tree)
-        if kind == "other":
-            kind = "assign" if defs else "call" if calls else "other"
-        stmts[no] = {"kind": kind, "defs": defs, "uses": uses, "calls": calls}
-        closes, opens = bare.count("}"), bare.count("{")
-        while stack and depth - closes < stack[-1][1] and bare.startswith("}"):
-            stack.pop()
-        for g, _ in stack:
-            edges.append((g, no, "control", ""))
-        if pending is not None:
-            edges.append((pending, no, "control", ""))
-            pending = None
-        for v in sorted(uses):
-            if v in last:
-                edges.append((last[v], no, "data", v))
-        for v in defs:
-            last[v] = no
-        depth += opens - closes
-        if kind in ("cond", "loop"):
-            if opens > closes:
-                stack.append((no, depth))
-            elif not bare.endswith((";", "}")):
-                pending = no
-        while stack and depth < stack[-1][1]:
-            stack.pop()
-    return stmts, edges
+            if s.kind == "loop" and s.body is not None:
+                after, back = state, None
+                while True:
+                    top = meet(state, back)
+                    if s.jump != "do":
+                        use(s, top)
+                    ends = {"break": [], "continue": []}
+                    end = run(s.body, define(s, top), ends)
+                    new = meet(back, end, *ends["continue"])
+                    after = meet(end if s.jump == "do" else define(s, top), *ends["continue"], *ends["break"])
+                    if new == back:
+                        break
+                    back = new
+                state = after
+            elif s.kind == "cond" and s.body is not None:
+                use(s, state)
+                state = define(s, state)
+                if s.jump == "else":
+                    state = run(s.body, state, jumps, entry)
+                elif s.jump == "switch":
+                    ends = {"break": [], "continue": jumps["continue"]}
+                    state = meet(run(s.body, None, ends, state), state if not any(x.jump == "label" for x in s.body) else None, *ends["break"])
+                else:
+                    state = meet(run(s.body, state, jumps, entry), run(s.orelse, state, jumps, entry))
+            else:
+                use(s, state)
+                state = define(s, state)
+                if s.body is not None:
+                    state = run(s.body, state, jumps, entry)
+                if s.orelse:
+                    state = meet(state, run(s.orelse, state, jumps, entry))
+                if s.jump in ("break", "continue", "return", "goto"):
+                    if s.jump in jumps:
+                        jumps[s.jump].append(state)
+                    state = None
+        return state
+
+    def govern(block: list[Stmt], over: list[int]) -> None:
+        for s in block:
+            stmts[s.no] = {"kind": s.kind, "defs": s.defs, "uses": s.uses, "calls": s.calls}
+            for g in over:
+                edges[g, s.no, "control", ""] = None
+            mine = [*over, s.no] if s.kind in ("cond", "loop") else over
+            govern(s.body or [], mine)
+            govern(s.orelse, [*over, s.no])
+
+    found = structure(lines)
+    govern(found, [])
+    run(found, {}, {"break": [], "continue": []})
+    return dict(sorted(stmts.items())), list(edges)
 
 
 def slice_lines(lines: list[tuple[int, str]], seeds: set[int], direction: str = "both") -> dict[int, str]:

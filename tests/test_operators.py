@@ -106,6 +106,47 @@ def test_patch_lines(spark):
     assert (row.added, row.deleted, row.patch_class, row.large) == (1, 1, "both", False)
 
 
+ODD_PATCH = """--- a/src/ring.c
++++ b/src/ring.c
+@@ -20,4 +20,5 @@ static int turn(void)
+ int k;
+--- i;
++++ j;
++*p = 0;
++k = 1;
+ done();
+-- x
+@@ -40,6 +41,6 @@
+ /* a note
+-   old words
++ * new words
+  */
+-n = 1; /* one */
++n = 2; // two
+ }
+-/* gone */
+
+\\ No newline at end of file
+--- a/old/lost.c
++++ /dev/null
+@@ -1 +0,0 @@
+-int lost;
+--- not part of any hunk
++++ nor this
+"""
+
+
+def test_hunks_are_as_long_as_their_headers_say(spark):
+    diff = extraction.parse_patch(spark.createDataFrame([(1, ODD_PATCH), (2, ""), (3, "no patch")], "commit_id long, text string").withColumn("path", F.lit("clash")))
+    got = [(r.path, r.op, r.old_no, r.new_no, r.text) for r in diff.orderBy("hunk", F.coalesce("new_no", "old_no"), "op").collect()]
+    assert {("src/ring.c", "del", 21, None, "-- i;"), ("src/ring.c", "add", None, 21, "++ j;"), ("src/ring.c", "add", None, 22, "*p = 0;"), ("src/ring.c", "add", None, 23, "k = 1;")} <= set(got)
+    assert ("old/lost.c", "del", 1, None, "int lost;") in got and not [r for r in got if "not part" in r[4] or "nor this" in r[4]]
+    assert ("src/ring.c", "ctx", 22, 24, "done();") in got and ("src/ring.c", "del", 23, None, "- x") in got
+    code = {(r.op, r.text) for r in extraction.drop_irrelevant(diff).where("op <> 'ctx'").collect()}
+    assert code == {("del", "-- i;"), ("add", "++ j;"), ("add", "*p = 0;"), ("add", "k = 1;"), ("del", "- x"), ("del", "n = 1; /* one */"), ("add", "n = 2; // two"), ("del", "int lost;")}
+    assert extraction.parse_patch(spark.createDataFrame([], "commit_id long, text string")).count() == 0
+
+
 def test_judge_runs_are_kept_and_parsed(spark):
     cases = spark.createDataFrame([(5, ["overflow"], "d")], "vuln_id long, weakness array<string>, description string")
     flows = spark.createDataFrame([(5, "3 n = a * b; 4 p = malloc(n); 9 f(x);")], "vuln_id long, flow string")

@@ -26,6 +26,8 @@ def test_sql_surface(spark):
     assert got.same and got.none
     rows = spark.sql("SELECT * FROM explode_patch('@@ -3,1 +3,1 @@\n-a\n+b')").collect()
     assert [(r.op, r.old_no, r.new_no, r.text) for r in rows] == [("del", 3, None, "a"), ("add", None, 3, "b")]
+    odd = spark.sql("SELECT * FROM explode_patch('@@ -3 +3,2 @@\n--- i;\n+++ j;\n+k;\n--- a/next')").collect()
+    assert [(r.op, r.text) for r in odd] == [("del", "-- i;"), ("add", "++ j;"), ("add", "k;")]
     assert [r.tag for r in spark.sql("SELECT * FROM flatten_html('<p><B>x</B>') ORDER BY position").collect()] == ["p", "b", "b"]
     spark.createDataFrame([(1, True, 2.0), (1, False, 1.0), (1, False, 1.0)], "k int, s boolean, w double").createOrReplaceTempView("st")
     assert spark.sql("SELECT weighted_score(s, w) AS x FROM st GROUP BY k").first().x == pytest.approx(0.5)
