@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fixtrace.functions.text import simhash64, squash
 from fixtrace.operators.backtrack import statement_stops
+from fixtrace.operators.extraction import dependence, slice_lines
 
 
 def advisory_versions(claims: DataFrame, tags: DataFrame) -> DataFrame:
@@ -84,18 +86,58 @@ def patch_presence(versions: DataFrame, changed: DataFrame, del_min: float = 1.0
     return rows.where((has >= del_min) & (safe <= add_max)).select("vuln_id", "repo_id", "tag_no")
 
 
-def dependence_match(versions: DataFrame, weighted: DataFrame, least: float = 0.7) -> DataFrame:
-    """Weighted share of the critical statements that a version holds.  ``weighted``: vuln_id, slot, pre, weight."""
-    critical = weighted.groupBy("vuln_id").agg(F.collect_list(F.struct(F.col("slot"), F.col("pre"), F.col("weight"))).alias("critical"))
-    rows = versions.join(critical, "vuln_id")
-    zero = F.lit(0.0)
-    total = F.aggregate("critical", zero, lambda s, x: s + x["weight"])
-    held = F.aggregate("critical", zero, lambda s, x: s + F.when(F.array_contains(F.map_values("lines"), x["pre"]), x["weight"]).otherwise(0.0))
-    return rows.where((total > 0) & (held >= least * total)).select("vuln_id", "repo_id", "tag_no")
+def weighted_graph(lines: list[tuple[int, str]], seeds: set[int], weights: dict[str, float]) -> dict[tuple, float]:
+    """The dependence graph around some lines, by text: weights of its critical statements and of the edges between.
+
+    Critical is what the slice both ways from the seeds holds.  A statement weighs what ``weights`` says, else 1; an
+    edge weighs as much as the heavier of its ends.
+    """
+    text = dict(lines)
+    _, edges = dependence(lines)
+    critical = set(slice_lines(lines, seeds))
+    of = lambda no: weights.get(text[no], 1.0)
+    out: dict[tuple, float] = {("stmt", text[no]): of(no) for no in critical}
+    for a, b, kind, variable in edges:
+        if a in critical and b in critical:
+            out[kind, text[a], text[b], variable] = max(of(a), of(b))
+    return out
+
+
+def weighted_jaccard(a: dict[tuple, float], b: dict[tuple, float]) -> float:
+    """Sum of the lesser weights over the sum of the greater ones."""
+    keys = a.keys() | b.keys()
+    total = sum(max(a.get(k, 0.0), b.get(k, 0.0)) for k in keys)
+    return sum(min(a.get(k, 0.0), b.get(k, 0.0)) for k in keys) / total if total else 0.0
+
+
+def dependence_match(versions: DataFrame, bodies: DataFrame, weighted: DataFrame, least: float = 0.7) -> DataFrame:
+    """Versions whose weighted dependence graph around the patched statements is near the vulnerable one's.
+
+    ``weighted``: vuln_id, slot, pre (squashed text), weight of the patch's statements.  Each distinct body of a
+    case is compared once, in Arrow batches.
+    """
+    entries = lambda c: F.array_sort(F.map_entries(c))
+    critical = weighted.groupBy("vuln_id").agg(F.collect_list(F.struct("slot", "pre", "weight")).alias("critical"))
+    rows = versions.select("vuln_id", "repo_id", "tag_no", entries("lines").alias("lines"))
+    wanted = bodies.select("vuln_id", entries("body").alias("body")).join(critical, "vuln_id")
+    asked = rows.select("vuln_id", "lines").distinct().join(wanted, "vuln_id")
+
+    def run(batches):
+        for b in batches:
+            keep = []
+            for lines, body, marks in zip(*(b.column(c).to_pylist() for c in ("lines", "body", "critical")), strict=True):
+                weights, seeds = {m["pre"]: m["weight"] for m in marks}, {m["slot"] for m in marks}
+                one, two = (weighted_graph([(e["key"], e["value"] or "") for e in x], seeds, weights) for x in (body, lines))
+                keep.append(weighted_jaccard(one, two) >= least)
+            yield pa.RecordBatch.from_arrays([b.column("vuln_id"), b.column("lines")], ["vuln_id", "lines"]).filter(pa.array(keep))
+
+    kind = "array<struct<key:int,value:string>>"
+    near = asked.select("vuln_id", "lines", "body", "critical").mapInArrow(run, f"vuln_id bigint, lines {kind}")
+    return rows.join(near, ["vuln_id", "lines"], "left_semi").select("vuln_id", "repo_id", "tag_no")
 
 
-def window_match(versions: DataFrame, bodies: DataFrame, width: int = 2) -> DataFrame:
-    """Versions that hold every run of ``width`` neighbouring lines of the vulnerable file, by hash."""
+def window_match(versions: DataFrame, bodies: DataFrame, width: int = 4, least: float = 0.5) -> DataFrame:
+    """Versions that hold at least the share ``least`` of the runs of ``width`` neighbouring lines of the vulnerable file, by hash."""
 
     def windows(lines):
         values = F.transform(F.array_sort(F.map_entries(lines)), lambda e: e["value"])
@@ -103,4 +145,4 @@ def window_match(versions: DataFrame, bodies: DataFrame, width: int = 2) -> Data
         return F.when(F.size(values) >= width, many).otherwise(F.array(F.xxhash64(F.array_join(values, "\n"))))
 
     rows = versions.join(bodies, "vuln_id").withColumns({"w": windows("body"), "h": windows("lines")})
-    return rows.where(F.size(F.array_except("w", "h")) == 0).select("vuln_id", "repo_id", "tag_no")
+    return rows.where(F.size(F.array_intersect("w", "h")) >= least * F.size(F.array_distinct("w"))).select("vuln_id", "repo_id", "tag_no")

@@ -1,69 +1,157 @@
 """Clone detectors on statement changes, for comparison at their own best thresholds.
 
-``pairs``: pre, post, repo_id and ``same`` (whether the change kept the statement).  Each detector gives a
-similarity in [0, 1]; ``at_thresholds`` turns similarities into counts on a grid.
+``pairs``: distinct (pre, post, repo_id, same) with ``n``, how often each occurs; ``same`` tells whether the change
+kept the statement.  Each detector gives a similarity in [0, 1] of distinct text pairs; ``at_thresholds`` turns
+similarities into counts on a grid, so no text pair is compared twice however often it occurs.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import functools
+import zlib
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
-from fixtrace.functions.text import cosine, line_similarity, squash
+from fixtrace.functions import ctree
+from fixtrace.functions.store import settle
+from fixtrace.functions.text import line_similarity, squash
+from fixtrace.operators.extraction import dependence
 from fixtrace.operators.measures import rates
 
 GRID = tuple(k / 10 for k in range(1, 11))
-BUCKETS = 32
+TREE_BUCKETS, FLOW_BUCKETS = 48, 16
 
 
-def grams(text: Column) -> Column:
-    """Counts of hashed character trigrams in a fixed number of buckets."""
-    s = squash(text)
-    hashed = F.transform(F.sequence(F.lit(1), F.greatest(F.char_length(s) - 2, F.lit(1))), lambda k: F.pmod(F.xxhash64(F.substring(s, k, F.lit(3))), F.lit(BUCKETS)))
-    return F.transform(F.sequence(F.lit(0), F.lit(BUCKETS - 1)), lambda b: F.size(F.filter(hashed, lambda h: h == b)).cast("double"))
+def once(pairs: DataFrame) -> DataFrame:
+    return pairs.select("pre", "post").distinct()
 
 
 def edit(pairs: DataFrame) -> DataFrame:
-    return pairs.withColumn("similarity", line_similarity(squash(F.col("pre")), squash(F.col("post"))))
+    """(pre, post, similarity) by edit distance."""
+    return once(pairs).withColumn("similarity", line_similarity(squash(F.col("pre")), squash(F.col("post"))))
 
 
 def md5(pairs: DataFrame) -> DataFrame:
     """Share of equal statement digests, statements split at semicolons and braces."""
     parts = lambda c: F.transform(F.filter(F.split(squash(F.col(c)), r"[;{}]"), lambda x: F.trim(x) != ""), lambda x: F.md5(F.trim(x).cast("binary")))
-    rows = pairs.withColumns({"p": parts("pre"), "q": parts("post")})
+    rows = once(pairs).withColumns({"p": parts("pre"), "q": parts("post")})
     share = F.size(F.array_intersect("p", "q")) / F.greatest(F.size(F.array_union("p", "q")), F.lit(1))
     return rows.withColumn("similarity", share).drop("p", "q")
 
 
 def vector(pairs: DataFrame) -> DataFrame:
-    """Cosine of hashed trigram vectors; a stand-in for learned embeddings, which need a model."""
-    rows = pairs.withColumns({"p": grams(F.col("pre")), "q": grams(F.col("post"))})
-    return rows.withColumn("similarity", F.coalesce(cosine(F.col("p"), F.col("q")), F.lit(0.0))).drop("p", "q")
+    """Cosine of sparse character-trigram counts; a stand-in for learned embeddings, which need a model.
 
+    Each distinct text is cut once; dot products are a join on (pair, trigram).
+    """
+    distinct = settle(once(pairs).withColumn("pair", F.xxhash64("pre", "post")))
+    texts = distinct.select(F.explode(F.array("pre", "post")).alias("text")).distinct()
+    grams = F.regexp_extract_all(squash(F.col("text")), F.lit("(?s)(?=(.{3}))"), F.lit(1))
+    counts = settle(texts.select("text", F.explode(grams).alias("gram")).groupBy("text", "gram").agg(F.count("*").cast("double").alias("n")))
+    norms = counts.groupBy("text").agg(F.sqrt(F.sum(F.col("n") * F.col("n"))).alias("norm"))
+    side = lambda s, df: df.select(F.col("text").alias(s), *(F.col(c).alias(f"{c}_{s}") if c != "gram" else F.col(c) for c in df.columns if c != "text"))
+    dots = distinct.join(side("pre", counts), "pre").join(side("post", counts), ["post", "gram"]).groupBy("pre", "post").agg(F.sum(F.col("n_pre") * F.col("n_post")).alias("dot"))
+    rows = distinct.join(side("pre", norms), "pre", "left").join(side("post", norms), "post", "left").join(dots, ["pre", "post"], "left")
+    return rows.select("pre", "post", F.coalesce(F.col("dot") / (F.col("norm_pre") * F.col("norm_post")), F.lit(0.0)).alias("similarity"))
 
-def two_level(pairs: DataFrame, sims: DataFrame) -> DataFrame:
-    """The greater of line and tree similarity."""
-    rows = pairs.join(sims, ["pre", "post"])
-    return rows.withColumn("similarity", F.greatest("sim_a", F.coalesce("sim_b", F.lit(0.0)))).drop("sim_a", "sim_b")
+
+def tree(pairs: DataFrame, sims: DataFrame) -> DataFrame:
+    """The tree level alone; 0 where a text does not parse."""
+    return once(pairs).join(sims, ["pre", "post"]).select("pre", "post", F.coalesce("sim_b", F.lit(0.0)).alias("similarity"))
 
 
-def function_model(pairs: DataFrame, seed: int = 3) -> DataFrame:
-    """A neural classifier over fused text and label features, trained on the even repositories, scored on the odd."""
+def two_level(pairs: DataFrame, sims: DataFrame) -> DataFrame:
+    """The greater of line and tree similarity."""
+    return once(pairs).join(sims, ["pre", "post"]).select("pre", "post", F.greatest("sim_a", F.coalesce("sim_b", F.lit(0.0))).alias("similarity"))
+
+
+@functools.lru_cache(maxsize=50_000)
+def _tree_counts(text: str) -> tuple[tuple[int, int], ...]:
+    """Counts of hashed (parent, child) labels of a statement; names and constants are told by kind only."""
+    out: dict[int, int] = {}
+    plain = lambda t: t[0].partition(":")[0]
+
+    def walk(t: tuple) -> None:
+        for x in t[1:]:
+            at = zlib.crc32(f"{plain(t)}>{plain(x)}".encode()) % TREE_BUCKETS
+            out[at] = out.get(at, 0) + 1
+            walk(x)
+
+    try:
+        walk(ctree.parse(text))
+    except (ctree.Unparsed, RecursionError):
+        pass
+    return tuple(out.items())
+
+
+def function_features(lines: list[str]) -> np.ndarray:
+    """Fused features of a whole function: its tree edges by label, its flow edges (control and data) by statement kind."""
+    out = np.zeros(TREE_BUCKETS + FLOW_BUCKETS)
+    for text in lines:
+        for at, n in _tree_counts(text):
+            out[at] += n
+    stmts, edges = dependence(list(enumerate(lines)))
+    for a, b, kind, _ in edges:
+        out[TREE_BUCKETS + zlib.crc32(f"{kind}:{stmts[a]['kind']}>{stmts[b]['kind']}".encode()) % FLOW_BUCKETS] += 1
+    for s in stmts.values():
+        out[TREE_BUCKETS + zlib.crc32(s["kind"].encode()) % FLOW_BUCKETS] += 1
+    return out
+
+
+def function_model(functions: DataFrame, seed: int = 3, max_rows: int = 20_000) -> DataFrame:
+    """(pre, post, repo_id, same, n, similarity) of whole functions before and after a change.
+
+    ``functions``: before, after (arrays of lines), pre, post, repo_id, same, n.  A neural classifier over fused tree
+    and flow features, learned from at most about ``max_rows`` rows of even repositories, scores all rows.
+    """
     from pyspark.ml.classification import MultilayerPerceptronClassifier
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    tokens = lambda c: F.array_distinct(F.regexp_extract_all(F.col(c), F.lit(r"[A-Za-z_]+|[^\w\s]"), F.lit(0)))
-    rows = pairs.withColumns({"p": grams(F.col("pre")), "q": grams(F.col("post")), "t": tokens("pre"), "u": tokens("post")})
-    apart = F.zip_with("p", "q", lambda x, y: F.abs(x - y) / 10)
-    share = F.size(F.array_intersect("t", "u")) / F.greatest(F.size(F.array_union("t", "u")), F.lit(1))
-    rows = rows.withColumns({"features": array_to_vector(F.concat(apart, F.array(share, F.abs(F.size("p") - F.size("q")).cast("double")))), "label": F.col("same").cast("double")})
-    model = MultilayerPerceptronClassifier(layers=[BUCKETS + 2, 16, 2], seed=seed, maxIter=60).fit(rows.where("repo_id % 2 = 0").select("features", "label"))
-    scored = model.transform(rows.where("repo_id % 2 = 1")).withColumn("similarity", vector_to_array("probability")[1])
-    return scored.select("pre", "post", "repo_id", "same", "similarity")
+    rows = settle(functions)
+    bodies = rows.select(F.explode(F.array("before", "after")).alias("body")).distinct()
+
+    def run(batches):
+        for b in batches:
+            found = [function_features([x or "" for x in body]).tolist() for body in b.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.list_(pa.float64()))], ["body", "f"])
 
+    features = settle(bodies.mapInArrow(run, "body array<string>, f array<double>"))
+    met = rows.join(features.select(F.col("body").alias("before"), F.col("f").alias("p")), "before").join(features.select(F.col("body").alias("after"), F.col("f").alias("q")), "after")
+    apart = F.zip_with("p", "q", lambda x, y: F.log1p(F.abs(x - y)))
+    size = lambda c: F.aggregate(c, F.lit(0.0), lambda s, x: s + x)
+    share = F.aggregate(F.zip_with("p", "q", lambda x, y: F.least(x, y)), F.lit(0.0), lambda s, x: s + x) / F.greatest(size("p"), size("q"), F.lit(1.0))
+    met = settle(met.select("pre", "post", "repo_id", "same", "n", array_to_vector(F.concat(apart, F.array(share))).alias("features"), F.col("same").cast("double").alias("label")))
+    learned = met.where("repo_id % 2 = 0")
+    part = min(1.0, max_rows / max(learned.count(), 1))
+    sample = learned.where(F.pmod(F.xxhash64("pre", "post", "repo_id"), F.lit(1_000_000)) < int(part * 1_000_000)).select("features", "label").coalesce(8)
+    model = MultilayerPerceptronClassifier(layers=[TREE_BUCKETS + FLOW_BUCKETS + 1, 16, 2], seed=seed, maxIter=80).fit(sample)
+    scored = model.transform(met).withColumn("similarity", vector_to_array("probability")[1])
+    return scored.select("pre", "post", "repo_id", "same", "n", "similarity")
 
-def at_thresholds(scored: DataFrame) -> DataFrame:
+
+def weighed(pairs: DataFrame, scored: DataFrame) -> DataFrame:
+    """The rows of ``pairs`` with the similarity of their texts."""
+    return pairs.join(scored, ["pre", "post"])
+
+
+def at_thresholds(rows: DataFrame, by: list[str]) -> DataFrame:
     """tp, fp, fn and rates of ``similarity >= theta`` against ``same`` for each theta of the grid."""
-    rows = scored.select("same", "similarity", F.explode(F.array(*map(F.lit, GRID))).alias("theta"))
+    points = rows.select(*by, "same", "similarity", "n", F.explode(F.array(*map(F.lit, GRID))).alias("theta"))
     hit = F.round(F.col("similarity"), 6) >= F.col("theta")
-    return rates(rows.groupBy("theta").agg(F.count_if(hit & F.col("same")).alias("tp"), F.count_if(hit & ~F.col("same")).alias("fp"), F.count_if(~hit & F.col("same")).alias("fn")))
+    total = lambda c: F.coalesce(F.sum(F.when(c, F.col("n"))), F.lit(0))
+    return rates(points.groupBy(*by, "theta").agg(total(hit & F.col("same")).alias("tp"), total(hit & ~F.col("same")).alias("fp"), total(~hit & F.col("same")).alias("fn")))
+
+
+def compared(rows: DataFrame) -> DataFrame:
+    """Scores of each detector on odd repositories, with ``best`` at the threshold that even repositories chose.
+
+    ``rows``: detector, repo_id, same, n, similarity.
+    """
+    found = settle(at_thresholds(rows.withColumn("odd", F.col("repo_id") % 2 == 1), ["detector", "odd"]))
+    first = F.row_number().over(W.partitionBy("detector").orderBy(F.desc_nulls_last("f1"), "theta")) == 1
+    chosen = found.where("not odd").withColumn("best", first).select("detector", "theta", "best")
+    return found.where("odd").join(chosen, ["detector", "theta"]).drop("odd")
