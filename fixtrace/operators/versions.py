@@ -7,23 +7,40 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 
+def tags_between(spans: DataFrame, tags: DataFrame, width: int = 1024) -> DataFrame:
+    """``spans`` (repo_id, start, stop and more) joined to the tags whose position is in [start, stop); null stop: no end.
+
+    A range join by pieces of the main lane: keys are (repository, piece), so neither a large repository nor a long
+    span meets in one task, and a span is copied once for each piece that it reaches, not for each tag.
+    """
+    piece = lambda c: F.floor(F.col(c) / width).cast("long")
+    ends = tags.groupBy("repo_id").agg(F.max("seq").alias("__end"))
+    rows = spans.join(ends, "repo_id").withColumn("__last", F.least(F.coalesce(F.col("stop") - 1, "__end"), "__end")).where("start <= __last")
+    rows = rows.withColumn("__piece", F.explode(F.sequence(piece("start"), piece("__last"))))
+    marks = tags.select("repo_id", "tag_no", "tag", F.col("seq").alias("__seq"), piece("seq").alias("__piece"))
+    return rows.join(marks, ["repo_id", "__piece"]).where("__seq between start and __last").drop("__piece", "__seq", "__last", "__end", "start", "stop")
+
+
 def tags_containing(commits: DataFrame, tags: DataFrame) -> DataFrame:
     """(vuln_id, repo_id, tag_no, tag): tags whose history holds the commit; ``commits`` has vuln_id, repo_id, arrival.
 
     A tag contains the commit where the commit is an ancestor of the tagged one, which is the direction that the
     worked range of two neighbouring versions needs.
     """
-    c = commits.where("arrival is not null").select("vuln_id", "repo_id", "arrival")
-    return c.join(tags.select("repo_id", "tag_no", "tag", F.col("seq").alias("tag_seq")), "repo_id").where("tag_seq >= arrival").select("vuln_id", "repo_id", "tag_no", "tag")
+    spans = commits.where("arrival is not null").select("vuln_id", "repo_id", F.col("arrival").alias("start"), F.lit(None).cast("int").alias("stop"))
+    return tags_between(spans, tags).select("vuln_id", "repo_id", "tag_no", "tag")
 
 
 def affected_versions(origins: DataFrame, fixes: DataFrame, tags: DataFrame, fix_mode: str = "any") -> DataFrame:
-    """Tags that hold the origin but not the fix; with several fixes, ``any`` or ``all`` of them must be held."""
-    held = tags_containing(fixes, tags)
-    if fix_mode == "all":
-        needed = fixes.groupBy("vuln_id").agg(F.count("*").alias("needed"))
-        held = held.groupBy("vuln_id", "tag_no").agg(F.count("*").alias("n")).join(needed, "vuln_id").where("n = needed")
-    return tags_containing(origins, tags).join(held.select("vuln_id", "tag_no"), ["vuln_id", "tag_no"], "left_anti")
+    """Tags that hold the origin but not the fix; with several fixes, ``any`` or ``all`` of them must be held.
+
+    Tags lie on the main lane, where whatever holds a position holds all before it: the affected ones are those from
+    the origin's arrival to the first (``any``) or last (``all``) fix.  A fix that never arrived fixes nothing.
+    """
+    came = F.min("arrival") if fix_mode == "any" else F.when(F.count("arrival") == F.count("*"), F.max("arrival"))
+    fixed = fixes.groupBy("vuln_id", "repo_id").agg(came.alias("stop"))
+    spans = origins.where("arrival is not null").select("vuln_id", "repo_id", F.col("arrival").alias("start")).distinct().join(fixed, ["vuln_id", "repo_id"], "left")
+    return tags_between(spans, tags).select("vuln_id", "repo_id", "tag_no", "tag").distinct()
 
 
 def as_ranges(affected: DataFrame) -> DataFrame:
@@ -40,6 +57,5 @@ def snapshot(files: DataFrame, tags: DataFrame, content: DataFrame) -> DataFrame
     """
     rows = content.where("lane = 'main'").join(files.select("repo_id", "file_id").distinct(), ["repo_id", "file_id"])
     until = F.lead("seq").over(W.partitionBy("file_id", "slot").orderBy("seq"))
-    spans = rows.withColumn("until", until)
-    held = spans.join(tags.select("repo_id", "tag_no", F.col("seq").alias("tag_seq")), "repo_id")
-    return held.where("tag_seq >= seq and (until is null or tag_seq < until)").select("repo_id", "file_id", "tag_no", "slot", "commit_id", "text")
+    spans = rows.withColumns({"start": F.col("seq"), "stop": until})
+    return tags_between(spans, tags).select("repo_id", "file_id", "tag_no", "slot", "commit_id", "text")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from fixtrace.plans import twin
 from fixtrace.plans.twin import HISTORY
 
 TRUTH = HISTORY + """, origins AS (
@@ -90,3 +91,76 @@ SQL = {
     "w22_stream_windows": "SELECT date_trunc('day', ts) AS window_start, event_type, count(*) AS n_events, round(sum(value), 4) AS value FROM events GROUP BY ALL",
     "w22_stream_votes": f"WITH {_RUNS} SELECT vuln_id, stmt FROM runs GROUP BY ALL HAVING count(DISTINCT run_no) >= 6",
 }
+
+_STATES = f"{TRUTH}, {twin.STATES}, {twin.STATEMENTS}"
+#: Origins by method: CTEs that end with ``found`` (vuln_id, repo_id, oseq).
+_ORIGINS = {
+    "two_level": twin.engine("found"),
+    "first_parent": twin.engine("found", merges=False),
+    "line_only": twin.engine("found", lost=twin.by_line(900)),
+    "unweighted": twin.engine("found", weight="1.0"),
+    "blame_basic": twin.blamed("found", "content", "TRUE"),
+    "blame_annotated": twin.blamed("found", "pairs", "pred0 IS NULL OR a <> b"),
+    "blame_tracked": twin.blamed("found", "pairs", twin.by_line(750)),
+    "per_commit": f"""held AS (SELECT s.vuln_id, s.repo_id, t.seq, sum(CASE WHEN {twin.BOTH_LEVELS} THEN CASE WHEN sensitive THEN 2.0 ELSE 1.0 END ELSE 0.0 END) AS gone
+        FROM stmts s JOIN pairs t ON t.file_id = s.file_id AND t.slot = s.slot AND t.lane = 'main' AND t.seq < s.fix_seq GROUP BY ALL),
+      total AS (SELECT vuln_id, sum(CASE WHEN sensitive THEN 2.0 ELSE 1.0 END) AS total FROM stmts GROUP BY vuln_id),
+      found AS (SELECT vuln_id, any_value(repo_id) AS repo_id, coalesce(max(seq) FILTER (WHERE round((1 - gone / total) * 1000) < 700), min(seq)) AS oseq FROM held JOIN total USING (vuln_id) GROUP BY vuln_id)""",
+}
+_BLAME = ("blame_basic", "blame_annotated", "blame_tracked")
+
+
+def _method(name: str) -> str:
+    return f"WITH {_STATES}, {_ORIGINS[name]}, {twin.affected('hits', 'found')}"
+
+
+def _macro(by: str, rows: str) -> str:
+    """Macro scores by some columns from rows of (by, repo_id, tp, fp, fn)."""
+    return f"""per AS (SELECT *, CASE WHEN tp + fp > 0 THEN tp::DOUBLE / (tp + fp) END AS precision, CASE WHEN tp + fn > 0 THEN tp::DOUBLE / (tp + fn) END AS recall FROM ({rows})),
+      means AS (SELECT {by}avg(precision) AS p, avg(recall) AS r, count(*) AS n_projects, count(*) FILTER (WHERE precision IS NULL) AS undefined_precision,
+        count(*) FILTER (WHERE precision > 0.9) AS high_precision, count(*) FILTER (WHERE recall = 1) AS full_recall FROM per GROUP BY ALL),
+      macro AS (SELECT {by}round(p, 6) AS precision, round(r, 6) AS recall, n_projects, undefined_precision, high_precision, full_recall, CASE WHEN p + r > 0 THEN 2 * p * r / (p + r) END AS f1 FROM means)"""
+
+
+def _met(hits: str, truth: str, key: str = "") -> str:
+    """Counts by ``key`` and repository of pairs found and true."""
+    using = f"USING ({key}vuln_id, repo_id, tag_no)"
+    return f"""SELECT {key}repo_id, count(*) FILTER (WHERE h AND t) AS tp, count(*) FILTER (WHERE h AND t IS NULL) AS fp, count(*) FILTER (WHERE t AND h IS NULL) AS fn
+      FROM (SELECT *, TRUE AS h FROM {hits}) FULL JOIN (SELECT *, TRUE AS t FROM {truth}) {using} GROUP BY ALL"""
+
+
+_TRUE = "(SELECT vuln_id, repo_id, tag_no FROM truth)"
+_TRUE_DELETED = "(SELECT vuln_id, repo_id, tag_no FROM truth WHERE vuln_id IN (SELECT vuln_id FROM stmts WHERE flag = 'R'))"
+SQL |= {f"method_{n}": f"{_method(n)} SELECT * FROM hits" for n in _ORIGINS}
+SQL["method_claims"] = f"WITH {_CLAIMED} SELECT vuln_id, repo_id, tag_no FROM claimed"
+SQL["w03_engine"] = f"{_method('two_level')} SELECT f.vuln_id, commit_id AS origin_commit_id, oseq AS origin_seq, round(score, 6) AS score FROM found f JOIN commits c ON c.repo_id = f.repo_id AND c.seq = f.oseq"
+SQL["w04_per_project"] = f"{_method('two_level')} SELECT 'two_level' AS method, *, {_RATES} FROM ({_met('hits', _TRUE)})"
+SQL["w05_merge_subset"] = f"""WITH {_STATES}, {_ORIGINS['two_level']}, {twin.engine('straight', merges=False)}, hard AS (SELECT DISTINCT vuln_id FROM found_met), {twin.affected('hits', 'found')}, {twin.affected('other', 'straight')},
+  counted AS (SELECT 'two_level' AS method, * FROM ({_met('(SELECT * FROM hits WHERE vuln_id IN (FROM hard))', '(SELECT vuln_id, repo_id, tag_no FROM truth WHERE vuln_id IN (FROM hard))')})
+    UNION ALL SELECT 'first_parent', * FROM ({_met('(SELECT * FROM other WHERE vuln_id IN (FROM hard))', '(SELECT vuln_id, repo_id, tag_no FROM truth WHERE vuln_id IN (FROM hard))')})),
+  {_macro('method, ', 'SELECT * FROM counted')} SELECT * REPLACE (round(f1, 6) AS f1) FROM macro"""
+_COUNTED = " UNION ALL ".join(f"SELECT '{n}' AS method, * FROM ({_met(f'hits_{n}', _TRUE_DELETED if n in _BLAME else _TRUE)})" for n in ("two_level", *_BLAME))
+_FOUND = ", ".join(f"{_ORIGINS[n].replace('found', f'found_{n}')}, {twin.affected(f'hits_{n}', f'found_{n}')}" for n in ("two_level", *_BLAME))
+SQL["w03_gains"] = f"""WITH {_STATES}, claimed AS (SELECT b.vuln_id, b.repo_id, g.tag_no FROM bounds b JOIN tags g ON g.repo_id = b.repo_id AND g.tag_no BETWEEN lo AND hi), {_FOUND},
+  counted AS ({_COUNTED} UNION ALL SELECT 'claims', * FROM ({_met('claimed', _TRUE)})), {_macro('method, ', 'SELECT * FROM counted')}
+  SELECT method, round(CASE WHEN f1 > 0 THEN ((SELECT f1 FROM macro WHERE method = 'two_level') - f1) / f1 END, 6) AS gain FROM macro WHERE method <> 'two_level'"""
+SQL["w10_weight_sweep"] = f"""WITH {_STATES}, params AS (SELECT unnest([1.0, 2.0, 3.0, 4.0, 5.0])::DOUBLE AS ratio), {twin.engine('found', weight='CASE WHEN sensitive THEN ratio ELSE 1.0 END', params='ratio')},
+  {twin.affected('hits', 'found', 'o.ratio, ')}, {_macro('ratio, ', _met('hits', '(SELECT ratio, vuln_id, repo_id, tag_no FROM truth CROSS JOIN params)', 'ratio, '))}
+  SELECT ratio, precision, recall, round(f1, 6) AS f1 FROM macro"""
+
+
+def _detector(name: str, similarity: str) -> str:
+    return f"""WITH {_STATES}, changes AS (SELECT pre, text AS post, a, b, sim, repo_id, edit_kind <> 2 AS same, count(*) AS n FROM pairs WHERE pred0 IS NOT NULL GROUP BY ALL),
+      scored AS (SELECT *, {similarity} AS similarity FROM changes),
+      points AS (SELECT repo_id % 2 = 1 AS odd, theta, sum(n) FILTER (WHERE hit AND same) AS tp, sum(n) FILTER (WHERE hit AND NOT same) AS fp, sum(n) FILTER (WHERE NOT hit AND same) AS fn
+        FROM (SELECT *, round(similarity, 6) >= theta AS hit FROM scored CROSS JOIN (SELECT unnest([0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9, 1.0])::DOUBLE AS theta)) GROUP BY ALL),
+      whole AS (SELECT odd, theta, coalesce(tp, 0)::BIGINT AS tp, coalesce(fp, 0)::BIGINT AS fp, coalesce(fn, 0)::BIGINT AS fn FROM points),
+      rated AS (SELECT *, CASE WHEN tp + fp > 0 THEN tp::DOUBLE / (tp + fp) END AS p, CASE WHEN tp + fn > 0 THEN tp::DOUBLE / (tp + fn) END AS r FROM whole),
+      full_rates AS (SELECT *, CASE WHEN p + r > 0 THEN 2 * p * r / (p + r) END AS f FROM rated)
+      SELECT '{name}' AS detector, o.theta, o.tp, o.fp, o.fn, round(o.p, 6) AS precision, round(o.r, 6) AS recall, round(o.f, 6) AS f1,
+        o.theta = (SELECT theta FROM full_rates WHERE NOT odd ORDER BY f DESC NULLS LAST, theta LIMIT 1) AS best FROM full_rates o WHERE odd"""
+
+
+SQL["w11_statement_edit"] = _detector("edit", "sim")
+_PARTS = "list_transform(list_filter(string_split_regex({}, '[;{{}}]'), lambda x: trim(x) <> ''), lambda x: trim(x))"
+SQL["w11_statement_md5"] = _detector("md5", f"len(list_distinct(list_intersect({_PARTS.format('a')}, {_PARTS.format('b')})))::DOUBLE / greatest(len(list_distinct(list_concat({_PARTS.format('a')}, {_PARTS.format('b')}))), 1)")

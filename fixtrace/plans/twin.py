@@ -1,4 +1,10 @@
-"""The history corpus once more, in SQL for the checking engine; the twins of workloads build on these."""
+"""The history corpus once more, in SQL for the checking engine; the twins of workloads build on these.
+
+The engine's twin shares the templates and the table of sensitive functions with the Spark side, nothing else.
+"""
+
+from fixtrace.operators import weights
+from fixtrace.sources import code
 
 HISTORY = """
 ordered AS (
@@ -40,3 +46,91 @@ branch AS (
       min(slot) FILTER (WHERE flag IN ('A', 'R')) AS trigger_slot FROM lines GROUP BY commit_id) USING (commit_id)
   WHERE lane = 'main' AND priority = '1-URGENT' AND commit_id % 16 = 0 AND added + deleted > 0
 )"""
+
+
+def _quoted(text: str) -> str:
+    return "'" + text.replace("'", "''") + "'"
+
+
+def _listed(families) -> str:
+    """The templates of a family as nested SQL lists."""
+    return "[" + ", ".join(f"[{_quoted(a)}, {_quoted(b)}]" for a, b in families) + "]"
+
+
+_CALLED = r"regexp_extract_all({}, '([A-Za-z_]\w*)\s*\(', 1)"
+
+#: Touches of patched files with path counts, texts and predecessors; pairs of texts with their line similarity.
+STATES = f"""
+patched AS (SELECT DISTINCT file_id FROM cases),
+mains AS (
+  SELECT *, lag(commit_id) OVER w AS pred0, {", ".join(f"count(*) FILTER (WHERE edit_kind = {k}) OVER w AS n{k}" for k in range(4))}
+  FROM touches WHERE lane = 'main' AND file_id IN (FROM patched) WINDOW w AS (PARTITION BY file_id, slot ORDER BY seq)
+), branched AS (
+  SELECT t.*, m.commit_id AS base, m.seq AS base_seq, {", ".join(f"coalesce(m.n{k}, 0) AS b{k}" for k in range(4))}
+  FROM (SELECT * FROM touches WHERE lane = 'feature' AND file_id IN (FROM patched)) t ASOF LEFT JOIN mains m ON m.file_id = t.file_id AND m.slot = t.slot AND t.fork >= m.seq
+), states AS (
+  SELECT file_id, slot, commit_id, repo_id, seq, block, lane, fork, mseq, edit_kind, pred0, n0, n1, n2, n3 FROM mains
+  UNION ALL SELECT file_id, slot, commit_id, repo_id, seq, block, lane, fork, mseq, edit_kind, coalesce(lag(commit_id) OVER w, base),
+    {", ".join(f"b{k} + count(*) FILTER (WHERE edit_kind = {k}) OVER w" for k in range(4))} FROM branched WINDOW w AS (PARTITION BY file_id, slot, block ORDER BY seq)
+), spelled AS (
+  SELECT *, replace(replace(replace(CASE WHEN (file_id + slot) % 3 = 0 THEN {_listed(code.LISTED)}[(n2 % 4 + 1)::INT][(n1 % 2 + 1)::INT] ELSE {_listed(code.PLAIN)}[(n2 % 4 + 1)::INT][(n1 % 2 + 1)::INT] END,
+    '_S', '_' || slot), '_F', '_' || file_id), 'K', (100 + n0 % 900)::VARCHAR) AS bare FROM states
+), content AS (SELECT *, CASE WHEN n3 % 2 = 1 THEN '    ' || replace(bare, ', ', ',  ') || ' /* kept */' ELSE bare END AS text FROM spelled),
+pairs AS (
+  SELECT *, CASE WHEN a = b OR greatest(length(a), length(b)) = 0 THEN 1.0::DOUBLE ELSE 1 - levenshtein(a, b)::DOUBLE / greatest(length(a), length(b)) END AS sim FROM (
+    SELECT s.*, p.text AS pre, trim(regexp_replace(regexp_replace(p.text, '(?s)/\\*.*?\\*/|//[^\\n]*', ' ', 'g'), '\\s+', ' ', 'g')) AS a,
+      trim(regexp_replace(regexp_replace(s.text, '(?s)/\\*.*?\\*/|//[^\\n]*', ' ', 'g'), '\\s+', ' ', 'g')) AS b
+    FROM content s LEFT JOIN content p ON p.file_id = s.file_id AND p.slot = s.slot AND p.commit_id = s.pred0)
+)"""
+
+#: Statements of the patches as they were before the fix, with what makes them sensitive.
+STATEMENTS = f"""
+listed(vuln_type, fn) AS (VALUES {", ".join(f"({k}, {_quoted(fn)})" for k, fns in enumerate(weights.SENSITIVE.values()) for fn in fns)}),
+helpers(name, body) AS (VALUES {", ".join(f"({_quoted(n)}, {_quoted(b)})" for n, _, _, b in code.CALLEES)}),
+hot AS (SELECT vuln_type, list(fn) AS fns FROM (FROM listed UNION SELECT l.vuln_type, h.name FROM helpers h JOIN listed l ON list_contains({_CALLED.format("h.body")}, l.fn)) GROUP BY vuln_type),
+stmts AS (
+  SELECT s.*, list_has_any(fns, list_concat({_CALLED.format("text")}, CASE WHEN regexp_matches(text, '[^+]\\+[^+]') THEN ['+'] ELSE [] END,
+    CASE WHEN regexp_matches(text, '[\\w)\\]]\\s*\\*\\s*[\\w(]') THEN ['*'] ELSE [] END, CASE WHEN contains(text, '<<') THEN ['<<'] ELSE [] END)) AS sensitive
+  FROM (SELECT c.vuln_id, c.repo_id, c.file_id, c.fix_seq, c.vuln_type, l.slot, l.flag, arg_max(t.text, t.seq) AS text FROM cases c
+    JOIN lines l ON l.commit_id = c.vuln_id AND l.flag IN ('A', 'R') JOIN content t ON t.file_id = c.file_id AND t.slot = l.slot AND t.lane = 'main' AND t.seq < c.fix_seq GROUP BY ALL) s
+  JOIN hot USING (vuln_type)
+)"""
+
+#: Whether a compared touch lost its statement: planted kinds stand for both levels, the computed similarity for the line level.
+BOTH_LEVELS = "pred0 IS NULL OR (edit_kind = 2 AND sim < 0.8995)"
+
+
+def by_line(permille: int) -> str:
+    return f"pred0 IS NULL OR round(sim * 1000) < {permille}"
+
+
+def engine(name: str, lost: str = BOTH_LEVELS, weight: str = "CASE WHEN sensitive THEN 2.0 ELSE 1.0 END", merges: bool = True, theta: str = "700", of: str = "stmts", params: str = "") -> str:
+    """CTEs up to ``name`` (vuln_id, repo_id, oseq, score, and the columns of ``params``): the origin that the walk finds."""
+    p = f"{name}_"
+    key = "".join(f"{c}, " for c in params.split())
+    marked = f"SELECT *, {lost} AS lost FROM pairs" + (" CROSS JOIN params" if params else "")
+    inside = f"""UNION ALL SELECT {key}vuln_id, slot, own FROM {p}met WHERE own IS NOT NULL
+      UNION ALL SELECT {key}vuln_id, slot, seq FROM (SELECT {"".join(f"m.{c}, " for c in params.split())}m.vuln_id, m.slot, m.at_fork, max(t.seq) AS seq FROM {p}met m JOIN {p}lost t ON t.file_id = m.file_id AND t.slot = m.slot {"".join(f"AND t.{c} = m.{c} " for c in params.split())}
+        AND t.lane = 'main' AND t.lost AND t.seq <= m.at_fork WHERE m.own IS NULL GROUP BY ALL)""" if merges else ""
+    return f"""
+{p}lost AS MATERIALIZED ({marked}),
+{p}main AS (SELECT {key}s.vuln_id, s.repo_id, s.file_id, s.slot, s.fix_seq, max(t.seq) AS stop FROM {of} s JOIN {p}lost t ON t.file_id = s.file_id AND t.slot = s.slot AND t.lane = 'main' AND t.lost AND t.seq < s.fix_seq GROUP BY ALL),
+{p}branch AS (SELECT {key}file_id, slot, block, any_value(fork) AS at_fork, any_value(mseq) AS at, max(seq) FILTER (WHERE lost) AS own FROM {p}lost WHERE lane = 'feature' AND mseq IS NOT NULL GROUP BY ALL),
+{p}met AS (SELECT m.*, b.at_fork, b.own FROM {p}main m JOIN {p}branch b ON b.file_id = m.file_id AND b.slot = m.slot {"".join(f"AND b.{c} = m.{c} " for c in params.split())}WHERE b.at <= m.fix_seq AND b.at > m.stop),
+{p}stops AS (SELECT {key}vuln_id, slot, min(stop) AS stop FROM (SELECT {key}vuln_id, slot, stop FROM {p}main {inside}) GROUP BY ALL),
+{p}per AS (SELECT {key}s.vuln_id, s.repo_id, x.stop, sum({weight}) AS w FROM {of} s JOIN {p}stops x ON x.vuln_id = s.vuln_id AND x.slot = s.slot {"JOIN params USING (" + params.replace(" ", ", ") + ")" if params else ""} GROUP BY ALL),
+{p}run AS (SELECT *, 1 - sum(w) OVER (PARTITION BY {key}vuln_id ORDER BY stop DESC) / sum(w) OVER (PARTITION BY {key}vuln_id) AS score FROM {p}per),
+{name} AS (SELECT {key}vuln_id, repo_id, stop AS oseq, score::DOUBLE AS score FROM {p}run {"JOIN params USING (" + params.replace(" ", ", ") + ")" if params else ""} WHERE round(score * 1000) < {theta} QUALIFY row_number() OVER (PARTITION BY {key}vuln_id ORDER BY stop DESC) = 1)"""
+
+
+def blamed(name: str, touched: str, lost: str) -> str:
+    """CTE ``name`` (vuln_id, repo_id, oseq): the earliest over deleted lines of the last main touch that ``lost`` holds for."""
+    return f"""{name} AS (SELECT vuln_id, repo_id, min(seq) AS oseq FROM (
+      SELECT s.vuln_id, s.repo_id, s.slot, max(t.seq) AS seq FROM stmts s JOIN {touched} t ON t.file_id = s.file_id AND t.slot = s.slot AND t.lane = 'main' AND t.seq < s.fix_seq
+      WHERE s.flag = 'R' AND ({lost}) GROUP BY ALL) GROUP BY ALL)"""
+
+
+def affected(name: str, origins: str, key: str = "") -> str:
+    """CTE ``name`` (vuln_id, repo_id, tag_no): tags between the arrival of an origin and the fix."""
+    return f"""{name} AS (SELECT DISTINCT {key}o.vuln_id, o.repo_id, g.tag_no FROM {origins} o JOIN commits c ON c.repo_id = o.repo_id AND c.seq = o.oseq JOIN cases k ON k.vuln_id = o.vuln_id
+      JOIN tags g ON g.repo_id = o.repo_id AND g.seq >= CASE WHEN c.lane = 'main' THEN c.seq ELSE c.mseq END AND g.seq < k.fix_seq)"""

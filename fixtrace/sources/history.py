@@ -5,7 +5,7 @@ the block's main commits and is merged into the first main commit of a later blo
 a multiple of five.  Lineitems are touches of one statement slot of the commit's file.
 
 Ranks within a repository come from counts per day added up over days, so no window holds a whole repository's
-commits; block tables are a twelfth of the commits.  Statement windows are keyed by (file, slot).
+commits; block tables, a twelfth of the commits, are worked on in chunks.  Statement windows are keyed by (file, slot).
 """
 
 from __future__ import annotations
@@ -20,6 +20,8 @@ from pyspark.sql import Window as W
 from fixtrace.sources.tables import table
 
 BLOCK, TAG_EVERY, FILES, CASE_EVERY, DROPPED_BRANCH = 12, 10, 12, 16, 5
+#: Blocks of one window; it does not change what is derived.
+CHUNK = 4096
 
 
 @dataclass(frozen=True)
@@ -61,10 +63,20 @@ class History:
             F.min(F.when(~main, F.col("seq"))).alias("first_feature"), F.max(F.when(~main, F.col("seq"))).alias("tip"),
             F.min(F.when(main, F.col("seq"))).alias("first_main"), F.max(F.when(main, F.col("seq"))).alias("last_main"), F.count_if(main).alias("mains"),
         )
-        w = W.partitionBy("repo_id").orderBy("block")
-        before = F.max("last_main").over(w.rowsBetween(W.unboundedPreceding, -1))
-        after = F.min("first_main").over(w.rowsBetween(1, W.unboundedFollowing))
-        mains_before = F.coalesce(F.sum("mains").over(w.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+        # two levels, so that no window holds all blocks of a repository: within chunks of blocks, and over chunks
+        per = per.withColumn("chunk", F.floor(F.col("block") / CHUNK).cast("int"))
+        whole = per.groupBy("repo_id", "chunk").agg(F.max("last_main").alias("last"), F.min("first_main").alias("first"), F.sum("mains").alias("n"))
+        over = W.partitionBy("repo_id").orderBy("chunk")
+        ahead, behind = (W.unboundedPreceding, -1), (1, W.unboundedFollowing)
+        chunks = whole.select(
+            "repo_id", "chunk", F.max("last").over(over.rowsBetween(*ahead)).alias("c_before"), F.min("first").over(over.rowsBetween(*behind)).alias("c_after"),
+            F.coalesce(F.sum("n").over(over.rowsBetween(*ahead)), F.lit(0)).alias("c_mains"),
+        )
+        w = W.partitionBy("repo_id", "chunk").orderBy("block")
+        per = per.join(chunks, ["repo_id", "chunk"])
+        before = F.coalesce(F.max("last_main").over(w.rowsBetween(*ahead)), F.col("c_before"))
+        after = F.coalesce(F.min("first_main").over(w.rowsBetween(*behind)), F.col("c_after"))
+        mains_before = F.coalesce(F.sum("mains").over(w.rowsBetween(*ahead)), F.lit(0)) + F.col("c_mains")
         starts = F.col("first_feature") == F.col("block") * BLOCK + 1
         return per.select(
             "repo_id", "block", "first_feature", "tip", F.coalesce(before, F.lit(0)).alias("main_before"), mains_before.alias("mains_before"),
