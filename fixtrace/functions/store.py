@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` as the session has it; a local folder only where it is unset."""
+    """``spark.checkpoint.dir`` as the session has it; a local folder only in local mode without it."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     held = spark.sparkContext.getCheckpointDir()
     if not found:
+        if not held and not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = held.rsplit("/", 1)[0] if held else tempfile.mkdtemp(prefix="fixtrace-")
     if held is None:
         spark.sparkContext.setCheckpointDir(found)

@@ -75,13 +75,32 @@ def cumulative(stmts: DataFrame, stops: DataFrame, theta: int | Column = 700, by
     return scored.groupBy(*by, "vuln_id").agg(best).select(*by, "vuln_id", F.col("x.stop_commit").alias("origin_commit_id"), F.col("x.stop_seq").alias("origin_seq"), "x.score")
 
 
-def per_commit(stmts: DataFrame, compared: DataFrame, theta: int = 700) -> DataFrame:
-    """The latest commit before the fix whose own score is below theta; untouched statements count as kept."""
+def anchored_stops(stmts: DataFrame, compared: DataFrame, flags: DataFrame) -> DataFrame:
+    """As ``statement_stops`` along first parents, each text before a touch held against the text at the fix.
+
+    ``flags``: (pre, post, similar) with the statement's text as ``post``.  No chain of small edits can drift away
+    from the patched statement, but one that was often edited is lost early.
+    """
+    main = compared.where("lane = 'main'").select("file_id", "slot", "seq", "commit_id", "pre")
+    rows = stmts.select("vuln_id", "slot", "file_id", "fix_seq", F.col("text").alias("post")).join(main, ["file_id", "slot"]).where("seq < fix_seq")
+    rows = rows.join(flags, ["pre", "post"], "left")
+    lost = F.col("pre").isNull() | ~((F.col("pre") == F.col("post")) | F.coalesce("similar", F.lit(False)))
+    stops = rows.where(lost).groupBy("vuln_id", "slot").agg(F.max(F.struct("seq", "commit_id")).alias("stop"))
+    return stops.select("vuln_id", "slot", F.col("stop.commit_id").alias("stop_commit"), F.col("stop.seq").alias("stop_seq"), F.lit(False).alias("met_merge"))
+
+
+def per_commit(stmts: DataFrame, compared: DataFrame, theta: int = 700, untouched: str = "kept") -> DataFrame:
+    """The latest commit before the fix whose own score is below theta.
+
+    Statements that a commit leaves alone count as kept, or with ``untouched='excluded'`` not at all.
+    """
+    if untouched not in ("kept", "excluded"):
+        raise ValueError(untouched)
     s = stmts.select("vuln_id", "slot", "file_id", "fix_seq", "weight")
     known = s.join(compared.where("lane = 'main'").select("file_id", "slot", "seq", "commit_id", "lost"), ["file_id", "slot"]).where("seq < fix_seq")
     total = known.select("vuln_id", "slot", "weight").distinct().groupBy("vuln_id").agg(F.sum("weight").alias("total"))
-    per = known.groupBy("vuln_id", "commit_id", "seq").agg(F.sum(F.when(F.col("lost"), F.col("weight")).otherwise(0.0)).alias("w"))
-    scored = per.join(total, "vuln_id").withColumn("score", 1 - F.col("w") / F.col("total"))
+    per = known.groupBy("vuln_id", "commit_id", "seq").agg(F.sum(F.when(F.col("lost"), F.col("weight")).otherwise(0.0)).alias("w"), F.sum("weight").alias("touched"))
+    scored = per.join(total, "vuln_id").withColumn("score", 1 - F.col("w") / F.col("total" if untouched == "kept" else "touched"))
     below = scored.where(F.round(F.col("score") * 1000) < theta)
     found = below.groupBy("vuln_id").agg(F.max_by(F.struct("commit_id", "seq", "score"), "seq").alias("x"))
     oldest = scored.groupBy("vuln_id").agg(F.min_by(F.struct("commit_id", "seq", "score"), "seq").alias("y"))
@@ -106,7 +125,7 @@ def walk(stmts: DataFrame, preds: DataFrame, compared: DataFrame) -> DataFrame:
             break
         out = step if out is None else out.unionByName(step)
         now = step.select("vuln_id", "slot", "file_id", F.col("pred_commit_id").alias("commit_id")).distinct()
-    return out
+    return step if out is None else out
 
 
 def exact_stops(stmts: DataFrame, preds: DataFrame, compared: DataFrame) -> DataFrame:

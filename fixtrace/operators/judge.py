@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fixtrace.functions.store import settle
+from fixtrace.operators.weights import SENSITIVE
 
 STRATEGIES = ("zero_shot", "few_shot", "few_shot_reason")
 ROLE = "Act as an experienced reviewer of security flaws in C code. You get a vulnerability record and numbered statements around its fix."
@@ -42,6 +43,10 @@ def build_prompts(cases: DataFrame, flows: DataFrame, strategy: str = "few_shot_
     return out.withColumn("digest", F.sha2(F.concat_ws("\x1f", F.transform("messages", lambda m: m["text"])), 256))
 
 
+#: Functions of the sensitive table, over all types.
+LISTED = frozenset(fn for fns in SENSITIVE.values() for fn in fns if fn[0].isalpha())
+
+
 class Provider(Protocol):
     def answer(self, messages: list[dict], run_no: int, digest: str) -> tuple[str, int, int]:
         """The answer's text, tokens in and tokens out."""
@@ -50,11 +55,12 @@ class Provider(Protocol):
 class RuleProvider:
     """Offline rules, told apart by ``noise``: no model, and no measure of one.
 
-    Statements that call a listed function or compute a size are named; the seed (digest, run) adds and drops some.
+    Statements that call one of ``names`` (the sensitive table, and wrappers that a caller found) or multiply are
+    named; the seed (digest, run) adds and drops some.
     """
 
-    def __init__(self, noise: float = 0.15):
-        self.noise = noise
+    def __init__(self, noise: float = 0.15, names: frozenset[str] = LISTED):
+        self.noise, self.names = noise, names
 
     def answer(self, messages, run_no, digest):
         flow = messages[-1]["text"].rpartition("statements: ")[2]
@@ -63,7 +69,7 @@ class RuleProvider:
         noise = self.noise * (1 if reasoned else 1.5) * (1 if "Example 1" in messages[0]["text"] else 1.5)
         named = []
         for m in re.finditer(r"(?:(?<=^)|(?<=\s))(\d+) (?=[A-Za-z_({])(.*?)(?=\s\d+ [A-Za-z_({]|$)", flow):
-            hot = re.search(r"\b(mem\w+|str\w+|\w*alloc|free|sprintf|copy_block|take_block|drop_block)\s*\(|\w \* \w|\[", m[2])
+            hot = self.names & set(re.findall(r"([A-Za-z_]\w*)\s*\(", m[2])) or re.search(r"[\w)\]]\s*\*\s*[\w(]|<<", m[2])
             if (rng.random() < 1 - noise) if hot else (rng.random() < noise):
                 named.append(m[1])
         text = f"vulnerability logic: rule based.\nvulnerable lines: {', '.join(named)}"

@@ -66,6 +66,10 @@ def judge_cost(runs: DataFrame, price_in: str = "0.30", price_out: str = "1.10")
     return per.withColumn("cost", cost.cast("double"))
 
 
+#: Classes of an audited claim.
+CLASSES = ("correct", "incomplete", "over_inclusive", "mixed", "missing")
+
+
 def audit(claims: DataFrame, found: DataFrame, tags: DataFrame) -> DataFrame:
     """Class of each claim against the versions found.
 

@@ -2,52 +2,82 @@
 
 from __future__ import annotations
 
+import functools
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fixtrace.functions import ctree
 from fixtrace.functions.text import alike, line_similarity, squash
+from fixtrace.operators import weights
 
 THETA_LINE, THETA_TREE, THETA_SCORE = 900, 800, 700
-#: Definitions travel with the task, so their number is checked.
-MAX_DEFINITIONS = 50_000
 
 
-def definition_map(callees: DataFrame) -> dict:
-    rows = callees.select("name", "params", "body").limit(MAX_DEFINITIONS + 1).collect()
-    if len(rows) > MAX_DEFINITIONS:
-        raise ValueError(f"more than {MAX_DEFINITIONS} definitions; split them by repository")
-    return ctree.definitions(rows)
+def reachable(callees: DataFrame, depth: int) -> DataFrame:
+    """(name, defs, and repo_id if ``callees`` has it): each definition with those its body calls, ``depth`` levels in all."""
+    keys = [c for c in ("repo_id",) if c in callees.columns]
+    own = callees.select(*keys, "name", F.struct("name", "params", "body").alias("d"))
+    calls = callees.select(*keys, F.col("name").alias("root"), F.explode(weights.called(F.col("body"))).alias("name"))
+    found, edge = own.select(*keys, F.col("name").alias("root"), "name", "d"), calls
+    for _ in range(depth - 1):
+        more = edge.join(own, [*keys, "name"]).select(*keys, "root", "name", "d")
+        found = found.unionByName(more)
+        edge = edge.join(calls.select(*keys, F.col("root").alias("name"), F.col("name").alias("next")), [*keys, "name"]).select(*keys, "root", F.col("next").alias("name")).distinct()
+    return found.groupBy(*keys, F.col("root").alias("name")).agg(F.collect_set("d").alias("defs"))
+
+
+@functools.lru_cache(maxsize=10_000)
+def _definition(name: str, params: tuple[str, ...], body: str) -> dict:
+    return ctree.definitions([(name, params, body)])
 
 
-def tree_codes(texts: DataFrame, defs: dict, depth: int = 1, rules=ctree.RULES) -> DataFrame:
-    """(text, codes, parse_ok): the flattened normal form of each text, one code point for each label."""
+def tree_codes(texts: DataFrame, callees: DataFrame, depth: int = 1, rules=ctree.RULES) -> DataFrame:
+    """(text, codes, parse_ok): the flattened normal form of each text, one code point for each label.
+
+    Definitions are joined to the texts that call them, by name, and by ``repo_id`` where both sides have one, so none
+    travel with the task.
+    """
+    keys = [c for c in ("repo_id",) if c in texts.columns and c in callees.columns]
+    once = texts.select(*keys, "text").distinct()
+    if depth:
+        called = once.select(*keys, "text", F.explode(weights.called(F.col("text"))).alias("name"))
+        held = called.join(reachable(callees, depth), [*keys, "name"]).groupBy(*keys, "text").agg(F.flatten(F.collect_list("defs")).alias("defs"))
+        once = once.join(held, [*keys, "text"], "left")
+    else:
+        once = once.withColumn("defs", F.lit(None).cast("array<struct<name:string,params:array<string>,body:string>>"))
 
     def run(batches):
         for b in batches:
-            found = [ctree.labels(x or "", defs, depth, rules) for x in b.column(0).to_pylist()]
+            found = []
+            for text, defs in zip(b.column("text").to_pylist(), b.column("defs").to_pylist(), strict=True):
+                known: dict = {}
+                for d in defs or ():
+                    known |= _definition(d["name"], tuple(d["params"]), d["body"])
+                found.append(ctree.labels(text or "", known, depth, rules))
             codes = [None if f is None else ctree.code_points(f) for f in found]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(codes, pa.string()), pa.array([c is not None for c in codes])], ["text", "codes", "parse_ok"])
+            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keys), b.column("text"), pa.array(codes, pa.string()), pa.array([c is not None for c in codes])], [*keys, "text", "codes", "parse_ok"])
 
-    return texts.select("text").distinct().mapInArrow(run, "text string, codes string, parse_ok boolean")
+    return once.select(*keys, "text", "defs").mapInArrow(run, "".join(f"{k} int, " for k in keys) + "text string, codes string, parse_ok boolean")
 
 
-def compare(pairs: DataFrame, defs: dict, theta_line: int | None = THETA_LINE, depth: int = 1, rules=ctree.RULES) -> DataFrame:
-    """(pre, post, sim_a, sim_b) for each distinct pair of texts.
+def compare(pairs: DataFrame, callees: DataFrame, theta_line: int | None = THETA_LINE, depth: int = 1, rules=ctree.RULES) -> DataFrame:
+    """(pre, post, sim_a, sim_b, and repo_id where both inputs have it) for each distinct pair of texts.
 
     ``sim_b`` is computed only where ``sim_a`` is below ``theta_line`` (null for all pairs: everywhere) and both
     texts parse; a missing text is unlike any other.
     """
-    once = pairs.where("pre is not null and post is not null").select("pre", "post").distinct()
+    keys = [c for c in ("repo_id",) if c in pairs.columns and c in callees.columns]
+    once = pairs.where("pre is not null and post is not null").select(*keys, "pre", "post").distinct()
     a = once.withColumn("sim_a", line_similarity(squash(F.col("pre")), squash(F.col("post"))))
     residue = a if theta_line is None else a.where(F.round(F.col("sim_a") * 1000) < theta_line)
-    texts = residue.select(F.explode(F.array("pre", "post")).alias("text"))
-    codes = tree_codes(texts, defs, depth, rules).where("parse_ok").select("text", "codes")
-    left = residue.join(codes.select(F.col("text").alias("pre"), F.col("codes").alias("code_pre")), "pre")
-    both = left.join(codes.select(F.col("text").alias("post"), F.col("codes").alias("code_post")), "post")
-    b = both.select("pre", "post", line_similarity(F.col("code_pre"), F.col("code_post")).alias("sim_b"))
-    return a.join(b, ["pre", "post"], "left")
+    texts = residue.select(*keys, F.explode(F.array("pre", "post")).alias("text"))
+    codes = tree_codes(texts, callees, depth, rules).where("parse_ok").select(*keys, "text", "codes")
+    left = residue.join(codes.select(*keys, F.col("text").alias("pre"), F.col("codes").alias("code_pre")), [*keys, "pre"])
+    both = left.join(codes.select(*keys, F.col("text").alias("post"), F.col("codes").alias("code_post")), [*keys, "post"])
+    b = both.select(*keys, "pre", "post", line_similarity(F.col("code_pre"), F.col("code_post")).alias("sim_b"))
+    return a.join(b, [*keys, "pre", "post"], "left")
 
 
 def stage(a="sim_a", b="sim_b", theta_line: int = THETA_LINE, theta_tree: int = THETA_TREE):

@@ -10,7 +10,7 @@ from pyspark.sql import Window as W
 
 from fixtrace.functions.store import settle
 from fixtrace.functions.text import squash
-from fixtrace.operators import backtrack, baselines, blame, similarity, versions, weights
+from fixtrace.operators import backtrack, baselines, blame, judge, similarity, versions, weights
 from fixtrace.operators.reach import arrival
 from fixtrace.sources import code
 from fixtrace.sources.history import History
@@ -67,23 +67,45 @@ class Lab(History):
         return rows.groupBy("before", "after", "pre", "post", "repo_id", "same").agg(F.count("*").alias("n"))
 
     @functools.cached_property
-    def definitions(self) -> dict:
-        return similarity.definition_map(code.callees(self.spark))
+    def callees(self) -> DataFrame:
+        return code.callees(self.spark)
 
     @functools.cached_property
     def sims(self) -> DataFrame:
         """(pre, post, sim_a, sim_b) of distinct text pairs; the tree level where the line level is below its threshold."""
-        return settle(similarity.compare(self.pairs, self.definitions))
+        return settle(similarity.compare(self.pairs, self.callees))
 
     @functools.cached_property
     def sims_both(self) -> DataFrame:
         """As ``sims`` with both levels of every pair, for sweeps."""
-        return settle(similarity.compare(self.pairs, self.definitions, theta_line=None))
+        return settle(similarity.compare(self.pairs, self.callees, theta_line=None))
+
+    @functools.cached_property
+    def watched(self) -> frozenset[str]:
+        """Names that the rule judge watches: the sensitive table and the wrappers found, a few for each definition."""
+        table = weights.sensitive_table(self.spark)
+        found = weights.sensitive_wrappers(self.callees, table).select("fn").distinct().limit(10_001).collect()
+        if len(found) > 10_000:
+            raise ValueError("too many wrappers to hand to a judge; split them by repository")
+        return judge.LISTED | {r.fn for r in found}
+
+    @functools.cached_property
+    def added(self) -> DataFrame:
+        """(vuln_id, line_no) of lines that only the fix brings: slots it adds to that had no text before."""
+        slots = self.line.where("flag = 'A'").select(F.col("commit_id").alias("vuln_id"), F.col("slot").alias("line_no"))
+        return slots.join(self.cases.select("vuln_id"), "vuln_id", "left_semi").join(self.statements.select("vuln_id", F.col("slot").alias("line_no")), ["vuln_id", "line_no"], "left_anti")
 
     @functools.cached_property
     def flags(self) -> DataFrame:
         return self.sims.select("pre", "post", similarity.stage().alias("similar"))
 
+    @functools.cached_property
+    def anchor_flags(self) -> DataFrame:
+        """(pre, post, similar): texts before each touch against the patched statement's text at the fix."""
+        main = self.compared.where("lane = 'main' and pre is not null").select("file_id", "slot", "seq", "pre")
+        met = self.statements.select("file_id", "slot", "fix_seq", F.col("text").alias("post")).join(main, ["file_id", "slot"]).where("seq < fix_seq")
+        return settle(similarity.compare(met.select("pre", "post"), self.callees).select("pre", "post", similarity.stage().alias("similar")))
+
     @functools.cached_property
     def compared(self) -> DataFrame:
         return settle(backtrack.compared_touches(self.content, self.flags))
@@ -169,6 +191,10 @@ class Lab(History):
             return self.affected(backtrack.cumulative(self.statements, settle(backtrack.exact_stops(self.statements, preds, self.compared))))
         if name == "per_commit":
             return self.affected(backtrack.per_commit(self.statements, self.compared))
+        if name == "touched_only":
+            return self.affected(backtrack.per_commit(self.statements, self.compared, untouched="excluded"))
+        if name == "anchor":
+            return self.affected(backtrack.cumulative(self.statements, backtrack.anchored_stops(self.statements, self.compared, self.anchor_flags)))
         if name == "first_parent":
             return self.affected(self.engine("first_parent"))
         if name == "line_only":
@@ -206,10 +232,16 @@ class Lab(History):
 
 
 @functools.lru_cache(maxsize=2)
-def lab_of(spark, sf_dir: str) -> Lab:
-    """The lab of a session and directory; queries of one session share its frames, as the tables do not change."""
+def _lab(spark, sf_dir: str, state: tuple) -> Lab:
     return Lab(spark, sf_dir)
 
 
-METHODS = ("two_level", "all_paths", "per_commit", "first_parent", "line_only", "unweighted", "claims", "blame_basic", "blame_annotated", "blame_tracked", "function_digest", "hybrid", "patch_presence", "dependence_match", "window_match")
+def lab_of(spark, sf_dir: str) -> Lab:
+    """The lab of a session and directory; queries share its frames until a file of the directory changes."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    found = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listStatus(path)
+    return _lab(spark, sf_dir, tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in found)))
+
+
+METHODS = ("two_level", "all_paths", "per_commit", "touched_only", "anchor", "first_parent", "line_only", "unweighted", "claims", "blame_basic", "blame_annotated", "blame_tracked", "function_digest", "hybrid", "patch_presence", "dependence_match", "window_match")
 BLAME = ("blame_basic", "blame_annotated", "blame_tracked")

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import functools
+import itertools
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from fixtrace.functions.store import settle
 from fixtrace.functions.text import alike, cosine, simhash64
 from fixtrace.sources.tables import table
 from fixtrace.streaming import feed
@@ -25,12 +28,8 @@ def line_pairs(docs: DataFrame) -> DataFrame:
     return a.join(lines.select(F.col("doc_id").alias("doc_b"), "line_no", F.col("x").alias("b")), ["doc_b", "line_no"])
 
 
-def _ascii(c: str):
-    return F.octet_length(c) == F.char_length(c)
-
-
 def w11_edit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = line_pairs(table(spark, sf_dir, "documents").select("doc_id", "source", "text")).where(_ascii("a") & _ascii("b"))
+    rows = line_pairs(table(spark, sf_dir, "documents").select("doc_id", "source", "text"))
     return rows.groupBy("source").agg(F.count("*").alias("n_pairs"), F.count_if(alike(F.col("a"), F.col("b"), 800)).alias("n_similar"))
 
 
@@ -56,14 +55,44 @@ def _words(c):
     return F.filter(F.split(c, r"\s+"), lambda x: x != "")
 
 
+def passages_held(docs: DataFrame, items: DataFrame, width: int = 4, block: int = 500) -> DataFrame:
+    """(doc_id, item_id) of documents that hold a passage verbatim, at any place.
+
+    The first and last word of a passage may be parts of a document's words, the words between are whole ones: a
+    hash of the first ``width`` of them finds (of all, where there are fewer), containment confirms.  Only ids meet in
+    the join; texts are read again for what it finds.  Passages of one or two words have no word between; they are
+    held against every text in blocks of ``block`` passages.  A null text holds nothing, an empty passage is in every text.
+    """
+    items = items.select("item_id", F.col("text").alias("passage")).where("passage is not null").withColumn("w", _words(F.col("passage")))
+    inner = F.slice("w", F.lit(2), F.least(F.size("w") - 2, F.lit(width)))
+    keyed = items.where(F.size("w") > 2).withColumn("inner", inner).select("item_id", F.size("inner").alias("n"), F.xxhash64(F.array_join("inner", " ")).alias("key"))
+    cut = docs.select("doc_id", _words(F.col("text")).alias("w"))
+
+    def met_by(n: int) -> DataFrame:
+        """Documents that have a key of ``n`` words."""
+        hashes = F.transform(F.sequence(F.lit(1), F.size("w") - n + 1), lambda k: F.xxhash64(F.array_join(F.slice("w", k, n), " ")))
+        found = cut.where(F.size("w") >= n).select("doc_id", F.explode(F.array_distinct(hashes)).alias("key"))
+        return found.join(keyed.where(F.col("n") == n).drop("n"), "key").select("doc_id", "item_id")
+
+    sizes = [r.n for r in keyed.select("n").distinct().orderBy("n").limit(width).collect()]
+    met = functools.reduce(DataFrame.unionByName, (met_by(n) for n in sizes or [width])).distinct()
+    texts = docs.select("doc_id", "text")
+    held = met.join(items.select("item_id", "passage"), "item_id").join(texts, "doc_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
+    short = items.where(F.size("w") <= 2).select("item_id", "passage")
+    many = short.count()
+    if not many:
+        return held.distinct()
+    blocks = -(-many // block)
+    for k in range(blocks):
+        asked = short.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == k).agg(F.collect_list(F.struct("item_id", "passage")).alias("asked"))
+        hits = texts.join(F.broadcast(asked)).select("doc_id", "text", F.explode("asked").alias("x")).where(F.contains("text", F.col("x.passage")))
+        held = held.unionByName(hits.select("doc_id", "x.item_id"))
+    return held.distinct()
+
+
 def w17_signature_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents that hold a benchmark passage verbatim: a hash of its first five words finds, containment confirms."""
-    items = table(spark, sf_dir, "benchmark").where("text is not null").withColumn("w", _words(F.col("text")))
-    keys = items.withColumn("key", F.xxhash64(F.array_join(F.slice("w", 2, 4), " "))).select("item_id", F.col("text").alias("passage"), "key")
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text").withColumn("w", _words(F.col("text"))).where(F.size("w") >= 4)
-    windows = F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 3), lambda k: F.xxhash64(F.array_join(F.slice("w", k, 4), " "))))
-    met = docs.select("doc_id", "text", F.explode(windows).alias("key")).join(keys, "key")
-    return met.where(F.contains("text", "passage")).select("doc_id", "item_id").distinct()
+    """Documents that hold a benchmark passage verbatim."""
+    return passages_held(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
 def w18_digest_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -71,22 +100,45 @@ def w18_digest_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.groupBy("digest").agg(F.count("*").alias("n_docs"), F.min("doc_id").alias("first_doc")).where("n_docs > 1")
 
 
-def w18_near_digests(spark: SparkSession, sf_dir: str, limit: int = 3) -> DataFrame:
-    """Pairs of distinct texts whose 64-bit digests differ in at most three bits, by four bands of sixteen bits."""
-    d = table(spark, sf_dir, "documents").select("doc_id", "text").where("text is not null")
-    once = d.groupBy(F.md5(F.col("text").cast("binary")).alias("m")).agg(F.min(F.struct("doc_id", "text")).alias("x")).select("x.doc_id", _words(F.col("x.text")).alias("w"))
-    h = once.where(F.size("w") > 0).select("doc_id", simhash64(F.col("w")).alias("h"))
-    band = h.select("doc_id", "h", F.posexplode(F.array(*(F.shiftright("h", 16 * k).bitwiseAND(F.lit(0xFFFF)) for k in range(4)))).alias("band", "part"))
-    a, b = (band.select("band", "part", F.col("doc_id").alias(f"doc_{s}"), F.col("h").alias(f"h{s}")) for s in "ab")
-    met = a.join(b, ["band", "part"]).where("doc_a < doc_b")
-    return met.withColumn("distance", F.bit_count(F.col("ha").bitwiseXOR(F.col("hb")))).where(F.col("distance") <= limit).select("doc_a", "doc_b", "distance").distinct()
+#: Six blocks of a 64-bit digest: first bit and width.
+_BLOCKS = ((0, 11), (11, 11), (22, 11), (33, 11), (44, 10), (54, 10))
+
+
+def near_digests(docs: DataFrame, limit: int = 3) -> DataFrame:
+    """doc_id, class_doc and n_near: a document's class (equal digests, named by the least doc_id) and how many other
+    classes lie within ``limit`` bits.
+
+    Of six blocks, ``limit`` <= 3 differing bits leave three untouched, so classes meet under one of twenty keys of three
+    blocks (some 32 bits: a key is hardly ever shared by chance).  Copies cost nothing and are never paired.
+    """
+    if not 0 <= limit <= 3:
+        raise ValueError("three of six blocks are compared, so at most three bits may differ")
+    words = docs.where("text is not null").select("doc_id", _words(F.col("text")).alias("w")).where(F.size("w") > 0)
+    named = settle(words.select("doc_id", simhash64(F.col("w")).alias("h")))
+    classes = settle(named.groupBy("h").agg(F.min("doc_id").alias("class_doc")))
+    part = [F.shiftrightunsigned("h", at).bitwiseAND(F.lit((1 << width) - 1)) for at, width in _BLOCKS]
+    keys = F.array(*(F.xxhash64(F.lit(k), *(part[i] for i in chosen)) for k, chosen in enumerate(itertools.combinations(range(6), 3))))
+    dealt = classes.select("h", F.explode(keys).alias("key"))
+    pairs = dealt.alias("a").join(dealt.alias("b"), "key").where(F.col("a.h") < F.col("b.h")).where(F.bit_count(F.col("a.h").bitwiseXOR(F.col("b.h"))) <= limit)
+    linked = pairs.select(F.col("a.h").alias("x"), F.col("b.h").alias("y")).distinct()
+    near = linked.select(F.explode(F.array("x", "y")).alias("h")).groupBy("h").agg(F.count("*").alias("n_near"))
+    return named.join(classes, "h").join(near, "h", "left").select("doc_id", "class_doc", F.coalesce("n_near", F.lit(0)).alias("n_near"))
+
+
+def w18_near_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_digests(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def tag_code(tags):
+    """One code point for each tag, fixed by its name alone; two names share one with odds of one in a million."""
+    point = lambda t: F.lpad(F.hex(F.pmod(F.xxhash64(F.lower(t)), F.lit(0xFFFFE)) + 0x10000), 8, "0")
+    return F.decode(F.unhex(F.array_join(F.transform(tags, point), "")), "UTF-32")
 
 
 def w19_page_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Tree similarity of neighbouring pages of a host: edit distance over in-order tag sequences."""
     tags = F.regexp_extract_all("html", F.lit(r"<(/?[a-zA-Z][a-zA-Z0-9]*)"), F.lit(1))
-    code = F.array_join(F.transform(tags, lambda t: F.char((F.pmod(F.xxhash64(F.lower(t)), F.lit(90)) + 33))), "")
-    p = table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", r"://([^/?#]*)", 1).alias("host"), code.alias("code"))
+    p = table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", r"://([^/?#]*)", 1).alias("host"), tag_code(tags).alias("code"))
     near = F.lag(F.struct("page_id", "code")).over(W.partitionBy("host").orderBy("page_id"))
     rows = p.withColumn("p", near).where("p is not null")
     longest = F.greatest(F.length("code"), F.length("p.code"))
@@ -94,8 +146,12 @@ def w19_page_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w20_label_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A plain rule against the quality labels: counts per source, for macro scores."""
-    rule = ~(F.contains("text", F.lit("!! ")) | F.contains("text", F.lit(" | ")) | F.contains("text", F.lit("*** ")))
+    """A plain rule against the quality labels: counts per source, for macro scores.
+
+    The rule asks for at most one mark of ``#*$%&|<>!`` in 200 characters.
+    """
+    text = F.coalesce("text", F.lit(""))
+    rule = F.char_length(F.regexp_replace(text, r"[^#*$%&|<>!]", "")) * 200 <= F.char_length(text)
     rows = table(spark, sf_dir, "documents").select("doc_id", "source", rule.alias("p")).join(table(spark, sf_dir, "labels").select("doc_id", (F.col("quality") == 1).alias("t")), "doc_id")
     return rows.groupBy("source").agg(F.count_if(F.col("p") & F.col("t")).alias("tp"), F.count_if(F.col("p") & ~F.col("t")).alias("fp"), F.count_if(~F.col("p") & F.col("t")).alias("fn"))
 
@@ -114,6 +170,11 @@ def w22_stream_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return feed.voted(spark, sf_dir)
 
 
+def w22_stream_projects(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events of the stream by the project of their user: a stream-static join."""
+    return feed.by_project(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (w11_edit, w11_md5, w11_cosine, w17_signature_hits, w18_digest_clones, w18_near_digests, w19_page_trees, w20_label_scores, w21_transcripts, w22_stream_windows, w22_stream_votes)
+    own = (w11_edit, w11_md5, w11_cosine, w17_signature_hits, w18_digest_clones, w18_near_digests, w19_page_trees, w20_label_scores, w21_transcripts, w22_stream_windows, w22_stream_votes, w22_stream_projects)
     return {f.__name__: f for f in own}

@@ -34,6 +34,9 @@ _RUNS = "runs AS (SELECT user_id AS vuln_id, (event_id % 10)::INT AS run_no, eve
 _LINES = """l AS (SELECT doc_id, i - 1 AS line_no, x[i] AS x FROM (SELECT doc_id, x, unnest(range(1, len(x) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS x FROM documents WHERE text IS NOT NULL))),
   near AS (SELECT doc_id, source, lead(doc_id) OVER (PARTITION BY source ORDER BY doc_id) AS doc_b FROM documents),
   lp AS (SELECT source, a.x AS a, b.x AS b FROM near n JOIN l a ON a.doc_id = n.doc_id JOIN l b ON b.doc_id = n.doc_b AND b.line_no = a.line_no)"""
+#: This engine's levenshtein counts bytes, so the letters of the four languages become single unused ones.
+_LETTERS = "èéÍÊÄñÉßêçíÇÈÑüöÖóÓäÜáàâîôûú"
+_SINGLE = f"translate({{}}, '{_LETTERS}', " + " || ".join(f"chr({k})" for k in [*range(1, 10), *range(11, 32)][: len(_LETTERS)]) + ")"
 
 SQL = {
     "w01_dataset_profile": f"""WITH {HISTORY} SELECT n_nationkey AS repo_id, n_name AS name, r_name AS domain, (SELECT count(*) FROM commits c WHERE c.repo_id = n_nationkey) AS n_commits,
@@ -61,8 +64,9 @@ SQL = {
       cuts AS (SELECT unnest([0, 1, 2]) AS cut, last_day(DATE '1970-01-01' + floor(unnest(q))::INT) AS until FROM q),
       side AS (SELECT vuln_id, cut, CASE WHEN published_at::DATE <= until THEN 'pre' ELSE 'post' END AS side FROM cases CROSS JOIN cuts)
       SELECT *, {_RATES} FROM (SELECT cut, side, {_COUNTS} FROM met JOIN side USING (vuln_id) GROUP BY cut, side)""",
-    "w11_edit": f"""WITH {_LINES} SELECT source, count(*) AS n_pairs, count(*) FILTER (WHERE a = b OR (abs(length(a) - length(b)) <= (200 * greatest(length(a), length(b))) // 1000
-      AND levenshtein(a, b) <= (200 * greatest(length(a), length(b))) // 1000)) AS n_similar FROM lp WHERE length(a) = strlen(a) AND length(b) = strlen(b) GROUP BY source""",
+    "w11_edit": f"""WITH {_LINES}, one AS (SELECT source, {_SINGLE.format('a')} AS a, {_SINGLE.format('b')} AS b FROM lp)
+      SELECT source, count(*) AS n_pairs, count(*) FILTER (WHERE a = b OR (abs(length(a) - length(b)) <= (200 * greatest(length(a), length(b))) // 1000
+      AND levenshtein(a, b) <= (200 * greatest(length(a), length(b))) // 1000)) AS n_similar FROM one GROUP BY source""",
     "w11_md5": f"WITH {_LINES} SELECT source, count(*) AS n_pairs, count(*) FILTER (WHERE trim(regexp_replace(a, ' +', ' ', 'g'), ' ') = trim(regexp_replace(b, ' +', ' ', 'g'), ' ')) AS n_equal FROM lp GROUP BY source",
     "w11_cosine": """WITH p AS (SELECT a.label = b.label AS same, list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS c FROM embeddings a JOIN embeddings b ON a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id)
       SELECT theta, count(*) FILTER (WHERE c >= theta AND same) AS tp, count(*) FILTER (WHERE c >= theta AND NOT same) AS fp, count(*) FILTER (WHERE c < theta AND same) AS fn
@@ -85,10 +89,13 @@ SQL = {
     "w16_ranges": f"WITH {TRUTH} SELECT vuln_id, min(tag_no) AS lo, max(tag_no) + 1 AS hi FROM (SELECT *, tag_no - row_number() OVER (PARTITION BY vuln_id ORDER BY tag_no) AS i FROM truth) GROUP BY vuln_id, i",
     "w17_signature_hits": "SELECT DISTINCT d.doc_id, b.item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)",
     "w18_digest_clones": "SELECT md5(text) AS digest, count(*) AS n_docs, min(doc_id) AS first_doc FROM documents GROUP BY md5(text) HAVING count(*) > 1",
-    "w20_label_scores": """WITH x AS (SELECT source, NOT (contains(text, '!! ') OR contains(text, ' | ') OR contains(text, '*** ')) AS p, quality = 1 AS t FROM documents JOIN labels USING (doc_id))
+    "w20_label_scores": """WITH x AS (SELECT source, length(regexp_replace(coalesce(text, ''), '[^#*$%&|<>!]', '', 'g')) * 200 <= length(coalesce(text, '')) AS p, quality = 1 AS t FROM documents JOIN labels USING (doc_id))
       SELECT source, count(*) FILTER (WHERE p AND t) AS tp, count(*) FILTER (WHERE p AND NOT t) AS fp, count(*) FILTER (WHERE NOT p AND t) AS fn FROM x GROUP BY source""",
     "w21_transcripts": "SELECT conv_id, count(*) AS n_turns, string_agg(role || ': ' || text, chr(10) ORDER BY turn, role, text) AS prompt FROM conversations GROUP BY conv_id",
     "w22_stream_windows": "SELECT date_trunc('day', ts) AS window_start, event_type, count(*) AS n_events, round(sum(value), 4) AS value FROM events GROUP BY ALL",
+    "w22_stream_projects": "SELECT c_nationkey::INT AS repo_id, event_type, count(*) AS n_events FROM events LEFT JOIN customer ON c_custkey = user_id GROUP BY ALL",
+    "w14_audit_rollup": f"WITH {TRUTH} SELECT r_name AS domain, audit, count(*) AS n_cases, grouping(r_name, audit)::INT AS level FROM named JOIN nation ON n_nationkey = repo_id JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, audit)",
+    "w14_audit_pivot": f"WITH {TRUTH} SELECT source_id, " + ", ".join(f"count(*) FILTER (WHERE audit = '{k}') AS {k}" for k in ("correct", "incomplete", "over_inclusive", "mixed", "missing")) + " FROM named GROUP BY source_id",
     "w22_stream_votes": f"WITH {_RUNS} SELECT vuln_id, stmt FROM runs GROUP BY ALL HAVING count(DISTINCT run_no) >= 6",
 }
 
@@ -164,3 +171,28 @@ def _detector(name: str, similarity: str) -> str:
 SQL["w11_statement_edit"] = _detector("edit", "sim")
 _PARTS = "list_transform(list_filter(string_split_regex({}, '[;{{}}]'), lambda x: trim(x) <> ''), lambda x: trim(x))"
 SQL["w11_statement_md5"] = _detector("md5", f"len(list_distinct(list_intersect({_PARTS.format('a')}, {_PARTS.format('b')})))::DOUBLE / greatest(len(list_distinct(list_concat({_PARTS.format('a')}, {_PARTS.format('b')}))), 1)")
+_SNAPS = f"WITH {_STATES}, {twin.SNAPSHOTS}"
+_SHARE = "len(list_distinct(list_intersect(held, {0})))::DOUBLE / len(list_distinct({0}))"
+SQL["method_patch_presence"] = f"""{_SNAPS} SELECT vuln_id, repo_id, tag_no FROM versions JOIN changed USING (vuln_id)
+  WHERE coalesce(CASE WHEN len(deleted) > 0 THEN {_SHARE.format('deleted')} END, 1.0) >= 1.0 AND coalesce(CASE WHEN len(added) > 0 THEN {_SHARE.format('added')} END, 0.0) <= 0.9"""
+SQL["method_hybrid"] = f"""{_SNAPS}, claimed AS (SELECT b.vuln_id, b.repo_id, g.tag_no FROM bounds b JOIN tags g ON g.repo_id = b.repo_id AND g.tag_no BETWEEN lo AND hi)
+  SELECT v.vuln_id, v.repo_id, v.tag_no FROM versions v JOIN claimed USING (vuln_id, tag_no) JOIN bodies USING (vuln_id)
+  WHERE len(list_distinct(list_intersect(held, body))) >= 0.5 * len(list_distinct(list_concat(held, body)))"""
+_RUNS_OF = "CASE WHEN len({0}) >= 4 THEN list_transform(range(1, len({0}) - 2), lambda i: array_to_string({0}[i:i + 3], chr(10))) ELSE [array_to_string({0}, chr(10))] END"
+SQL["method_window_match"] = f"""{_SNAPS}, cut AS (SELECT vuln_id, repo_id, tag_no, {_RUNS_OF.format('held')} AS h, {_RUNS_OF.format('body')} AS w FROM versions JOIN bodies USING (vuln_id))
+  SELECT vuln_id, repo_id, tag_no FROM cut WHERE len(list_distinct(list_intersect(w, h))) >= 0.5 * len(list_distinct(w))"""
+_WALKED = f"WITH RECURSIVE {_STATES}, {twin.WALKS}"
+SQL["method_all_paths"] = f"{_WALKED}, {twin.scored('found', 'walked')}, {twin.affected('hits', 'found')} SELECT * FROM hits"
+SQL["w05_path_check"] = f"""{_WALKED}, {twin.engine('found')}
+  SELECT count(*) AS n_statements, count(*) FILTER (WHERE a.stop IS NOT DISTINCT FROM b.stop) AS n_same, count(*) FILTER (WHERE a.stop IS NOT NULL AND vuln_id IN (SELECT vuln_id FROM found_met)) AS n_met_merge
+  FROM found_stops a FULL JOIN walked b USING (vuln_id, slot)"""
+SQL["w12_walk_counts"] = f"""{_WALKED}, made AS (SELECT vuln_id, count(*) AS n FROM (SELECT DISTINCT vuln_id, slot, commit_id, pred FROM steps WHERE later = 1) GROUP BY vuln_id)
+  SELECT count(*) AS n_fixes, sum(coalesce(n, 0))::BIGINT AS n_comparisons, round(avg(coalesce(n, 0)), 6) AS mean_comparisons, count(*) FILTER (WHERE coalesce(n, 0) = 0) AS n_direct FROM (SELECT DISTINCT vuln_id FROM stmts) LEFT JOIN made USING (vuln_id)"""
+SQL["w16_closure_check"] = f"""WITH RECURSIVE {TRUTH}, asked AS (SELECT fix_commit_id AS commit_id FROM cases UNION SELECT c.commit_id FROM origins o JOIN commits c ON c.repo_id = o.repo_id AND c.seq = o.oseq),
+  held AS (SELECT commit_id AS src, commit_id FROM asked UNION SELECT h.src, e.child_id FROM held h JOIN edges e ON e.parent_id = h.commit_id),
+  labelled AS (SELECT a.commit_id AS src, b.commit_id FROM commits a JOIN commits b ON {twin.holds('b', 'a')} WHERE a.commit_id IN (FROM asked))
+  SELECT count(*) AS n_pairs, count(*) FILTER (WHERE x IS NULL OR y IS NULL) AS n_differ FROM (SELECT *, 1 AS x FROM held) FULL JOIN (SELECT *, 1 AS y FROM labelled) USING (src, commit_id)"""
+SQL["method_touched_only"] = f"""WITH {_STATES}, held AS (SELECT s.vuln_id, s.repo_id, t.seq, sum(CASE WHEN {twin.BOTH_LEVELS} THEN CASE WHEN sensitive THEN 2.0 ELSE 1.0 END ELSE 0.0 END) AS gone,
+    sum(CASE WHEN sensitive THEN 2.0 ELSE 1.0 END) AS total FROM stmts s JOIN pairs t ON t.file_id = s.file_id AND t.slot = s.slot AND t.lane = 'main' AND t.seq < s.fix_seq GROUP BY ALL),
+  found AS (SELECT vuln_id, any_value(repo_id) AS repo_id, coalesce(max(seq) FILTER (WHERE round((1 - gone / total) * 1000) < 700), min(seq)) AS oseq FROM held GROUP BY vuln_id),
+  {twin.affected('hits', 'found')} SELECT * FROM hits"""

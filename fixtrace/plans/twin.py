@@ -91,8 +91,8 @@ hot AS (SELECT vuln_type, list(fn) AS fns FROM (FROM listed UNION SELECT l.vuln_
 stmts AS (
   SELECT s.*, list_has_any(fns, list_concat({_CALLED.format("text")}, CASE WHEN regexp_matches(text, '[^+]\\+[^+]') THEN ['+'] ELSE [] END,
     CASE WHEN regexp_matches(text, '[\\w)\\]]\\s*\\*\\s*[\\w(]') THEN ['*'] ELSE [] END, CASE WHEN contains(text, '<<') THEN ['<<'] ELSE [] END)) AS sensitive
-  FROM (SELECT c.vuln_id, c.repo_id, c.file_id, c.fix_seq, c.vuln_type, l.slot, l.flag, arg_max(t.text, t.seq) AS text FROM cases c
-    JOIN lines l ON l.commit_id = c.vuln_id AND l.flag IN ('A', 'R') JOIN content t ON t.file_id = c.file_id AND t.slot = l.slot AND t.lane = 'main' AND t.seq < c.fix_seq GROUP BY ALL) s
+  FROM (SELECT c.vuln_id, c.repo_id, c.file_id, c.fix_seq, c.vuln_type, l.slot, l.flag, arg_max(t.text, t.seq) AS text, arg_max(t.b, t.seq) AS line FROM cases c
+    JOIN lines l ON l.commit_id = c.vuln_id AND l.flag IN ('A', 'R') JOIN pairs t ON t.file_id = c.file_id AND t.slot = l.slot AND t.lane = 'main' AND t.seq < c.fix_seq GROUP BY ALL) s
   JOIN hot USING (vuln_type)
 )"""
 
@@ -118,9 +118,43 @@ def engine(name: str, lost: str = BOTH_LEVELS, weight: str = "CASE WHEN sensitiv
 {p}branch AS (SELECT {key}file_id, slot, block, any_value(fork) AS at_fork, any_value(mseq) AS at, max(seq) FILTER (WHERE lost) AS own FROM {p}lost WHERE lane = 'feature' AND mseq IS NOT NULL GROUP BY ALL),
 {p}met AS (SELECT m.*, b.at_fork, b.own FROM {p}main m JOIN {p}branch b ON b.file_id = m.file_id AND b.slot = m.slot {"".join(f"AND b.{c} = m.{c} " for c in params.split())}WHERE b.at <= m.fix_seq AND b.at > m.stop),
 {p}stops AS (SELECT {key}vuln_id, slot, min(stop) AS stop FROM (SELECT {key}vuln_id, slot, stop FROM {p}main {inside}) GROUP BY ALL),
-{p}per AS (SELECT {key}s.vuln_id, s.repo_id, x.stop, sum({weight}) AS w FROM {of} s JOIN {p}stops x ON x.vuln_id = s.vuln_id AND x.slot = s.slot {"JOIN params USING (" + params.replace(" ", ", ") + ")" if params else ""} GROUP BY ALL),
+{scored(name, f"{p}stops", weight, theta, of, params)}"""
+
+
+def scored(name: str, stops: str, weight: str = "CASE WHEN sensitive THEN 2.0 ELSE 1.0 END", theta: str = "700", of: str = "stmts", params: str = "") -> str:
+    """CTEs up to ``name``: the latest stop at which the kept weight falls below theta."""
+    p, key = f"{name}_", "".join(f"{c}, " for c in params.split())
+    using = f"JOIN params USING ({params.replace(' ', ', ')})" if params else ""
+    return f"""{p}per AS (SELECT {key}s.vuln_id, s.repo_id, x.stop, sum({weight}) AS w FROM {of} s JOIN {stops} x ON x.vuln_id = s.vuln_id AND x.slot = s.slot {using} GROUP BY ALL),
 {p}run AS (SELECT *, 1 - sum(w) OVER (PARTITION BY {key}vuln_id ORDER BY stop DESC) / sum(w) OVER (PARTITION BY {key}vuln_id) AS score FROM {p}per),
-{name} AS (SELECT {key}vuln_id, repo_id, stop AS oseq, score::DOUBLE AS score FROM {p}run {"JOIN params USING (" + params.replace(" ", ", ") + ")" if params else ""} WHERE round(score * 1000) < {theta} QUALIFY row_number() OVER (PARTITION BY {key}vuln_id ORDER BY stop DESC) = 1)"""
+{name} AS (SELECT {key}vuln_id, repo_id, stop AS oseq, score::DOUBLE AS score FROM {p}run {using} WHERE round(score * 1000) < {theta} QUALIFY row_number() OVER (PARTITION BY {key}vuln_id ORDER BY stop DESC) = 1)"""
+
+
+def holds(outer: str, inner: str) -> str:
+    """Whether the commit of row ``outer`` has that of row ``inner`` in its history, from branch labels."""
+    return f"""({outer}.repo_id = {inner}.repo_id AND (coalesce(CASE WHEN {inner}.lane = 'main' THEN {inner}.seq ELSE {inner}.mseq END <= {outer}.fork, FALSE)
+      OR ({inner}.lane = 'feature' AND {outer}.lane = 'feature' AND {inner}.block = {outer}.block AND {inner}.seq <= {outer}.seq)))"""
+
+
+#: Touches that a touch was made upon, and the walk back over all of them; it ends where a statement is lost.
+WALKS = f"""
+held_pairs AS MATERIALIZED (SELECT c.file_id, c.slot, c.commit_id, x.commit_id AS pred FROM states c JOIN states x ON x.file_id = c.file_id AND x.slot = c.slot AND x.commit_id <> c.commit_id AND {holds("c", "x")}),
+preds AS MATERIALIZED (SELECT * FROM held_pairs h WHERE NOT EXISTS (SELECT 1 FROM held_pairs y JOIN held_pairs z ON z.file_id = y.file_id AND z.slot = y.slot AND z.commit_id = y.pred
+  WHERE y.file_id = h.file_id AND y.slot = h.slot AND y.commit_id = h.commit_id AND z.pred = h.pred)),
+gone AS MATERIALIZED (SELECT file_id, slot, commit_id, seq FROM pairs WHERE {BOTH_LEVELS}),
+steps AS (
+  SELECT s.vuln_id, s.slot, s.file_id, p.commit_id, p.pred, 0 AS later FROM stmts s JOIN preds p ON p.file_id = s.file_id AND p.slot = s.slot AND p.commit_id = s.vuln_id
+  UNION SELECT t.vuln_id, t.slot, t.file_id, p.commit_id, p.pred, 1 FROM steps t JOIN preds p ON p.file_id = t.file_id AND p.slot = t.slot AND p.commit_id = t.pred
+  WHERE NOT EXISTS (SELECT 1 FROM gone g WHERE g.file_id = t.file_id AND g.slot = t.slot AND g.commit_id = t.pred)
+), walked AS (SELECT t.vuln_id, t.slot, min(g.seq) AS stop FROM steps t JOIN gone g ON g.file_id = t.file_id AND g.slot = t.slot AND g.commit_id = t.pred GROUP BY ALL)"""
+
+#: The patched file of each case at each tag, just before the fix, and what the fix puts in and takes out, as lists of lines.
+SNAPSHOTS = """
+snaps AS (SELECT k.vuln_id, k.repo_id, g.tag_no, t.slot, arg_max(t.b, t.seq) AS line FROM cases k JOIN tags g ON g.repo_id = k.repo_id JOIN pairs t ON t.file_id = k.file_id AND t.lane = 'main' AND t.seq <= g.seq GROUP BY ALL),
+versions AS (SELECT vuln_id, repo_id, tag_no, list(line ORDER BY slot) AS held FROM snaps GROUP BY ALL),
+ahead AS (SELECT k.vuln_id, t.slot, arg_max(t.b, t.seq) AS line FROM cases k JOIN pairs t ON t.file_id = k.file_id AND t.lane = 'main' AND t.seq < k.fix_seq GROUP BY ALL),
+bodies AS (SELECT vuln_id, list(line ORDER BY slot) AS body FROM ahead GROUP BY ALL),
+changed AS (SELECT s.vuln_id, list(s.line) FILTER (WHERE s.flag = 'R') AS deleted, list(t.b) AS added FROM stmts s JOIN pairs t ON t.file_id = s.file_id AND t.slot = s.slot AND t.commit_id = s.vuln_id GROUP BY s.vuln_id)"""
 
 
 def blamed(name: str, touched: str, lost: str) -> str:

@@ -3,15 +3,17 @@
 from __future__ import annotations
 
 import functools
+import itertools
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fixtrace.functions import store
+from fixtrace.functions import ctree, store
 from fixtrace.functions.text import squash
 from fixtrace.operators import backtrack, baselines, detectors, extraction, judge, reach, similarity, versions
 from fixtrace.operators import measures as m
+from fixtrace.operators.cost import StageTimer, time_ratio
 from fixtrace.plans import natural
 from fixtrace.plans.lab import BLAME, METHODS, WEAKNESS, Lab, lab_of
 
@@ -141,8 +143,8 @@ def _flow(rows: DataFrame) -> DataFrame:
 def _judged(lab: Lab, flows: DataFrame, strategy: str = "few_shot_reason", noise: float = 0.15, runs: int = 10) -> DataFrame:
     """(vuln_id, run_no, stmt, tokens_in, tokens_out) of a rule judge."""
     prompts = store.settle(judge.build_prompts(_records(lab), flows, strategy))
-    done = judge.run_judge(prompts, judge.RuleProvider(noise), runs)
-    return judge.named_statements(prompts, done).select("vuln_id", "run_no", F.col("line_no").alias("stmt"))
+    done = judge.run_judge(prompts, judge.RuleProvider(noise, lab.watched), runs)
+    return judge.named_statements(prompts, done, lab.added).select("vuln_id", "run_no", F.col("line_no").alias("stmt"))
 
 
 def w06_slices(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -302,12 +304,58 @@ def w12_walk_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return per.agg(F.count("*").alias("n_fixes"), F.sum("n").alias("n_comparisons"), F.round(F.avg("n"), 6).alias("mean_comparisons"), F.count_if(F.col("n") == 0).alias("n_direct"))
 
 
+GRID = tuple(k * 100 for k in range(1, 11))
+
+
+def threshold_sweep(lab: Lab, start: tuple[int, int] = (800, 800)) -> DataFrame:
+    """Coordinate-wise: each threshold over the grid with the others at their chosen values, the best F1 chosen from
+    the data (of equal ones the greatest threshold), then the next.  Each step collects the one row chosen."""
+    chosen = {"theta_a": None, "theta_b": start[0], "theta_s": start[1]}
+    out = []
+    for k, name in enumerate(chosen):
+        rows = [(k * len(GRID) + i, *({**chosen, name: t}[c] for c in chosen), 2.0) for i, t in enumerate(GRID)]
+        step = store.settle(_swept(lab, lab.spark.createDataFrame(rows, _PARAMS)).withColumn("step", F.lit(name)))
+        best = step.orderBy(F.desc_nulls_last(F.round("f1", 9)), F.desc(name)).first()
+        chosen[name] = best[name] if best else start[-1]
+        out.append(step.withColumn("chosen", F.col(name) == chosen[name]))
+    return functools.reduce(DataFrame.unionByName, out)
+
+
+def threshold_grid(lab: Lab, grid: tuple[int, ...] = GRID) -> DataFrame:
+    """Every combination of the three thresholds."""
+    rows = [(k, *t, 2.0) for k, t in enumerate(itertools.product(grid, repeat=3))]
+    return _swept(lab, lab.spark.createDataFrame(rows, _PARAMS))
+
+
 def w13_threshold_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Coordinate-wise: each threshold over .1 to 1.0 with the others at their chosen values."""
-    grid = [k * 100 for k in range(1, 11)]
-    rows = [(t, 800, 800) for t in grid] + [(900, t, 800) for t in grid] + [(900, 800, t) for t in grid]
-    params = spark.createDataFrame([(k, *r, 2.0) for k, r in enumerate(rows)], _PARAMS)
-    return rounded(_swept(lab_of(spark, sf_dir), params), "precision", "recall", "f1").select("p", "theta_a", "theta_b", "theta_s", "precision", "recall", "f1")
+    found = threshold_sweep(lab_of(spark, sf_dir))
+    return rounded(found, "precision", "recall", "f1").select("step", "theta_a", "theta_b", "theta_s", "precision", "recall", "f1", "chosen")
+
+
+def w13_full_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The full grid in steps of .3 (64 points); ``threshold_grid`` takes any."""
+    found = threshold_grid(lab_of(spark, sf_dir), (100, 400, 700, 1000))
+    return rounded(found, "precision", "recall", "f1").select("theta_a", "theta_b", "theta_s", "precision", "recall", "f1")
+
+
+#: Parts of the tree level left out one by one: depth of call expansion and rules of the normal form.
+ABLATIONS = {"full": (1, ctree.RULES), "no_expansion": (0, ctree.RULES), "no_normal_form": (1, frozenset())} | {f"no_{r}": (1, ctree.RULES - {r}) for r in sorted(ctree.RULES)}
+
+
+def w12_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The tree level without call expansion, without each rule of the normal form and without all: planted
+    refactorings found, rewrites taken for refactorings, and the engine's scores."""
+    lab = lab_of(spark, sf_dir)
+    out = []
+    for name, (depth, rules) in ABLATIONS.items():
+        sims = store.settle(similarity.compare(lab.changes, lab.callees, depth=depth, rules=rules))
+        flags = sims.select("pre", "post", similarity.stage().alias("similar"))
+        kinds = lab.pairs.where("edit_kind in (1, 2)").join(flags, ["pre", "post"])
+        counts = kinds.agg(F.count_if((F.col("edit_kind") == 1) & F.col("similar")).alias("n_found"), F.count_if(F.col("edit_kind") == 1).alias("n_refactorings"), F.count_if((F.col("edit_kind") == 2) & F.col("similar")).alias("n_mistaken"))
+        found = lab.affected(lab.engine(compared=store.settle(backtrack.compared_touches(lab.content, flags))))
+        scores = m.macro(m.rates(m.confusion(found, lab.truth, ["repo_id"])), []).select("precision", "recall", "f1")
+        out.append(counts.crossJoin(scores).withColumn("without", F.lit(name)))
+    return rounded(functools.reduce(DataFrame.unionByName, out), "precision", "recall", "f1")
 
 
 def w14_claim_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -326,6 +374,38 @@ def w15_judge_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("vuln_id", *(F.col(c).cast("long").alias(c) for c in ("tokens_in", "tokens_out")), F.round("cost", 9).alias("cost"))
 
 
+def w14_audit_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Audited claims by domain and class, with subtotals; ``level`` is 0 for single cells, 1 for domains, 3 for all."""
+    lab = lab_of(spark, sf_dir)
+    rows = m.audit(lab.claims, lab.truth, lab.tags).join(lab.project.select("repo_id", "domain"), "repo_id")
+    return rows.rollup("domain", "audit").agg(F.count("*").alias("n_cases"), F.grouping_id().cast("int").alias("level"))
+
+
+def w14_audit_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row for each claiming source, one column for each class."""
+    lab = lab_of(spark, sf_dir)
+    rows = m.audit(lab.claims, lab.truth, lab.tags)
+    return rows.groupBy("source_id").pivot("audit", list(m.CLASSES)).agg(F.count(F.lit(1))).fillna(0)
+
+
+def w15_stage_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of each stage on a fresh lab, in all and per case, and how many times a dynamic check of three hours a case takes."""
+    lab, timer = Lab(spark, sf_dir), StageTimer()
+    with timer.stage("cases and texts"):
+        lab.cases, lab.content  # noqa: B018
+    with timer.stage("slices"):
+        store.settle(extraction.slices(*_functions(lab)))
+    with timer.stage("similarity"):
+        lab.sims, lab.compared  # noqa: B018
+    with timer.stage("backtracking"):
+        origins = store.settle(lab.engine())
+    with timer.stage("versions"):
+        store.settle(lab.affected(origins))
+    n = lab.cases.count()
+    rows = [(k, round(s, 3), round(per, 6), round(time_ratio(max(per, 1e-9), n, 3.0), 1)) for (k, s), per in zip(timer.seconds.items(), timer.per_case(n).values(), strict=True)]
+    return spark.createDataFrame(rows, "stage string, seconds double, seconds_per_case double, dynamic_ratio double")
+
+
 def w16_affected_versions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lab_of(spark, sf_dir).truth.select("vuln_id", "repo_id", "tag_no", "tag")
 
@@ -356,7 +436,7 @@ def queries() -> dict[str, Query]:
     own = (
         w01_dataset_profile, w02_patch_classes, w02_weakness_types, w03_truth, w03_claims, w03_basic_blame, w03_engine_first_parent, w03_engine,
         w03_method_scores, w03_gains, w04_per_project, w05_path_check, w05_merge_subset, w06_slices, w06_extraction_ablation, w07_prompt_grid, w08_vote, w08_agreement,
-        w08_jaccard, w09_cutoff_split, w10_weight_sweep, w11_detectors, w11_statement_edit, w11_statement_md5, w11_tree, w11_function_model, w12_refactor_share, w12_walk_counts, w13_threshold_sweep, w14_claim_audit, w14_severity,
+        w08_jaccard, w09_cutoff_split, w10_weight_sweep, w11_detectors, w11_statement_edit, w11_statement_md5, w11_tree, w11_function_model, w12_refactor_share, w12_walk_counts, w12_ablations, w13_threshold_sweep, w13_full_grid, w14_claim_audit, w14_severity, w14_audit_rollup, w14_audit_pivot, w15_stage_seconds,
         w15_judge_cost, w16_affected_versions, w16_ranges, w16_closure_check,
     )
     found = {f.__name__: f for f in own} | natural.queries()

@@ -48,6 +48,11 @@ def matched(claims: DataFrame, fixes: DataFrame, bound: str = "7 days") -> DataF
     return claims.join(fixes, F.expr(f"vuln_id = fix_vuln_id and fix_ts between ts and ts + interval {bound}"))
 
 
+def enriched(stream: DataFrame, static: DataFrame, on: list[str]) -> DataFrame:
+    """Stream rows with the columns of a static table; the table is read anew for each batch, and rows without a match stay."""
+    return stream.join(static, on, "left")
+
+
 def online_vote(runs: DataFrame, quorum: int = 6) -> DataFrame:
     """(vuln_id, stmt, votes) as soon as a statement reaches the quorum; state is the set of runs as ten bits."""
 
@@ -81,6 +86,12 @@ def daily_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drain(windowed(events(spark, sf_dir)), "complete")
 
 
+def by_project(spark: SparkSession, sf_dir: str) -> DataFrame:
+    users = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("user_id"), F.col("c_nationkey").cast("int").alias("repo_id"))
+    known = enriched(events(spark, sf_dir).select("user_id", "event_type", "value"), users, ["user_id"])
+    return drain(known.groupBy("repo_id", "event_type").agg(F.count("*").alias("n_events")), "complete")
+
+
 def voted(spark: SparkSession, sf_dir: str) -> DataFrame:
     runs = events(spark, sf_dir).select(F.col("user_id").alias("vuln_id"), (F.col("event_id") % 10).cast("int").alias("run_no"), F.col("event_type").alias("stmt"))
     return drain(online_vote(runs)).select("vuln_id", "stmt")
