@@ -58,7 +58,7 @@ def vulnerable_bodies(cases: DataFrame, content: DataFrame) -> DataFrame:
 
 
 def _tokens(lines):
-    return F.flatten(F.transform(F.map_values(lines), lambda x: F.regexp_extract_all(x, F.lit(r"\w+|[^\w\s]+"), F.lit(0))))
+    return F.flatten(F.transform(F.filter(F.map_values(lines), lambda x: x.isNotNull()), lambda x: F.regexp_extract_all(x, F.lit(r"\w+|[^\w\s]+"), F.lit(0))))
 
 
 def function_digest(versions: DataFrame, bodies: DataFrame, limit: int = 6) -> DataFrame:
