@@ -46,6 +46,20 @@ def double_edges(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     raise RuntimeError("the graph is deeper than the rounds allow, or has a cycle")
 
 
+def recursive(edges: DataFrame, sources: DataFrame) -> DataFrame:
+    """(repo_id, child_id, ancestor_id) of the holders of some commits by Spark's recursive SQL.
+
+    For short graphs: Spark stops with an error beyond 100 levels, and counts each path on its own until the end.
+    """
+    return edges.sparkSession.sql(
+        """WITH RECURSIVE held(repo_id, child_id, ancestor_id) AS (
+             SELECT repo_id, commit_id, commit_id FROM {sources}
+             UNION ALL SELECT e.repo_id, e.child_id, h.ancestor_id FROM held h JOIN {edges} e ON e.repo_id = h.repo_id AND e.parent_id = h.child_id)
+           SELECT DISTINCT repo_id, child_id, ancestor_id FROM held""",
+        sources=sources.select("repo_id", "commit_id").distinct(), edges=edges.select("repo_id", "child_id", "parent_id").distinct(),
+    )
+
+
 def holders(edges: DataFrame, sources: DataFrame, blocks: int = 4) -> DataFrame:
     """(repo_id, child_id, ancestor_id): every commit that holds a source, the source among them, by edges alone.
 

@@ -93,6 +93,14 @@ SQL = {
       SELECT source, count(*) FILTER (WHERE p AND t) AS tp, count(*) FILTER (WHERE p AND NOT t) AS fp, count(*) FILTER (WHERE NOT p AND t) AS fn FROM x GROUP BY source""",
     "w21_transcripts": "SELECT conv_id, count(*) AS n_turns, string_agg(role || ': ' || text, chr(10) ORDER BY turn, role, text) AS prompt FROM conversations GROUP BY conv_id",
     "w22_stream_windows": "SELECT date_trunc('day', ts) AS window_start, event_type, count(*) AS n_events, round(sum(value), 4) AS value FROM events GROUP BY ALL",
+    "w01_cube": f"""WITH {HISTORY} SELECT r_name AS domain, patch_class, count(*) AS n_fixes, sum(added + deleted)::BIGINT AS changed, grouping(r_name, patch_class)::INT AS level
+      FROM cases JOIN nation ON n_nationkey = repo_id JOIN region ON r_regionkey = n_regionkey GROUP BY CUBE (r_name, patch_class)""",
+    "w04_project_ranks": f"""WITH {HISTORY}, n AS (SELECT repo_id, r_name AS domain, count(*) AS n_cases FROM cases JOIN nation ON n_nationkey = repo_id JOIN region ON r_regionkey = n_regionkey GROUP BY ALL)
+      SELECT *, (rank() OVER w)::INT AS place, (dense_rank() OVER w)::INT AS dense_place, (ntile(2) OVER (PARTITION BY domain ORDER BY n_cases DESC, repo_id))::INT AS half,
+        round(percent_rank() OVER w, 6) AS percent_place, round(cume_dist() OVER w, 6) AS share_up_to FROM n WINDOW w AS (PARTITION BY domain ORDER BY n_cases DESC)""",
+    "w14_long_lived": f"""WITH {TRUTH}, n AS (SELECT vuln_id, repo_id, count(*) AS n_versions FROM truth GROUP BY vuln_id, repo_id)
+      SELECT vuln_id, repo_id, n_versions FROM n JOIN (SELECT repo_id, avg(n_versions) AS mean FROM n GROUP BY repo_id) USING (repo_id)
+      WHERE n_versions > mean AND vuln_id IN (SELECT vuln_id FROM claims WHERE pattern <> 'exact') AND vuln_id IN (SELECT vuln_id FROM cases WHERE severity >= 4)""",
     "w22_stream_projects": "SELECT c_nationkey::INT AS repo_id, event_type, count(*) AS n_events FROM events LEFT JOIN customer ON c_custkey = user_id GROUP BY ALL",
     "w14_audit_rollup": f"WITH {TRUTH} SELECT r_name AS domain, audit, count(*) AS n_cases, grouping(r_name, audit)::INT AS level FROM named JOIN nation ON n_nationkey = repo_id JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, audit)",
     "w14_audit_pivot": f"WITH {TRUTH} SELECT source_id, " + ", ".join(f"count(*) FILTER (WHERE audit = '{k}') AS {k}" for k in ("correct", "incomplete", "over_inclusive", "mixed", "missing")) + " FROM named GROUP BY source_id",
@@ -196,3 +204,4 @@ SQL["method_touched_only"] = f"""WITH {_STATES}, held AS (SELECT s.vuln_id, s.re
     sum(CASE WHEN sensitive THEN 2.0 ELSE 1.0 END) AS total FROM stmts s JOIN pairs t ON t.file_id = s.file_id AND t.slot = s.slot AND t.lane = 'main' AND t.seq < s.fix_seq GROUP BY ALL),
   found AS (SELECT vuln_id, any_value(repo_id) AS repo_id, coalesce(max(seq) FILTER (WHERE round((1 - gone / total) * 1000) < 700), min(seq)) AS oseq FROM held GROUP BY vuln_id),
   {twin.affected('hits', 'found')} SELECT * FROM hits"""
+SQL["w16_set_difference"] = SQL["w16_affected_versions"]

@@ -14,7 +14,7 @@ from fixtrace.functions.text import squash
 from fixtrace.operators import backtrack, baselines, detectors, extraction, judge, reach, similarity, versions
 from fixtrace.operators import measures as m
 from fixtrace.operators.cost import StageTimer, time_ratio
-from fixtrace.plans import natural
+from fixtrace.plans import natural, reports
 from fixtrace.plans.lab import BLAME, METHODS, WEAKNESS, Lab, lab_of
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -439,5 +439,5 @@ def queries() -> dict[str, Query]:
         w08_jaccard, w09_cutoff_split, w10_weight_sweep, w11_detectors, w11_statement_edit, w11_statement_md5, w11_tree, w11_function_model, w12_refactor_share, w12_walk_counts, w12_ablations, w13_threshold_sweep, w13_full_grid, w14_claim_audit, w14_severity, w14_audit_rollup, w14_audit_pivot, w15_stage_seconds,
         w15_judge_cost, w16_affected_versions, w16_ranges, w16_closure_check,
     )
-    found = {f.__name__: f for f in own} | natural.queries()
+    found = {f.__name__: f for f in own} | natural.queries() | reports.queries()
     return found | {f"method_{n}": method_query(n) for n in METHODS}

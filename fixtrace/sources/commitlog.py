@@ -34,6 +34,18 @@ def read_claims(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("vuln_id bigint, source string, lo string, hi string, lo_incl boolean, hi_incl boolean, versions array<string>").json(path)
 
 
+def read_claim_table(spark: SparkSession, path: str) -> DataFrame:
+    """The same claims from CSV with a header; versions are separated by semicolons, malformed rows are dropped."""
+    rows = spark.read.option("header", True).option("mode", "DROPMALFORMED").schema("vuln_id bigint, source string, lo string, hi string, lo_incl boolean, hi_incl boolean, versions string").csv(path)
+    return rows.withColumn("versions", F.split("versions", ";"))
+
+
+def read_bundles(spark: SparkSession, path: str, pattern: str = "*.patch") -> DataFrame:
+    """(path, text) of whole patch files of a folder, whatever bytes they hold; bytes that are no UTF-8 are replaced."""
+    rows = spark.read.format("binaryFile").option("pathGlobFilter", pattern).option("recursiveFileLookup", True).load(path)
+    return rows.select("path", F.decode(F.col("content"), "UTF-8").alias("text"))
+
+
 class _File(InputPartition):
     def __init__(self, path: str):
         self.path = path

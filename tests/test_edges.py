@@ -184,3 +184,48 @@ def test_the_rest_works_without_the_training_data_operators(tmp_path):
     (tmp_path / "fixtrace" / "llm" / "registry.py").write_text("import not_installed_anywhere\n")
     (tmp_path / "corpus_pipeline.py").write_text("")
     assert "not_installed_anywhere" in run().stderr  # a broken operator is not hidden
+
+
+def test_recursive_sql_and_edges_agree_on_short_graphs(spark):
+    from fixtrace.operators import reach
+
+    edges = [(1, c, p) for c, p in ((2, 1), (3, 2), (4, 2), (5, 3), (5, 4), (6, 5))] + [(2, 9, 8)]
+    df = spark.createDataFrame(edges, "repo_id int, child_id long, parent_id long")
+    asked = spark.createDataFrame([(1, 2), (1, 4), (1, 4), (2, 8)], "repo_id int, commit_id long")
+    want = {(1, c, 2) for c in (2, 3, 4, 5, 6)} | {(1, c, 4) for c in (4, 5, 6)} | {(2, 8, 8), (2, 9, 8)}
+    assert {tuple(r) for r in reach.recursive(df, asked).collect()} == want == {tuple(r) for r in reach.holders(df, asked).collect()}
+
+
+def test_lines_of_a_hunk_are_mapped_to_their_likest(spark):
+    pre = [(1, 1, 1, n, t) for n, t in ((1, "a = b;"), (2, "c = d;"), (3, "c = d;"), (9, "zzz"))]
+    post = [(1, 1, 1, n, t) for n, t in ((1, "a = b + 1;"), (3, "c = d;"), (2, "  c = d; // same"))]
+    schema = "commit_id long, file_id int, hunk int, no int, text string"
+    got = similarity.map_lines(spark.createDataFrame(pre, schema), spark.createDataFrame(post, schema))
+    assert {(r.post_no, r.pre_no) for r in got.collect()} == {(1, 1), (3, 3), (2, 2)}
+
+
+def test_flows_of_several_functions_are_one(spark):
+    schema = "func_id string, line_no int, text string, direction string"
+    one, two = spark.createDataFrame([("f", 1, "a;", "seed"), ("f", 2, "b;", "fwd")], schema), spark.createDataFrame([("f", 2, "b;", "back"), ("g", 1, "c;", "seed")], schema)
+    merged = extraction.merge_flows(one, two)
+    assert {(r.func_id, r.line_no) for r in merged.collect()} == {("f", 1), ("f", 2), ("g", 1)}
+    assert {r.func_id: r.flow for r in extraction.render_flow(merged).collect()} == {"f": "1 a; 2 b;", "g": "1 c;"}
+
+
+def test_claims_and_patches_from_files(spark, tmp_path):
+    from fixtrace.sources import commitlog, sinks
+
+    (tmp_path / "c.json").write_text('{"vuln_id": 1, "source": "s", "lo": "1.0", "hi": "2.0", "lo_incl": true, "versions": ["1.0", "2.0"]}\n')
+    (tmp_path / "c.csv").write_text("vuln_id,source,lo,hi,lo_incl,hi_incl,versions\n1,s,1.0,2.0,true,,1.0;2.0\nbad,s,1,2,true,true,\n")
+    one, two = commitlog.read_claims(spark, f"file://{tmp_path}/c.json").collect(), commitlog.read_claim_table(spark, f"file://{tmp_path}/c.csv").collect()
+    assert one == two and one[0].versions == ["1.0", "2.0"] and one[0].hi_incl is None
+    (tmp_path / "p").mkdir()
+    (tmp_path / "p" / "1.patch").write_text("--- a/x.c\n+++ b/x.c\n@@ -1 +1 @@\n-a;\n+b;\n")
+    (tmp_path / "p" / "other.txt").write_text("no")
+    patches = commitlog.read_bundles(spark, f"file://{tmp_path}/p").select(F.lit(1).alias("commit_id"), "text")
+    assert [(r.op, r.text) for r in extraction.parse_patch(patches).orderBy("op").collect()] == [("add", "b;"), ("del", "a;")]
+    rows = spark.createDataFrame([(1, 1, 5), (1, 1, 3)], "file_id int, slot int, seq int")
+    sinks.save_history(rows, "kept_history", 4)
+    plan = spark.table("kept_history").groupBy("file_id", "slot").agg(F.max("seq"))._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and spark.table("kept_history").count() == 2
+    spark.sql("DROP TABLE kept_history")
