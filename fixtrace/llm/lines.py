@@ -1,13 +1,12 @@
 """Line deduplication over levelled sorted runs of line hashes.
 
-A run is a table of (h1, h2, n_docs, last_doc, known) sorted by hash: in how many documents of its batches a line
-key occurs, the largest ``doc_id`` that holds it, and whether an older run holds the key.  ``LineRuns.ingest``
-aggregates a new batch and merge-anti-joins it with the keys of the runs (both sides sorted by hash), which gives the
-keys it adds; a merge semi-join of the same sorted sides gives its updates of known keys.  Over all runs a key is new
-once.  The batch becomes a run of level 0; ``fanout`` runs of a level are compacted into one of the next, which folds
-updates into their keys.  Counts add up and maxima combine, so the verdict over all runs does not depend on
-how rows were batched or when runs were compacted.  ``drop_lines`` adds a batch for each doubling of the keys beyond
-``batch_keys``; every batch reads the keys held so far, so this work grows as n log n.
+A run is a pair of tables sorted by hash: ``counts`` (h1, h2, n_docs, last_doc), in how many documents of its batches a
+line key occurs and the largest ``doc_id`` that holds it, and ``keys`` (h1, h2), those of its keys that no older run
+holds.  ``LineRuns.ingest`` aggregates a new batch, merge-anti-joins it with the keys of the runs (both sides sorted by
+hash) and adds what is left as keys of its own, so over all runs a key stands once.  The batch becomes a run of level 0;
+``fanout`` runs of a level are compacted into one of the next.  Counts add up and maxima combine, so the verdict over
+all runs does not depend on how rows were batched or when runs were compacted.  ``drop_lines`` adds a batch for each
+doubling of the keys beyond ``batch_keys``; every batch reads the keys held so far, so this work grows as n log n.
 
 A key is the line stripped of ``[\\x20\\x09-\\x0D]`` at both ends, A-Z lower-cased, told by two 64-bit hashes.
 
@@ -64,7 +63,7 @@ def long_keys(docs: DataFrame, params: Params) -> DataFrame:
     return rows.select("doc_id", _hashes(F.col("key")).alias("h")).select("doc_id", "h.h1", "h.h2")
 
 
-RUN = "h1 bigint, h2 bigint, n_docs bigint, last_doc bigint, known boolean"
+COUNTS, KEYS = "h1 bigint, h2 bigint, n_docs bigint, last_doc bigint", "h1 bigint, h2 bigint"
 
 
 class LineRuns:
@@ -75,54 +74,55 @@ class LineRuns:
         self.levels: list[list[str]] = []
         self.written = 0
 
-    def _write(self, run: DataFrame, level: int) -> None:
-        path = f"{self.folder}/level{level}-run{self.written}"
+    def _new(self) -> str:
         self.written += 1
-        run.sortWithinPartitions("h1", "h2").write.parquet(path)
+        return f"{self.folder}/run{self.written}"
+
+    def _add(self, path: str, level: int) -> None:
         while len(self.levels) <= level:
             self.levels.append([])
         self.levels[level].append(path)
 
-    def _read(self, paths: list[str]) -> DataFrame:
-        return self.spark.read.schema(RUN).parquet(*paths)
-
     def paths(self) -> list[str]:
         return [p for level in self.levels for p in level]
 
+    def counts(self, paths: list[str]) -> DataFrame:
+        return self.spark.read.schema(COUNTS).parquet(*(f"{p}/counts" for p in paths))
+
+    def keys(self, paths: list[str]) -> DataFrame:
+        return self.spark.read.schema(KEYS).parquet(*(f"{p}/keys" for p in paths))
+
     @staticmethod
-    def _folded(runs: DataFrame) -> DataFrame:
-        return runs.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("last_doc").alias("last_doc"), F.min("known").alias("known"))
+    def _folded(counts: DataFrame) -> DataFrame:
+        return counts.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("last_doc").alias("last_doc"))
 
     def merged(self) -> DataFrame:
         """One row for each key over all runs."""
         paths = self.paths()
-        found = self._read(paths) if paths else self.spark.createDataFrame([], RUN)
-        return (found if len(paths) <= 1 else self._folded(found)).drop("known")
-
-    def _met(self, keys: DataFrame, how: str) -> DataFrame:
-        held = self._read(self.paths()).where(~F.col("known")).select("h1", "h2")
-        return keys.join(held.hint("merge"), ["h1", "h2"], how)
+        if not paths:
+            return self.spark.createDataFrame([], COUNTS)
+        return self.counts(paths) if len(paths) == 1 else self._folded(self.counts(paths))
 
     def novel(self, keys: DataFrame) -> DataFrame:
         """Rows of ``keys`` whose hash no run holds: a merge anti-join of sorted sides."""
-        return self._met(keys, "left_anti") if self.paths() else keys
+        return keys.join(self.keys(self.paths()).hint("merge"), ["h1", "h2"], "left_anti") if self.paths() else keys
 
     def ingest(self, keys: DataFrame) -> None:
-        """Add a batch of (doc_id, h1, h2) as a run of new keys and updates of known ones; compact full levels.
-
-        Both joins of the batch with the runs read the same two shuffles.
-        """
+        """Add a batch of (doc_id, h1, h2) as a run: its counts, and the keys that it adds; compact full levels."""
+        path = self._new()
         batch = keys.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("doc_id").alias("last_doc"))
-        rows = self.novel(batch).withColumn("known", F.lit(False))
-        if self.paths():
-            rows = rows.unionByName(self._met(batch, "left_semi").withColumn("known", F.lit(True)))
-        self._write(rows, 0)
+        batch.sortWithinPartitions("h1", "h2").write.parquet(f"{path}/counts")
+        self.novel(self.counts([path]).select("h1", "h2")).sortWithinPartitions("h1", "h2").write.parquet(f"{path}/keys")
+        self._add(path, 0)
         level = 0
         while len(self.levels[level]) >= self.fanout:
             full, self.levels[level] = self.levels[level], []
-            self._write(self._folded(self._read(full)), level + 1)
-            for path in full:
-                remove(self.spark, path)
+            path = self._new()
+            self._folded(self.counts(full)).sortWithinPartitions("h1", "h2").write.parquet(f"{path}/counts")
+            self.keys(full).sortWithinPartitions("h1", "h2").write.parquet(f"{path}/keys")
+            self._add(path, level + 1)
+            for old in full:
+                remove(self.spark, old)
             level += 1
 
     def drop(self) -> None:

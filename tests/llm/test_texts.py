@@ -180,17 +180,17 @@ def test_new_batches_keep_only_novel_lines(spark, tmp_path):
     assert not (tmp_path / "runs").exists()
 
 
-def test_ingest_tells_new_keys_from_known_ones(spark, tmp_path):
+def test_runs_hold_counts_and_each_key_once(spark, tmp_path):
     runs = lines.LineRuns(spark, f"file://{tmp_path}/told", fanout=3)
     key = lambda *rows: spark.createDataFrame(list(rows), "doc_id long, h1 long, h2 long")
-    told = lambda: sorted((r.h1, r.n_docs, r.last_doc, r.known) for p in runs.paths() for r in spark.read.parquet(p).collect())
+    told = lambda: [(sorted((r.h1, r.n_docs, r.last_doc) for r in runs.counts([p]).collect()), sorted(r.h1 for r in runs.keys([p]).collect())) for p in runs.paths()]
     runs.ingest(key((9, 1, 1), (9, 2, 2)))
     runs.ingest(key((3, 1, 1), (4, 1, 1), (4, 3, 3)))
-    assert told() == [(1, 1, 9, False), (1, 2, 4, True), (2, 1, 9, False), (3, 1, 4, False)]
+    assert told() == [([(1, 1, 9), (2, 1, 9)], [1, 2]), ([(1, 2, 4), (3, 1, 4)], [3])]
     runs.ingest(key((5, 3, 3)))
-    assert told() == [(1, 3, 9, False), (2, 1, 9, False), (3, 2, 5, False)] and runs.levels[0] == []
+    assert told() == [([(1, 3, 9), (2, 1, 9), (3, 2, 5)], [1, 2, 3])] and runs.levels[0] == []
     runs.ingest(key((6, 2, 2), (6, 7, 7)))
-    assert told() == [(1, 3, 9, False), (2, 1, 6, True), (2, 1, 9, False), (3, 2, 5, False), (7, 1, 6, False)]
+    assert told() == [([(2, 1, 6), (7, 1, 6)], [7]), ([(1, 3, 9), (2, 1, 9), (3, 2, 5)], [1, 2, 3])]
     runs.drop()
 
 
