@@ -16,13 +16,25 @@ from fixtrace.sources.tables import table
 from fixtrace.streaming import feed
 
 
+def following(rows: DataFrame, key: str, number: str, width: int = 1 << 16) -> DataFrame:
+    """(key, number, after): the next greater number under the same key, null for the last one; null numbers are left out.
+
+    Windows hold one range of ``width`` numbers of a key, and one row for each such range, so no key meets in one task.
+    """
+    marked = rows.select(key, number).where(F.col(number).isNotNull()).distinct().withColumn("__part", F.floor(F.col(number) / width))
+    firsts = marked.groupBy(key, "__part").agg(F.min(number).alias("__first"))
+    onward = firsts.select(F.col(key).alias("__key"), F.col("__part").alias("__at"), F.lead("__first").over(W.partitionBy(key).orderBy("__part")).alias("__next"))
+    inside = F.lead(number).over(W.partitionBy(key, "__part").orderBy(number))
+    met = marked.withColumn("__inside", inside).join(onward, F.col(key).eqNullSafe(F.col("__key")) & (F.col("__part") == F.col("__at")))
+    return met.select(key, number, F.coalesce("__inside", "__next").alias("after"))
+
+
 def line_pairs(docs: DataFrame) -> DataFrame:
     """(source, doc_a, doc_b, line_no, a, b): equal line numbers of neighbouring documents of one source.
 
-    Neighbours come from one window over ids, so texts are joined once, not carried through it.
+    Neighbours come from ids alone, so texts are joined once, not carried through a window.
     """
-    after = F.lead("doc_id").over(W.partitionBy("source").orderBy("doc_id"))
-    near = docs.select("doc_id", "source").withColumn("doc_b", after).where("doc_b is not null")
+    near = following(docs, "source", "doc_id").where("after is not null").withColumnRenamed("after", "doc_b")
     lines = docs.select("doc_id", F.posexplode(F.split("text", "\n")).alias("line_no", "x"))
     a = near.join(lines, "doc_id").select("source", F.col("doc_id").alias("doc_a"), "doc_b", "line_no", F.col("x").alias("a"))
     return a.join(lines.select(F.col("doc_id").alias("doc_b"), "line_no", F.col("x").alias("b")), ["doc_b", "line_no"])
@@ -139,10 +151,10 @@ def w19_page_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Tree similarity of neighbouring pages of a host: edit distance over in-order tag sequences."""
     tags = F.regexp_extract_all("html", F.lit(r"<(/?[a-zA-Z][a-zA-Z0-9]*)"), F.lit(1))
     p = table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", r"://([^/?#]*)", 1).alias("host"), tag_code(tags).alias("code"))
-    near = F.lag(F.struct("page_id", "code")).over(W.partitionBy("host").orderBy("page_id"))
-    rows = p.withColumn("p", near).where("p is not null")
-    longest = F.greatest(F.length("code"), F.length("p.code"))
-    return rows.select("host", F.col("p.page_id").alias("page_a"), F.col("page_id").alias("page_b"), F.round(F.when(longest == 0, 1.0).otherwise(1 - F.levenshtein("code", "p.code") / longest), 6).alias("similarity"))
+    near = following(p, "host", "page_id").where("after is not null").select("host", F.col("page_id").alias("page_a"), F.col("after").alias("page_b"))
+    one, two = (p.select(F.col("page_id").alias(f"page_{s}"), F.col("code").alias(s)) for s in "ab")
+    longest = F.greatest(F.length("a"), F.length("b"))
+    return near.join(one, "page_a").join(two, "page_b").select("host", "page_a", "page_b", F.round(F.when(longest == 0, 1.0).otherwise(1 - F.levenshtein("a", "b") / longest), 6).alias("similarity"))
 
 
 def w20_label_scores(spark: SparkSession, sf_dir: str) -> DataFrame:

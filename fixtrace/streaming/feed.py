@@ -53,20 +53,29 @@ def enriched(stream: DataFrame, static: DataFrame, on: list[str]) -> DataFrame:
     return stream.join(static, on, "left")
 
 
-def online_vote(runs: DataFrame, quorum: int = 6) -> DataFrame:
-    """(vuln_id, stmt, votes) as soon as a statement reaches the quorum; state is the set of runs as ten bits."""
+def online_vote(runs: DataFrame, quorum: int = 6, forget_after_ms: int | None = None) -> DataFrame:
+    """(vuln_id, stmt, votes) as soon as a statement reaches the quorum; state is the set of runs as ten bits.
+
+    With ``forget_after_ms`` the state of a statement that no run named for so long is dropped.
+    """
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         bits = state.get[0] if state.exists else 0
         had = bits.bit_count()
         for b in batches:
             for n in b["run_no"].unique():
                 bits |= 1 << int(n)
         state.update((bits,))
+        if forget_after_ms:
+            state.setTimeoutDuration(forget_after_ms)
         if had < quorum <= bits.bit_count():
             yield pd.DataFrame({"vuln_id": [key[0]], "stmt": [key[1]], "votes": [bits.bit_count()]})
 
-    return runs.groupBy("vuln_id", "stmt").applyInPandasWithState(step, "vuln_id long, stmt string, votes long", "bits long", "append", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.ProcessingTimeTimeout if forget_after_ms else GroupStateTimeout.NoTimeout
+    return runs.groupBy("vuln_id", "stmt").applyInPandasWithState(step, "vuln_id long, stmt string, votes long", "bits long", "append", timeout)
 
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:

@@ -229,3 +229,13 @@ def test_claims_and_patches_from_files(spark, tmp_path):
     plan = spark.table("kept_history").groupBy("file_id", "slot").agg(F.max("seq"))._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and spark.table("kept_history").count() == 2
     spark.sql("DROP TABLE kept_history")
+
+
+def test_the_next_number_of_each_key(spark):
+    rng = random.Random(11)
+    rows = [(rng.choice(["a", "b", None]), rng.randrange(0, 400)) for _ in range(300)] + [("c", None), ("d", 3)]
+    got = natural.following(spark.createDataFrame(rows, "k string, n long"), "k", "n", width=8)
+    held = {k: sorted({n for x, n in rows if x == k and n is not None}) for k in ("a", "b", None, "c", "d")}
+    want = {(k, n, after) for k, ns in held.items() for n, after in zip(ns, [*ns[1:], None], strict=False)}
+    found = [tuple(r) for r in got.collect()]
+    assert set(found) == want and len(found) == len(want)
