@@ -130,8 +130,11 @@ class LineRuns:
         self.levels = []
 
 
+SHORT = 16
+
+
 def _holds(found: Column, wanted: Column) -> Column:
-    """Whether a sorted array holds a value, by bisection."""
+    """Whether a sorted array holds a value: by bisection, but a short array is looked through."""
     size = F.size(found)
     rounds = F.ceil(F.log2(size + 1)).cast("int")
 
@@ -142,7 +145,7 @@ def _holds(found: Column, wanted: Column) -> Column:
 
     start = F.struct(F.lit(0).alias("lo"), size.alias("hi"))
     at = F.aggregate(F.sequence(F.lit(1), F.greatest(rounds, F.lit(1))), start, lambda now, k: F.when(now["lo"] < now["hi"], halve(now, k)).otherwise(now), lambda now: now["lo"])
-    return F.coalesce(F.get(found, at) == wanted, F.lit(False))
+    return F.when(size <= SHORT, F.array_contains(found, wanted)).otherwise(F.coalesce(F.get(found, at) == wanted, F.lit(False)))
 
 
 def drop_lines(docs: DataFrame, params: Params = Params()) -> DataFrame:

@@ -194,7 +194,9 @@ def test_runs_hold_counts_and_each_key_once(spark, tmp_path):
     runs.drop()
 
 
-def test_lines_are_looked_up_by_bisection(spark):
+@pytest.mark.parametrize("short", [0, 16])
+def test_lines_are_looked_up_by_bisection(spark, monkeypatch, short):
+    monkeypatch.setattr(lines, "SHORT", short)
     rows = [(n, sorted(range(0, 2 * n, 2)), x) for n in (0, 1, 2, 3, 8, 33) for x in range(-1, 2 * n + 1)]
     df = spark.createDataFrame(rows, "n int, found array<int>, x int")
     assert df.where(lines._holds(F.col("found"), F.col("x")) != F.array_contains("found", F.col("x"))).count() == 0
