@@ -5,7 +5,10 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from fixtrace.functions.text import simhash64
 from fixtrace.operators import baselines, versions
+from fixtrace.plans import workloads
+from fixtrace.plans.lab import PER_VERSION
 
 TAGS = 12
 
@@ -56,3 +59,11 @@ def test_hybrid_reads_only_near_versions(spark, made):
     near = baselines.line_candidates(c, bodies, spans, baselines.hybrid_needs(), claims)
     want = pairs(baselines.hybrid(brute(spark, made).where("tag_no between 2 and 9 and vuln_id < 106"), bodies))
     assert pairs(baselines.hybrid(near, bodies)) == want and 0 < len(want) <= near.count() < 6 * 8
+
+
+@pytest.mark.parametrize("width", [1, 2, 4, 9])
+def test_windows_are_sought_in_near_versions(spark, made, width):
+    c, spans, bodies = frames(spark, made)
+    near = baselines.line_candidates(c, bodies, spans, baselines.window_needs(width))
+    want = pairs(baselines.window_match(brute(spark, made), bodies, width, 0.3))
+    assert pairs(baselines.window_match(near, bodies, width, 0.3)) == want and want and near.count() < len(made[3])
