@@ -67,3 +67,26 @@ def test_windows_are_sought_in_near_versions(spark, made, width):
     near = baselines.line_candidates(c, bodies, spans, baselines.window_needs(width))
     want = pairs(baselines.window_match(brute(spark, made), bodies, width, 0.3))
     assert pairs(baselines.window_match(near, bodies, width, 0.3)) == want and want and near.count() < len(made[3])
+
+
+def test_presence_comes_from_spans(spark, made):
+    c, spans, bodies = frames(spark, made)
+    rng = random.Random(1)
+    draw = lambda n: [f"x{rng.randrange(4)} = {rng.randrange(3)};" for _ in range(n)]
+    changed = [(100 + k, draw(k % 3), draw(2 - k % 2)) for k in range(7)] + [(999, [], [])]
+    got = pairs(baselines.patch_presence(c, spans, spark.createDataFrame(changed, "vuln_id long, deleted array<string>, added array<string>"), 1.0, 0.9))
+    want = set()
+    for v, deleted, added in changed:
+        for (w, n), lines in made[3].items():
+            here, d, a = set(lines.values()), set(deleted), set(added)
+            if w == v and (not d or len(here & d) / len(d) >= 1.0) and (not a or len(here & a) / len(a) <= 0.9):
+                want.add((v, n))
+    assert got == want and 0 < len(want) < len(made[3])
+
+
+def test_versions_are_not_made_distinct_again(spark, small):
+    for name in PER_VERSION:
+        df = workloads.method_query(name)(spark, small)
+        assert df.count() == df.distinct().count()
+    plan = workloads.method_query("patch_presence")(spark, small)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.lstrip().startswith("Project") or plan.lstrip().startswith("Generate")  # tags are told apart last, nothing is shuffled after
