@@ -90,3 +90,16 @@ def test_versions_are_not_made_distinct_again(spark, small):
         assert df.count() == df.distinct().count()
     plan = workloads.method_query("patch_presence")(spark, small)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.lstrip().startswith("Project") or plan.lstrip().startswith("Generate")  # tags are told apart last, nothing is shuffled after
+
+
+def test_graphs_are_built_for_near_versions_only(spark, made):
+    c, spans, bodies = frames(spark, made)
+    marks = spark.createDataFrame([(v, s, b[s], 1.0 + s % 2) for v, b in made[4].items() for s in list(b)[:2]], "vuln_id long, slot int, pre string, weight double")
+    near = baselines.line_candidates(c, bodies, spans, F.lit(1))
+    want = set()
+    weighted = {v: ({b[s]: 1.0 + s % 2 for s in list(b)[:2]}, set(list(b)[:2])) for v, b in made[4].items()}
+    for (v, n), lines in made[3].items():
+        one, two = (baselines.weighted_graph(sorted(x.items()), weighted[v][1], weighted[v][0]) for x in (made[4][v], lines))
+        if baselines.weighted_jaccard(one, two) >= 0.3:
+            want.add((v, n))
+    assert pairs(baselines.dependence_match(near, bodies, marks, 0.3)) == want and want
