@@ -103,3 +103,16 @@ def test_graphs_are_built_for_near_versions_only(spark, made):
         if baselines.weighted_jaccard(one, two) >= 0.3:
             want.add((v, n))
     assert pairs(baselines.dependence_match(near, bodies, marks, 0.3)) == want and want
+
+
+def test_each_file_is_digested_once(spark, made):
+    c, spans, bodies = frames(spark, made)
+    tokens = spark.createDataFrame([(1, []), (2, ["a"]), (3, ["a", "b", "a", "="]), (4, [f"t{k}" for k in range(300)])], "k int, t array<string>")
+    spaced = tokens.select("k", simhash64(F.col("t")).alias("want"), F.create_map(F.lit(1), F.array_join("t", " ")).alias("lines"))
+    got = baselines.digests(spaced, "lines", "k int, want long").collect()
+    assert len(got) == 4 and all(r.digest == r.want for r in got)
+    found = pairs(baselines.function_digest(c, versions.file_lines(spans), bodies, 6))
+    digest = lambda df, col: df.withColumn("d", simhash64(baselines._tokens(col)))
+    every = digest(brute(spark, made), "lines").join(digest(bodies, "body").select("vuln_id", F.col("d").alias("e")), "vuln_id")
+    want = pairs(every.where(F.bit_count(F.col("d").bitwiseXOR(F.col("e"))) <= 6))
+    assert found == want and 0 < len(want) < len(made[3])
