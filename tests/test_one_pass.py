@@ -43,3 +43,14 @@ def test_a_sweep_stops_where_each_walk_stops(lanes):
         plain = stops(backtrack.statement_stops(stmts, lost, "first_parent"))
         assert {(r.vuln_id, r.slot): (r.stop_commit, r.stop_seq) for r in got if r.k == k} == want and want
         assert k or want != plain  # some branch decides
+
+
+def test_runs_of_tags_are_scored_as_their_tags_are(spark):
+    rng = random.Random(8)
+    rows = [(p, v, v % 3, rng.choice((None, *range(12))), rng.choice((None, *range(12))), rng.randrange(12)) for p in (1, 2) for v in range(40)] + [(1, 99, 7, None, 11, 3)]
+    spans = spark.createDataFrame(rows, "p int, vuln_id long, repo_id int, first int, real int, stop int")
+    tags = lambda c: [(p, v, r, n) for p, v, r, first, real, stop in rows for n in range((first if c == "first" else real) if (first if c == "first" else real) is not None else stop, stop)]
+    pred, truth = (spark.createDataFrame(tags(c), "p int, vuln_id long, repo_id int, tag_no int") for c in ("first", "real"))
+    cells = lambda df: {(r.p, r.repo_id): (r.tp, r.fp, r.fn) for r in df.collect()}
+    want = cells(measures.confusion(pred, truth, ["p", "repo_id"]))
+    assert cells(measures.confusion_of_spans(spans, ["p", "repo_id"])) == want and (1, 7) not in want
