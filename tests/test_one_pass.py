@@ -54,3 +54,14 @@ def test_runs_of_tags_are_scored_as_their_tags_are(spark):
     cells = lambda df: {(r.p, r.repo_id): (r.tp, r.fp, r.fn) for r in df.collect()}
     want = cells(measures.confusion(pred, truth, ["p", "repo_id"]))
     assert cells(measures.confusion_of_spans(spans, ["p", "repo_id"])) == want and (1, 7) not in want
+
+
+def test_touches_are_not_copied_for_each_point_of_a_grid(spark, lanes, monkeypatch):
+    """More pairs of thresholds mean more columns, not more rows to sort."""
+    levels, stmts = lanes
+    seen = []
+    settle = backtrack.settle
+    monkeypatch.setattr(backtrack, "settle", lambda df: seen.append(settle(df)) or seen[-1])
+    for grid in (GRID[:1], GRID):
+        backtrack.swept_stops(stmts, levels, grid)
+    assert seen[0].count() == seen[1].count() == stmts.count() + levels.where("lane = 'feature' and mseq is not null").select("slot", "block").distinct().count()
