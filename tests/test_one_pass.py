@@ -65,3 +65,27 @@ def test_touches_are_not_copied_for_each_point_of_a_grid(spark, lanes, monkeypat
     for grid in (GRID[:1], GRID):
         backtrack.swept_stops(stmts, levels, grid)
     assert seen[0].count() == seen[1].count() == stmts.count() + levels.where("lane = 'feature' and mseq is not null").select("slot", "block").distinct().count()
+
+
+def naive_walk(stmts, preds, lost):
+    out = set()
+    for v, s, f, start in stmts:
+        now, k = {start}, 0
+        while now:
+            step = {(c, p) for c in now if not k or (f, s, c) not in lost for x, y, c2, p in preds if (x, y, c2) == (f, s, c)}
+            out |= {(v, s, f, c, p) for c, p in step}
+            now, k = {p for _, p in step}, k + 1
+    return out
+
+
+def test_a_walk_takes_all_steps_of_a_slot_at_once(spark):
+    rng = random.Random(4)
+    preds = [(f, s, c, p) for f in (1, 2) for s in (1, 2) for c in range(2, 40) for p in rng.sample(range(max(1, c - 4), c), min(2, c - 1))]
+    lost = {(f, s, c) for f in (1, 2) for s in (1, 2) for c in range(1, 40) if rng.random() < 0.15}
+    stmts = [(v, 1 + v % 2, 1 + v // 2 % 2, rng.randrange(5, 40)) for v in range(12)]
+    df = spark.createDataFrame(preds, "file_id int, slot int, commit_id long, pred_commit_id long")
+    compared = spark.createDataFrame([(*x, x[2], True) for x in lost], "file_id int, slot int, commit_id long, seq int, lost boolean")
+    got = backtrack.walk(spark.createDataFrame(stmts, "vuln_id long, slot int, file_id int, fix_commit_id long"), df, compared)
+    rows = [(r.vuln_id, r.slot, r.file_id, r.commit_id, r.pred_commit_id) for r in got.collect()]
+    assert len(rows) == len(set(rows)) and set(rows) == naive_walk(stmts, preds, lost)
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("FlatMapCoGroupsInArrow") == 1
