@@ -89,3 +89,13 @@ def test_a_walk_takes_all_steps_of_a_slot_at_once(spark):
     rows = [(r.vuln_id, r.slot, r.file_id, r.commit_id, r.pred_commit_id) for r in got.collect()]
     assert len(rows) == len(set(rows)) and set(rows) == naive_walk(stmts, preds, lost)
     assert got._jdf.queryExecution().optimizedPlan().toString().count("FlatMapCoGroupsInArrow") == 1
+
+
+def test_all_paths_of_a_braid_are_walked_once(spark):
+    """Forty diamonds in a row hold 2^40 paths and 160 steps."""
+    preds = [(7, 0, c, p) for k in range(0, 120, 3) for c, p in ((k + 3, k + 2), (k + 3, k + 1), (k + 2, k), (k + 1, k))]
+    df = spark.createDataFrame(preds, "file_id int, slot int, commit_id long, pred_commit_id long")
+    stmts = spark.createDataFrame([(1, 0, 7, 120)], "vuln_id long, slot int, file_id int, fix_commit_id long")
+    compared = spark.createDataFrame([(7, 0, k, k, k == 0) for k in range(120)], "file_id int, slot int, commit_id long, seq int, lost boolean")
+    assert backtrack.walk(stmts, df, compared).count() == 160
+    assert stops(backtrack.exact_stops(stmts, df, compared)) == {(1, 0): (0, 0)}
