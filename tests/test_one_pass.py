@@ -99,3 +99,23 @@ def test_all_paths_of_a_braid_are_walked_once(spark):
     compared = spark.createDataFrame([(7, 0, k, k, k == 0) for k in range(120)], "file_id int, slot int, commit_id long, seq int, lost boolean")
     assert backtrack.walk(stmts, df, compared).count() == 160
     assert stops(backtrack.exact_stops(stmts, df, compared)) == {(1, 0): (0, 0)}
+
+
+def test_an_anchor_is_not_held_against_all_touches(spark):
+    rng = random.Random(6)
+    touches = [(1, s, q, 100 * s + q, "main", None if q == 1 else f"t{rng.randrange(5)}") for s in (1, 2) for q in range(1, 90)]
+    compared = spark.createDataFrame(touches, "file_id int, slot int, seq int, commit_id long, lane string, pre string")
+    stmts = spark.createDataFrame([(v, 1 + v % 2, 1, 1 + 4 * v, f"t{v % 5}") for v in range(23)], "vuln_id long, slot int, file_id int, fix_seq int, text string")
+    alike = lambda pre, post: F.col(pre).substr(2, 1).cast("int") + F.col(post).substr(2, 1).cast("int") != 4
+    asked = []
+
+    def compare(pairs):
+        asked.append(pairs.count())
+        return pairs.where("pre is not null").distinct().withColumn("similar", alike("pre", "post"))
+
+    every = stmts.select("file_id", "slot", F.col("text").alias("post")).join(compared.select("file_id", "slot", "pre"), ["file_id", "slot"]).select("pre", "post")
+    flags = every.where("pre is not null").distinct().withColumn("similar", alike("pre", "post"))
+    want = stops(backtrack.anchored_stops(stmts, compared, flags))
+    assert stops(backtrack.anchored_walk(stmts, compared, compare, 2, 2)) == want and len(want) == 22
+    assert len(asked) > 2 and sum(asked) < every.count() / 3
+    assert backtrack.anchored_walk(stmts.limit(0), compared, compare).count() == 0
