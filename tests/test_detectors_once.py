@@ -62,3 +62,12 @@ def test_grid_counts_by_thresholds_reached(spark):
     df = detectors.at_thresholds(rows, ["d"])
     got = {r.theta: (r.tp, r.fp, r.fn) for r in df.collect()}
     assert got == {t: (3 if t <= 0.3 else 2, 1, 0 if t <= 0.3 else 1) for t in detectors.GRID}
+
+
+def test_texts_are_joined_to_their_changes_once(spark, small):
+    lab = lab_of(spark, small)
+    got = detectors.by_text(lab.changes, lab.sims_both)
+    count = lambda df: collections.Counter((r.repo_id, r.same, r.n, round(r.similarity, 9)) for r in df.collect())
+    one = {"edit": detectors.edit(lab.changes), "md5": detectors.md5(lab.changes), "vector": detectors.vector(lab.changes), "tree": detectors.tree(lab.changes, lab.sims_both), "two_level": detectors.two_level(lab.changes, lab.sims_both)}
+    for name, scored in one.items():
+        assert count(got.where(F.col("detector") == name)) == count(detectors.weighed(lab.changes, scored)), name
